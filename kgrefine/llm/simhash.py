@@ -27,18 +27,52 @@ def shingles(text: str | None, words: int) -> list[bytes]:
     return [b" ".join(s) for s in zip(*(found[i:] for i in range(words)), strict=False)]
 
 
-def fingerprint(parts: list[bytes], chunk: int = 200_000) -> int:
+def bit_counts(h: np.ndarray) -> np.ndarray:
+    """How many rows of (n, w) unsigned 64-bit words have each of the 64 * w bits; carry-save adders, then a plain count."""
+    total, weight = np.zeros(64 * h.shape[1], dtype=np.int64), 1
+    while len(h):
+        carried = []
+        while len(h) * h.shape[1] >= 1024 and len(h) >= 3:
+            k = len(h) // 3
+            a, b, c = h[:k], h[k : 2 * k], h[2 * k : 3 * k]
+            x = a ^ b
+            carried.append((a & b) | (x & c))
+            h = np.concatenate([x ^ c, h[3 * k :]])
+        total += weight * np.unpackbits(h.view(np.uint8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        h, weight = (np.concatenate(carried) if carried else h[:0]), 2 * weight
+    return total
+
+
+def digests(parts, chunk: int = 100_000):
+    """XXH64 (seed 42) of the parts, in bounded arrays."""
+    digest, parts = xxhash.xxh64_intdigest, list(parts)
+    for at in range(0, len(parts), chunk):
+        yield np.array([digest(p, 42) for p in parts[at : at + chunk]], dtype="<u8")
+
+
+def fingerprint(parts: list[bytes]) -> int:
     """64 bits, each set where more than half of the parts' XXH64 (seed 42) have it; 0 without parts. Signed."""
     if not parts:
         return 0
-    tally = np.zeros(BITS, dtype=np.int64)
-    digest = xxhash.xxh64_intdigest
-    for at in range(0, len(parts), chunk):
-        h = np.array([digest(p, 42) for p in parts[at : at + chunk]], dtype="<u8")
-        tally += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    tally = sum(bit_counts(h[:, None]) for h in digests(parts))
     return int(np.packbits(2 * tally > len(parts), bitorder="little").view("<i8")[0])
 
 
+_STREAMS = np.arange(1, 65, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+
+
+def wide_fingerprint(parts, words: int) -> np.ndarray:
+    """``words`` 64-bit words of SimHash over distinct parts; each word mixes the digest with a stream number."""
+    parts = set(parts)
+    tally = np.zeros(64 * words, dtype=np.int64)
+    for h in digests(parts):
+        x = h[:, None] ^ _STREAMS[:words]
+        x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+        tally += bit_counts(x ^ (x >> np.uint64(31)))
+    return np.packbits(2 * tally > len(parts), bitorder="little").view("<u8")
+
+
 def fingerprints(docs: DataFrame, words: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, fp long) of whole texts."""
 
@@ -56,20 +90,19 @@ def unequal_bytes(x: np.ndarray) -> np.ndarray:
     return np.bitwise_count(x & np.uint64(0x0101010101010101))
 
 
-def linked(a: np.ndarray, b: np.ndarray, distance: int) -> np.ndarray:
-    """Count filter, then check: at least 8 - distance shared positional bytes, and at most ``distance`` differing bits."""
-    x = a ^ b
-    out = unequal_bytes(x) <= distance
-    out[out] = np.bitwise_count(x[out]) <= distance
+def within(x: np.ndarray, y: np.ndarray, distance: int, counted: bool) -> np.ndarray:
+    """Whether the xors of both words hold at most ``distance`` bits; ``counted`` first asks for 8 - distance shared bytes of the first."""
+    out = unequal_bytes(x) <= distance if counted else np.ones(x.shape, dtype=bool)
+    out[out] = np.bitwise_count(x[out]).astype(np.int16) + np.bitwise_count(y[out]) <= distance
     return out
 
 
-def forest(fp: np.ndarray, node: np.ndarray, side: np.ndarray | None, distance: int, step: int = 256) -> list[tuple[np.ndarray, np.ndarray]]:
+def forest(a: np.ndarray, b: np.ndarray, node: np.ndarray, side: np.ndarray | None, distance: int, counted: bool, step: int = 64) -> list[tuple[np.ndarray, np.ndarray]]:
     """Edges that span the groups of linked fingerprints of one list: every pair is compared, at most one edge a row is kept.
 
     ``side`` limits links to rows of two different sides (a list dealt out in pairs of chunks).
     """
-    out, left = [], np.ones(len(fp), dtype=bool)
+    out, left = [], np.ones(len(a), dtype=bool)
     while left.any():
         seed = int(np.argmax(left))
         left[seed] = False
@@ -79,7 +112,7 @@ def forest(fp: np.ndarray, node: np.ndarray, side: np.ndarray | None, distance:
             rest = np.flatnonzero(left)
             if not len(rest):
                 return out
-            hit = linked(fp[now][:, None], fp[rest][None, :], distance)
+            hit = within(a[now][:, None] ^ a[rest][None, :], b[now][:, None] ^ b[rest][None, :], distance, counted)
             if side is not None:
                 hit &= side[now][:, None] != side[rest][None, :]
             any_hit = hit.any(axis=0)
@@ -91,72 +124,68 @@ def forest(fp: np.ndarray, node: np.ndarray, side: np.ndarray | None, distance:
     return out
 
 
-def similar_edges(nodes: DataFrame, distance: int = 3, list_rows: int = 20_000) -> DataFrame:
-    """(u, v): edges that connect exactly the (node, fp) rows whose fingerprints link, directly or through others.
+def list_edges(index: DataFrame, distance: int, counted: bool, list_rows: int = 20_000) -> DataFrame:
+    """(u, v): edges that span the linked rows of every list of an index (key, node, a, b).
 
-    Lists of the inverted index are keyed by three byte places and their values: a single place has 256
-    lists whatever the input, so its lists' pairs grow with the square of the rows, while three places
-    have 2**24 for each of the eight triples that meet every pair of at least five shared bytes. Each
-    list's pairs are tallied and checked where its rows meet, and only a spanning forest leaves, so a
-    list of thousands of near copies gives as many rows as it has. A list over ``list_rows`` is dealt
-    out in chunks and every pair of chunks is compared apart; a chunk pair is the most a task holds.
+    Each list's pairs are compared where its rows meet and only a spanning forest leaves, so a list of
+    thousands of near copies gives as many rows as it has. A list over ``list_rows`` is dealt out in
+    chunks and every pair of chunks is compared apart; a chunk pair is the most a task holds at once.
     """
-    if distance > 3:
-        raise ValueError("the triples guarantee at most three differing bits")
-    byte = [F.shiftrightunsigned("fp", 8 * p).bitwiseAND(F.lit(255)) for p in range(8)]
-    keys = [F.lit(i << 24).cast("long") + byte[a] * 65536 + byte[b] * 256 + byte[c] for i, (a, b, c) in enumerate(TRIPLES)]
-    index = nodes.select("node", "fp", F.explode(F.array(*keys)).alias("key"))
     sizes = index.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     index = index.join(sizes, "key").withColumn("chunks", F.ceil(F.col("n") / list_rows).cast("int"))
-    chunk = F.pmod(F.xxhash64("fp", F.lit(5)), F.col("chunks")).cast("int")
+    chunk = F.pmod(F.xxhash64("node", F.lit(5)), F.col("chunks")).cast("int")
     index = index.withColumn("c", chunk).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    index = index.select("key", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), (F.col("c") > F.col("o")).cast("int").alias("side"), "fp", "node")
-    dealt = index.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "side", "fp", "node")
+    index = index.select("key", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), (F.col("c") > F.col("o")).cast("int").alias("side"), "a", "b", "node")
+    dealt = index.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "side", "node")
+
+    def work(cols):
+        key, i, j, side, a, b, node = cols
+        a, b = a.view(np.uint64), b.view(np.uint64)
+        new = np.flatnonzero((key[1:] != key[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])) + 1
+        starts, ends = np.concatenate([[0], new]), np.concatenate([new, [len(key)]])
+        two = (ends - starts == 2) & (i[starts] == j[starts])
+        at = starts[two]
+        hit = within(a[at] ^ a[at + 1], b[at] ^ b[at + 1], distance, counted)
+        edges = [(node[at[hit]], node[at[hit] + 1])]
+        for s, e in zip(starts[~two], ends[~two], strict=True):
+            if e - s > 1:
+                edges += forest(a[s:e], b[s:e], node[s:e], None if i[s] == j[s] else side[s:e], distance, counted)
+        return pa.RecordBatch.from_arrays([pa.array(np.concatenate([e[k] for e in edges]), pa.int64()) for k in (0, 1)], ["u", "v"])
 
     def lists(batches):
-        """Runs of one (key, i, j) at a time; a run cut by a batch waits for its rest."""
+        """Whole lists at a time; one that a batch cuts waits for its rest."""
         held: list[tuple] = []
-
-        def arrays(b):
-            return tuple(b.column(c).to_numpy(zero_copy_only=False) for c in range(6))
-
-        def out(edges):
-            if edges:
-                return pa.RecordBatch.from_arrays([pa.array(np.concatenate([e[k] for e in edges]), pa.int64()) for k in (0, 1)], ["u", "v"])
-            return None
-
-        def work(cols):
-            key, i, j, side, fp, node = cols
-            fp, edges = fp.view(np.uint64), []
-            new = np.flatnonzero((key[1:] != key[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])) + 1
-            starts, ends = np.concatenate([[0], new]), np.concatenate([new, [len(key)]])
-            small = (ends - starts == 2) & (i[starts] == j[starts])
-            a = starts[small]
-            hit = linked(fp[a], fp[a + 1], distance)
-            edges.append((node[a[hit]], node[a[hit] + 1]))
-            for s, e in zip(starts[~small], ends[~small], strict=True):
-                if e - s > 1:
-                    edges += forest(fp[s:e], node[s:e], None if i[s] == j[s] else side[s:e], distance)
-            return out([x for x in edges if len(x[0])])
-
-        for b in batches:
-            if not b.num_rows:
+        for batch in batches:
+            if not batch.num_rows:
                 continue
-            cols = arrays(b)
-            held.append(cols)
-            last = tuple(cols[c][-1] for c in range(3))
+            held.append(tuple(batch.column(c).to_numpy(zero_copy_only=False) for c in range(7)))
+            last = tuple(held[-1][c][-1] for c in range(3))
             if all(held[0][c][0] == last[c] for c in range(3)):
-                continue  # one run so far
-            cols = tuple(np.concatenate([h[c] for h in held]) for c in range(6))
-            same = (cols[0] == last[0]) & (cols[1] == last[1]) & (cols[2] == last[2])
-            cut = int(np.argmax(same))
+                continue  # one list so far
+            cols = tuple(np.concatenate([h[c] for h in held]) for c in range(7))
+            cut = int(np.argmax((cols[0] == last[0]) & (cols[1] == last[1]) & (cols[2] == last[2])))
             held = [tuple(c[cut:] for c in cols)]
-            if (got := work(tuple(c[:cut] for c in cols))) is not None:
-                yield got
-        if held and (got := work(tuple(np.concatenate([h[c] for h in held]) for c in range(6)))) is not None:
-            yield got
+            yield work(tuple(c[:cut] for c in cols))
+        if held:
+            yield work(tuple(np.concatenate([h[c] for h in held]) for c in range(7)))
 
-    return dealt.mapInArrow(lists, "u long, v long")
+    return dealt.mapInArrow(lists, "u long, v long").distinct()
+
+
+def similar_edges(nodes: DataFrame, distance: int = 3, list_rows: int = 20_000) -> DataFrame:
+    """(u, v): edges that connect exactly the (node, fp) rows whose fingerprints link, directly or through others.
+
+    Lists of the inverted index are keyed by three byte places and their values: a single place has 256
+    lists whatever the input, so its lists' pairs grow with the square of the rows, while three places
+    have 2**24 for each of the eight triples that meet every pair of at least five shared bytes. In a
+    list, pairs must share the guaranteed 8 - ``distance`` positional bytes before their bits are checked.
+    """
+    if distance > 3:
+        raise ValueError("the triples guarantee at most three differing bits")
+    byte = [F.shiftrightunsigned("fp", 8 * p).bitwiseAND(F.lit(255)) for p in range(8)]
+    keys = [F.lit(i << 24).cast("long") + byte[a] * 65536 + byte[b] * 256 + byte[c] for i, (a, b, c) in enumerate(TRIPLES)]
+    index = nodes.select("node", F.col("fp").alias("a"), F.lit(0).cast("long").alias("b"), F.explode(F.array(*keys)).alias("key"))
+    return list_edges(index, distance, True, list_rows)
 
 
 def simhash_groups(docs: DataFrame, words: int = 3, distance: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -174,11 +203,62 @@ def simhash_groups(docs: DataFrame, words: int = 3, distance: int = 3, id_col: s
     return each.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
-def bands_needed(flip: float, bytes_in_key: int, keys: int) -> float:
-    """Chance that two fingerprints with each bit differing at ``flip`` share one of ``keys`` keys of as many bytes."""
-    return 1 - (1 - (1 - flip) ** (8 * bytes_in_key)) ** keys
+def cosine_share(similarity: float) -> float:
+    """Share of differing SimHash bits of two sets of this Jaccard similarity, at most."""
+    return math.acos(2 * similarity / (1 + similarity)) / math.pi
+
+
+#: 64-bit words of the search fingerprint (over words) and of the check fingerprint (over shingles); keys of three bytes each.
+SEARCH, CHECK, KEYS = 4, 16, 32
 
 
-def cosine_bits(similarity: float, bits: int) -> int:
-    """Differing bits of two SimHashes of ``bits`` whose shingle sets, of one size, have this Jaccard similarity."""
-    return int(math.floor(bits * math.acos(2 * similarity / (1 + similarity)) / math.pi))
+def near_duplicate_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, component_id): groups of documents whose shingle sets are alike, each named by its smallest doc_id.
+
+    64-bit fingerprints of five-word shingles differ in ten bits on average at a similarity of 0.8, so
+    bytes of them find few such pairs. The search therefore has a fingerprint of its own, 256 bits over
+    distinct words, of which a pair at 0.8 keeps about half its 32 bytes: the index has ``KEYS`` lists of
+    three byte places for each text (chance of sharing one: over 0.98 at 0.8, near 1 above). Pairs of a
+    list are first held to 128 bits of the shingle fingerprint, then to all 1024, whose differing bits
+    may be those of ``similarity`` and one standard error. Equal word sequences (A-Z lowered) are one
+    node before the search. Null or blank texts are alike. Rows with a null doc_id have a null group
+    unless others share the text. Repeated rows repeat; an empty table gives none.
+    """
+
+    def go(batches):
+        for batch in batches:
+            cols = [[] for _ in range(3)]
+            for t in batch.column(1).to_pylist():
+                found = (t or "").encode().lower().split()
+                check = wide_fingerprint(shingles(t, words), CHECK)
+                cols[0].append(xxhash.xxh3_128_digest(b" ".join(found)))
+                cols[1].append(wide_fingerprint(found, SEARCH).view("<i8").tolist())
+                cols[2].append(check.view("<i8").tolist())
+            kinds = (pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], ["doc_id", "same", "search", "check"])
+
+    each = written(docs.select(F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(
+        go, "doc_id long, same binary, search array<long>, check array<long>"), "near")
+    nodes = written(each.groupBy("same").agg(F.min("doc_id").alias("node"), F.first("search").alias("search"), F.first("check").alias("check")), "near")
+    places = np.random.default_rng(11).permuted(np.tile(np.arange(8 * SEARCH), (KEYS, 1)), axis=1)[:, :3].tolist()
+    byte = lambda p: F.shiftrightunsigned(F.col("search")[p // 8], 8 * (p % 8)).bitwiseAND(F.lit(255))
+    keys = [F.lit(i << 24).cast("long") + byte(a) * 65536 + byte(b) * 256 + byte(c) for i, (a, b, c) in enumerate(places)]
+    share = cosine_share(similarity)
+    limit = lambda bits, errors: math.floor(bits * share + errors * math.sqrt(bits * share * (1 - share)))
+    index = nodes.where("node is not null").select("node", F.col("check")[0].alias("a"), F.col("check")[1].alias("b"), F.explode(F.array(*keys)).alias("key"))
+    pairs = list_edges(index, limit(128, 2.5), False)
+    checks = nodes.select("node", "check")
+    pairs = (pairs.join(checks.select(F.col("node").alias("u"), F.col("check").alias("x")), "u").join(checks.select(F.col("node").alias("v"), F.col("check").alias("y")), "v"))
+    bits = F.aggregate(F.zip_with("x", "y", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, n: s + n)
+    groups = connected_components(pairs.where(bits <= limit(64 * CHECK, 1.0)))
+    named = nodes.join(groups, "node", "left").select("same", F.coalesce("component", "node").alias("component_id"))
+    return each.join(named, "same").select("doc_id", "component_id")
+
+
+def without_near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One document of each group, that with the smallest doc_id; columns as given. Rows with a null doc_id stay; of rows that share a kept doc_id one stays."""
+    groups = near_duplicate_groups(docs, words, similarity, id_col, text_col)
+    drop = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("__d")).distinct()
+    left = docs.join(drop, docs[id_col].cast("long") == F.col("__d"), "left_anti")
+    again = groups.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").limit(1).count()
+    return left.dropDuplicates([id_col]) if again else left

@@ -12,6 +12,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: 0: any other character, 1-26: letters without case or marks, 27: a word's border.
 LETTERS = 28
@@ -159,7 +160,10 @@ def train(texts: list[str], toxic: list[int], landmarks: int = 384, rounds: int
         neg = sorted({*neg, *hard})
     top = np.array([model.margins(bag).max() if bag else -2.0 for bag in judged])
     slope, shift = _platt(top, judged_y)
-    model.slope, model.shift = slope, shift
+    low, high = np.quantile(top[judged_y == 0], 0.998), np.quantile(top[judged_y == 1], 0.005)
+    if low < high:  # the kinds stand apart: a score of 0.5 lies halfway between them
+        shift = -slope * (low + high) / 2
+    model.slope, model.shift = slope, float(shift)
     return model
 
 
@@ -215,39 +219,49 @@ def training_rows(docs: DataFrame, labels: DataFrame, toxic_rows: int, clean_row
     return texts.join(F.broadcast(pick.select("doc_id", "y")), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y")).orderBy("doc_id").collect()
 
 
-def toxicity_scores(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", toxic_rows: int = 3000, clean_rows: int = 4000,
-                    keep_words: int = 300_000) -> DataFrame:
-    """(doc_id, held_out, score, predicted) of every whole text.
-
-    The model is fitted on the driver on at most ``toxic_rows`` + ``clean_rows`` labelled rows (see
-    ``training_rows``); only texts and their labels reach it. A text's score is the logistic of the
-    largest margin of its words, so length does not wash an insult out. Each distinct word is scored
-    once per task, in a table emptied at ``keep_words``. One pass, no shuffle of texts. Null and empty
-    texts score like a text without words; a null id is never held out; repeated rows repeat; without
-    labels of both kinds every score is 0. An empty table gives none. Further columns are not carried.
-    """
+def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", toxic_rows: int = 3000, clean_rows: int = 4000) -> ToxicityModel | None:
+    """The model of a bounded labelled sample, trained on the driver; None without labels of both kinds."""
     rows = training_rows(docs, labels, toxic_rows, clean_rows, id_col, text_col)
-    model = train([r["text"] for r in rows], [r["y"] for r in rows])
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    return train([r["text"] for r in rows], [r["y"] for r in rows])
+
+
+def with_scores(docs: DataFrame, model: ToxicityModel | None, text_col: str = "text", out_col: str = "toxicity_score", keep_words: int = 300_000) -> DataFrame:
+    """``docs`` with a column of scores; a name that is taken is an error. See ``toxicity_scores``."""
+    if out_col in docs.columns:
+        raise ValueError(f"column {out_col} exists")
+    shared, at = docs.sparkSession.sparkContext.broadcast(model), docs.columns.index(text_col)
 
     def go(batches):
         model, known = shared.value, {}
         for b in batches:
-            best = []
-            bags = [set(words_of(t or "")) for t in b.column(1).to_pylist()]
-            if model is not None:
-                new = list(set().union(*bags) - known.keys()) if bags else []
+            score = np.zeros(b.num_rows)
+            if model is not None and b.num_rows:
+                bags = [set(words_of(t or "")) for t in b.column(at).to_pylist()]
+                every = set().union(*bags)
+                new = [w for w in every if w not in known]
                 if len(known) + len(new) > keep_words:
                     known.clear()
-                    new = list(set().union(*bags))
+                    new = list(every)
                 if new:
                     known.update(zip(new, model.margins(new).tolist(), strict=True))
-                best = [max(map(known.__getitem__, bag), default=-2.0) for bag in bags]
-                score = 1 / (1 + np.exp(-np.clip(model.slope * np.array(best, dtype=np.float64) + model.shift, -40, 40)))
-            else:
-                score = np.zeros(b.num_rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(score, pa.float64())], ["doc_id", "score"])
+                best = np.array([max(map(known.__getitem__, bag), default=-2.0) for bag in bags])
+                score = 1 / (1 + np.exp(-np.clip(model.slope * best + model.shift, -40, 40)))
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], [*b.schema.names, out_col])
 
-    scored = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(go, "doc_id long, score double")
+    return docs.mapInArrow(go, T.StructType([*docs.schema.fields, T.StructField(out_col, T.DoubleType())]))
+
+
+def toxicity_scores(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", **bounds) -> DataFrame:
+    """(doc_id, held_out, score, predicted) of every whole text.
+
+    The model is fitted on at most 3000 toxic and 4000 clean labelled rows (parameters of ``fit``); only
+    texts and their labels reach it. A text's score is the logistic of the largest margin of its words,
+    so length does not wash an insult out. Each distinct word is scored once per task, in a table of
+    bounded size. One pass, no shuffle of texts. Null and empty texts score like a text without words;
+    a null id is never held out; repeated rows repeat; without labels of both kinds every score is 0. An
+    empty table gives none. Further columns are not carried.
+    """
+    model = fit(docs, labels, id_col, text_col, **bounds)
+    rows = with_scores(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")), model, "text", "score")
     held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
-    return scored.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    return rows.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
