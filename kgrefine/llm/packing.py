@@ -147,14 +147,15 @@ def pack_documents(docs: DataFrame, tokenizer_path: str | None = None, id_col: s
 
         for b in batches:
             type_ = b.schema.field(0).type
-            for doc, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                ids = bpe.ids(text.as_py()) + close
-                n = len(ids) // 4
-                kept[serial] = [doc, ids, n, n]
-                packer.add(serial, n, n - 1)
-                serial += 1
-            if packer.out:
-                yield flush()
+            for at in range(0, b.num_rows, 256):
+                part = b.slice(at, 256)
+                for doc, ids in zip(part.column(0).to_pylist(), bpe.ids(part.column(1).to_pylist()), strict=True):
+                    n = len(ids) // 4 + 1
+                    kept[serial] = [doc, ids + close, n, n]
+                    packer.add(serial, n, n - 1)
+                    serial += 1
+                if packer.out:
+                    yield flush()
         packer.finish()
         if packer.out:
             yield flush()

@@ -23,9 +23,10 @@ def default_path(name: str) -> str:
 class WordBpe:
     """Ids of a lower-casing word BPE, equal to the tokenizers library's, with pieces kept in a bounded table.
 
-    The vocabulary splits text into pieces that are encoded apart, and a corpus repeats its pieces: each
-    new one is encoded by the library once and its ids are kept as bytes. Texts with characters outside
-    ``_SAFE`` go to the library whole. The table is emptied at ``keep`` pieces.
+    The vocabulary splits text into pieces that are encoded apart, and a corpus repeats its pieces: the
+    new ones of a batch are encoded by the library once, side by side, and cut after each token that
+    ends a word; their ids are kept as bytes. Texts with characters outside ``_SAFE`` go to the library
+    whole. The table is emptied at ``keep`` pieces.
     """
 
     def __init__(self, path: str, keep: int = 400_000):
@@ -34,26 +35,28 @@ class WordBpe:
 
         self.tok, self.keep, self.known = Tokenizer.from_file(path), keep, {}
         self.tok.encode_special_tokens = True
+        self.closes = np.zeros(self.tok.get_vocab_size(), dtype=bool)
+        self.closes[[i for t, i in self.tok.get_vocab().items() if t.endswith("</w>")]] = True
 
     def whole(self, text: str) -> bytes:
         return np.asarray(self.tok.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
-    def ids(self, text: str) -> bytes:
-        """Little-endian unsigned 32-bit ids."""
-        if _SAFE.search(text):
-            return self.whole(text)
-        pieces = _PIECE.findall(text.lower())
-        known = self.known
-        try:
-            return b"".join([known[p] for p in pieces])
-        except KeyError:
-            new = [p for p in dict.fromkeys(pieces) if p not in known]
-            if len(known) + len(new) > self.keep:
-                known.clear()
-                new = list(dict.fromkeys(pieces))
-            for p, e in zip(new, self.tok.encode_batch_fast(new, add_special_tokens=False), strict=True):
-                known[p] = np.asarray(e.ids, dtype="<u4").tobytes()
-            return b"".join([known[p] for p in pieces])
+    def learn(self, pieces: list[str], step: int = 512) -> None:
+        chunks = [pieces[i : i + step] for i in range(0, len(pieces), step)]
+        for chunk, got in zip(chunks, self.tok.encode_batch_fast([" ".join(c) for c in chunks], add_special_tokens=False), strict=True):
+            ids = np.asarray(got.ids, dtype="<u4")
+            ends = (4 * (np.flatnonzero(self.closes[ids]) + 1)).tolist()
+            raw = ids.tobytes()
+            self.known.update(zip(chunk, [raw[a:b] for a, b in zip([0, *ends], ends, strict=False)], strict=True))
+
+    def ids(self, texts: list[str]) -> list[bytes]:
+        """Little-endian unsigned 32-bit ids of each text."""
+        split = [None if _SAFE.search(t) else _PIECE.findall(t.lower()) for t in texts]
+        if len(self.known) > self.keep:
+            self.known.clear()
+        self.learn([p for p in set().union(*(p for p in split if p)) if p not in self.known])
+        get = self.known.__getitem__
+        return [self.whole(t) if p is None else b"".join(map(get, p)) for t, p in zip(texts, split, strict=True)]
 
 
 def word_bpe(path: str) -> WordBpe:
