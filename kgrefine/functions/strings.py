@@ -35,7 +35,7 @@ def jaro_winkler_py(a: str, b: str, weight: float = 0.1, from_: float = 0.7) ->
     if not m:
         return 0.0
     theirs = [c for c, u in zip(b, used, strict=True) if u]
-    moved = sum(x != y for x, y in zip(mine, theirs, strict=True)) / 2
+    moved = sum(x != y for x, y in zip(mine, theirs, strict=True)) // 2
     jaro = (m / len(a) + m / len(b) + (m - moved) / m) / 3
     if jaro <= from_:
         return jaro

@@ -68,7 +68,8 @@ def complete_json(text: str | None) -> str | None:
             quoted = True
         elif c in "{[":
             stack.append("}" if c == "{" else "]")
-            cuts.append((i + 1, tuple(stack)))
+            if c == "[" or len(stack) == 1:  # an object without a complete member is left out
+                cuts.append((i + 1, tuple(stack)))
         elif c in "}]":
             if not stack or stack[-1] != c:
                 break

@@ -24,10 +24,11 @@ def expand_aliases(ents: DataFrame, name_col: str = "name", extra_plain_initial:
 
 
 def word_pairs(docs: DataFrame) -> DataFrame:
-    """(doc_id, w1, w2, snippet): neighbouring words of each text, punctuation but a stop after an initial dropped."""
+    """(doc_id, w1, w2): neighbouring words of each text, punctuation but a stop after an initial dropped."""
     words = F.filter(F.transform(F.split(F.coalesce("text", F.lit("")), r"\s+"), lambda w: F.regexp_replace(w, r"^[^\p{L}]+|[^\p{L}.]+$", "")), lambda w: w != "")
-    pairs = F.transform(F.slice(words, 2, F.greatest(F.size(words), F.lit(1))), lambda w, i: F.struct(F.element_at(words, i + 1).alias("w1"), w.alias("w2")))
-    return docs.select("doc_id", F.inline(pairs))
+    rows = docs.select("doc_id", F.explode(F.array(words)).alias("w"))  # a generator keeps the array from being computed again for each use
+    pairs = F.arrays_zip(F.slice("w", F.lit(1), F.greatest(F.size("w") - 1, F.lit(0))).alias("w1"), F.slice("w", F.lit(2), F.greatest(F.size("w") - 1, F.lit(0))).alias("w2"))
+    return rows.select("doc_id", F.inline(pairs))
 
 
 def mine_variants(ents: DataFrame, docs: DataFrame, tau: float = DEFAULT.variant_ratio) -> DataFrame:
@@ -54,7 +55,7 @@ def mine_variants(ents: DataFrame, docs: DataFrame, tau: float = DEFAULT.variant
 
 def alias_search(queries: DataFrame, ents: DataFrame) -> DataFrame:
     """(query_id, ent_id): entities with an alias equal to the query, case and white space folded."""
-    a = ents.select("ent_id", S.norm_name(F.explode("aliases")).alias("q")).distinct()
+    a = ents.select("ent_id", F.explode("aliases").alias("q")).select("ent_id", S.norm_name(F.col("q")).alias("q")).distinct()
     return queries.select("query_id", S.norm_name(F.col("query")).alias("q")).join(a, "q").select("query_id", "ent_id").distinct()
 
 

@@ -104,14 +104,16 @@ def block_vector(vecs: DataFrame, k: int = DEFAULT.neighbours, method: str = "ex
     else:
         n = max(1, math.ceil(rows.count() / slab))
         put = rows.withColumn("s", F.pmod(F.xxhash64("id"), F.lit(n)).cast("int"))
-        left, right = put.withColumn("o", F.explode(F.sequence(F.lit(0), F.lit(n - 1)))), put.select("id", "vec", F.col("s").alias("o")).withColumn("s", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
+        every = F.sequence(F.lit(0), F.lit(n - 1))
+        left = put.select("id", "vec", "s", F.explode(every).alias("o"))
+        right = put.select(F.col("id").alias("id2"), F.col("vec").alias("vec2"), F.explode(every).alias("s2"), F.col("s").alias("o2"))
 
         def tile(x: pd.DataFrame, y: pd.DataFrame) -> pd.DataFrame:
             if x.empty or y.empty:
                 return pd.DataFrame({"a": pd.Series(dtype="int64"), "b": pd.Series(dtype="int64"), "cos": pd.Series(dtype="float64")})
             unit = lambda m: m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
-            a, b = unit(np.stack(x["vec"].to_numpy())), unit(np.stack(y["vec"].to_numpy()))
-            xi, yi, out = x["id"].to_numpy(), y["id"].to_numpy(), []
+            a, b = unit(np.stack(x["vec"].to_numpy())), unit(np.stack(y["vec2"].to_numpy()))
+            xi, yi, out = x["id"].to_numpy(), y["id2"].to_numpy(), []
             for at in range(0, len(a), 512):
                 cos = a[at : at + 512] @ b.T
                 cos[xi[at : at + 512, None] == yi[None, :]] = -2
@@ -119,7 +121,7 @@ def block_vector(vecs: DataFrame, k: int = DEFAULT.neighbours, method: str = "ex
                 out.append(pd.DataFrame({"a": np.repeat(xi[at : at + 512], take.shape[1]), "b": yi[take].ravel(), "cos": np.take_along_axis(cos, take, 1).ravel()}))
             return pd.concat(out)
 
-        near = left.groupBy("s", "o").cogroup(right.groupBy("s", "o")).applyInPandas(tile, "a long, b long, cos double").where("cos > -2")
+        near = left.groupBy("s", "o").cogroup(right.groupBy("s2", "o2")).applyInPandas(tile, "a long, b long, cos double").where("cos > -2")
     top = near.withColumn("r", F.row_number().over(Window.partitionBy("a").orderBy(F.desc("cos"), "b"))).where(F.col("r") <= k)
     return top.groupBy(F.least("a", "b").alias("left_id"), F.greatest("a", "b").alias("right_id")).agg(F.max("cos").alias("cos"))
 
@@ -213,7 +215,8 @@ def clusters(merged: DataFrame, ents: DataFrame, keys: tuple[str, ...] = DISCRIM
     fine = comp.join(bad, "component", "left_anti").select("ent_id", F.col("component").alias("canonical_id"))
     values = F.array(*[F.lower(F.col("props")[k]) for k in keys])
     nodes = known.join(bad, "component", "left_semi").select("component", "ent_id", values.alias("vals"))
-    edges = merged.select(F.col("left_id").cast("long").alias("ent_id"), F.col("right_id").cast("long").alias("right_id"), "score").join(comp, "ent_id").join(bad, "component", "left_semi").select("component", F.col("ent_id").alias("left_id"), "right_id", "score")
+    edges = merged.select(F.col("left_id").cast("long").alias("ent_id"), F.col("right_id").cast("long").alias("right_id"), "score").join(comp, "ent_id").join(bad, "component", "left_semi").select(
+        F.col("component").alias("component2"), F.col("ent_id").alias("left_id"), "right_id", "score")
 
     def admit(n: pd.DataFrame, e: pd.DataFrame) -> pd.DataFrame:
         root = {i: i for i in n["ent_id"]}
@@ -232,7 +235,7 @@ def clusters(merged: DataFrame, ents: DataFrame, keys: tuple[str, ...] = DISCRIM
                 held[a] = [y if x is None else x for x, y in zip(held[a], held[b], strict=True)]
         return pd.DataFrame({"ent_id": list(root), "canonical_id": [find(i) for i in root]}).astype("int64")
 
-    split = nodes.groupBy("component").cogroup(edges.groupBy("component")).applyInPandas(admit, "ent_id long, canonical_id long")
+    split = nodes.groupBy("component").cogroup(edges.groupBy("component2")).applyInPandas(admit, "ent_id long, canonical_id long")
     return fine.unionByName(split)
 
 

@@ -4,8 +4,12 @@ from __future__ import annotations
 
 
 def queries() -> dict:
-    return {}
+    from . import methods, relational
+
+    return {**methods.QUERIES, **relational.QUERIES}
 
 
 def oracle_sql() -> dict:
-    return {}
+    from . import methods, relational
+
+    return {**methods.SQL, **relational.SQL}
