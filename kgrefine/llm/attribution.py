@@ -7,7 +7,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .vocabulary import byte_bpe, default_path
+from .vocabulary import byte_bpe, default_path, slices
 
 RULES = ("start", "end", "majority", "fraction")
 
@@ -76,7 +76,7 @@ def attribute_tokens(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
 
     def count(batches):
         bpe = byte_bpe(path)
-        for batch in batches:
+        for batch in slices(batches):
             ids, texts = batch.column(0), batch.column(1)
             rows, section, lo_all, hi_all, got = [], [], [], [], []
             for i in range(batch.num_rows):

@@ -11,7 +11,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .vocabulary import default_path, word_bpe
+from .vocabulary import default_path, slices, word_bpe
 
 
 @dataclass
@@ -145,17 +145,15 @@ def pack_documents(docs: DataFrame, tokenizer_path: str | None = None, id_col: s
             return pa.RecordBatch.from_arrays([pa.array(cols[0], type_), *(pa.array(c, pa.int64()) for c in cols[1:])],
                                               ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"])
 
-        for b in batches:
-            type_ = b.schema.field(0).type
-            for at in range(0, b.num_rows, 256):
-                part = b.slice(at, 256)
-                for doc, ids in zip(part.column(0).to_pylist(), bpe.ids(part.column(1).to_pylist()), strict=True):
-                    n = len(ids) // 4 + 1
-                    kept[serial] = [doc, ids + close, n, n]
-                    packer.add(serial, n, n - 1)
-                    serial += 1
-                if packer.out:
-                    yield flush()
+        for part in slices(batches, 256):
+            type_ = part.schema.field(0).type
+            for doc, ids in zip(part.column(0).to_pylist(), bpe.ids(part.column(1).to_pylist()), strict=True):
+                n = len(ids) // 4 + 1
+                kept[serial] = [doc, ids + close, n, n]
+                packer.add(serial, n, n - 1)
+                serial += 1
+            if packer.out:
+                yield flush()
         packer.finish()
         if packer.out:
             yield flush()

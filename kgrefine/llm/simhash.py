@@ -14,6 +14,8 @@ from pyspark.sql import functions as F
 from kgrefine.plans.components import connected_components
 from kgrefine.plans.scratch import written
 
+from .vocabulary import slices
+
 BITS = 64
 #: Any five of eight byte places hold three places of one half, so these eight triples meet every pair with five equal bytes.
 TRIPLES = tuple(t for half in ((0, 1, 2, 3), (4, 5, 6, 7)) for t in combinations(half, 3))
@@ -77,7 +79,7 @@ def fingerprints(docs: DataFrame, words: int = 3, id_col: str = "doc_id", text_c
     """(doc_id, fp long) of whole texts."""
 
     def go(batches):
-        for b in batches:
+        for b in slices(batches):
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([fingerprint(shingles(t, words)) for t in b.column(1).to_pylist()], pa.int64())], ["doc_id", "fp"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(go, "doc_id long, fp long")
@@ -226,7 +228,7 @@ def near_duplicate_groups(docs: DataFrame, words: int = 5, similarity: float = 0
     """
 
     def go(batches):
-        for batch in batches:
+        for batch in slices(batches):
             cols = [[] for _ in range(3)]
             for t in batch.column(1).to_pylist():
                 found = (t or "").encode().lower().split()

@@ -9,6 +9,8 @@ from pyspark.sql import functions as F
 
 from kgrefine.plans.scratch import written
 
+from .vocabulary import slices
+
 FEATURES = ("distinct_words", "repeated_next", "pipes", "symbols", "shouts", "upper", "digits", "stops", "word_length", "distinct_lines", "log_words", "length_by_distinct")
 
 
@@ -30,7 +32,7 @@ def document_features(docs: DataFrame, host: Column, path: Column, id_col: str =
     """(doc_id, host, path, x array<double>) in one pass over whole texts."""
 
     def go(batches):
-        for b in batches:
+        for b in slices(batches):
             x = [evidence(t or "") for t in b.column(3).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(x, pa.list_(pa.float64()))], ["doc_id", "host", "path", "x"])
 

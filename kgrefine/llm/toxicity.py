@@ -14,6 +14,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .vocabulary import slices
+
 #: 0: any other character, 1-26: letters without case or marks, 27: a word's border.
 LETTERS = 28
 WIDTH, GAP, DECAY = 24, 3, 0.6
@@ -105,16 +107,13 @@ class ToxicityModel:
         return project(words, self.table) + self.bias
 
 
-def _copies(texts: list[list[str]]) -> list[int]:
-    """Places of texts that share none of four smallest shingle hashes with one before: copies teach the same words again."""
-    seen, out = set(), []
-    for i, w in enumerate(texts):
-        parts = {" ".join(w[j : j + 5]) for j in range(max(1, len(w) - 4))}
-        marks = {(s, min(xxhash.xxh3_64_intdigest(p, s) for p in parts)) for s in range(4)}
-        if not marks & seen:
-            out.append(i)
-        seen |= marks
-    return out
+def _copy(words: list[str], seen: set) -> bool:
+    """Whether a text shares one of its four smallest shingle hashes with one before, which ``seen`` holds: copies teach the same words again."""
+    parts = {" ".join(words[j : j + 5]) for j in range(max(1, len(words) - 4))}
+    marks = {(s, min(xxhash.xxh3_64_intdigest(p, s) for p in parts)) for s in range(4)}
+    hit = bool(marks & seen)
+    seen |= marks
+    return hit
 
 
 def train(texts: list[str], toxic: list[int], landmarks: int = 384, rounds: int = 4, seed: int = 3) -> ToxicityModel | None:
@@ -125,9 +124,14 @@ def train(texts: list[str], toxic: list[int], landmarks: int = 384, rounds: int
     of clean texts the negative ones; landmarks are drawn from both. Words are seen through the kernel,
     so a word with letters put between or left out, or another ending, falls beside its kin.
     """
-    bags = [words_of(t) for t in texts]
-    keep = _copies(bags)
-    bags, y = [list(dict.fromkeys(bags[i])) for i in keep], np.array([toxic[i] for i in keep])
+    one: dict[str, str] = {}  # equal words share one object
+    bags, labels, seen = [], [], set()
+    for text, label in zip(texts, toxic, strict=True):
+        words = words_of(text)
+        if not _copy(words, seen):
+            bags.append([one.setdefault(w, w) for w in dict.fromkeys(words)])
+            labels.append(label)
+    y = np.array(labels, dtype=np.int64)
     if not y.any() or y.all():
         return None
     apart = np.arange(len(y)) % 4 == 0  # every fourth text is kept for the scores
@@ -175,14 +179,17 @@ def _fit(pos: list[str], neg: list[str], marks: list[str]) -> ToxicityModel:
     val, vec = np.linalg.eigh((basis.T @ basis).astype(np.float64))
     half = vec @ np.diag(1 / np.sqrt(np.maximum(val, 1e-4))) @ vec.T
     words = pos + neg
-    x = np.array([v @ basis[u] for u, v in features(words)]) @ half
+    x = np.empty((len(words), len(marks)), dtype=np.float32)
+    for at in range(0, len(words), 1000):
+        x[at : at + 1000] = [v @ basis[u] for u, v in features(words[at : at + 1000])]
+    x = x @ half.astype(np.float32)
     t = np.array([1.0] * len(pos) + [-1.0] * len(neg))
     c = np.where(t > 0, 0.5 / len(pos), 0.5 / len(neg))
     w, b, reg = np.zeros(x.shape[1]), 0.0, np.diag([1e-4] * x.shape[1] + [1e-9])
     for _ in range(30):  # Newton steps on the active rows
         act = t * (x @ w + b) < 1
-        xa = np.hstack([x[act], np.ones((int(act.sum()), 1))])
-        new = np.linalg.solve((xa * c[act][:, None]).T @ xa + reg, (xa * (c * t)[act][:, None]).sum(axis=0))
+        xa = np.hstack([x[act], np.ones((int(act.sum()), 1), dtype=np.float32)])
+        new = np.linalg.solve((xa * c[act][:, None].astype(np.float32)).T @ xa + reg, (xa * (c * t)[act][:, None]).sum(axis=0))
         done = np.abs(new - np.append(w, b)).max() < 1e-6
         w, b = new[:-1], float(new[-1])
         if done:
@@ -219,13 +226,13 @@ def training_rows(docs: DataFrame, labels: DataFrame, toxic_rows: int, clean_row
     return texts.join(F.broadcast(pick.select("doc_id", "y")), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y")).orderBy("doc_id").collect()
 
 
-def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", toxic_rows: int = 3000, clean_rows: int = 4000) -> ToxicityModel | None:
+def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", toxic_rows: int = 2000, clean_rows: int = 2500) -> ToxicityModel | None:
     """The model of a bounded labelled sample, trained on the driver; None without labels of both kinds."""
     rows = training_rows(docs, labels, toxic_rows, clean_rows, id_col, text_col)
     return train([r["text"] for r in rows], [r["y"] for r in rows])
 
 
-def with_scores(docs: DataFrame, model: ToxicityModel | None, text_col: str = "text", out_col: str = "toxicity_score", keep_words: int = 300_000) -> DataFrame:
+def with_scores(docs: DataFrame, model: ToxicityModel | None, text_col: str = "text", out_col: str = "toxicity_score", keep_words: int = 200_000) -> DataFrame:
     """``docs`` with a column of scores; a name that is taken is an error. See ``toxicity_scores``."""
     if out_col in docs.columns:
         raise ValueError(f"column {out_col} exists")
@@ -233,9 +240,9 @@ def with_scores(docs: DataFrame, model: ToxicityModel | None, text_col: str = "t
 
     def go(batches):
         model, known = shared.value, {}
-        for b in batches:
+        for b in slices(batches):
             score = np.zeros(b.num_rows)
-            if model is not None and b.num_rows:
+            if model is not None:
                 bags = [set(words_of(t or "")) for t in b.column(at).to_pylist()]
                 every = set().union(*bags)
                 new = [w for w in every if w not in known]
@@ -254,7 +261,7 @@ def with_scores(docs: DataFrame, model: ToxicityModel | None, text_col: str = "t
 def toxicity_scores(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", **bounds) -> DataFrame:
     """(doc_id, held_out, score, predicted) of every whole text.
 
-    The model is fitted on at most 3000 toxic and 4000 clean labelled rows (parameters of ``fit``); only
+    The model is fitted on at most 2000 toxic and 2500 clean labelled rows (parameters of ``fit``); only
     texts and their labels reach it. A text's score is the logistic of the largest margin of its words,
     so length does not wash an insult out. Each distinct word is scored once per task, in a table of
     bounded size. One pass, no shuffle of texts. Null and empty texts score like a text without words;

@@ -14,6 +14,13 @@ _SAFE = re.compile("[^\x09-\x0d\x20-\x7eÀ-ÖØ-öø-ÿŒœ]")
 _PIECE = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿœ]+|[0-9]|[^\\sa-zß-öø-ÿœ0-9]+")
 
 
+def slices(batches, rows: int = 512):
+    """Arrow batches in parts of at most ``rows`` rows, which bounds what one step holds in Python."""
+    for b in batches:
+        for at in range(0, b.num_rows, rows):
+            yield b.slice(at, rows)
+
+
 def default_path(name: str) -> str:
     import public_tokenizers
 
