@@ -67,7 +67,7 @@ def schedule(spark, targets: DataFrame, slots: int, sequence: str = "golden", ce
 
 
 def mix_sources(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most_epochs: int = 3, block: int = 32, sequence: str = "golden",
-                seed: int = 17, rows_per_bucket: int = 20_000) -> DataFrame:
+                seed: int = 17, rows_per_bucket: int = 5_000) -> DataFrame:
     """(row_key, doc_id, source, size, source_size, target, taken, copies) for each document.
 
     Every source's documents, in the order of a seeded hash, form one stream of words, read round and
