@@ -134,6 +134,22 @@ def candidate_pairs(ents: DataFrame, strategy: str = "blocked", scope: tuple[str
     return met.join(a, [*scope, "left_id"]).join(b, [*scope, "right_id"])
 
 
+#: Property names that tell a role, an organisation or a place.
+CONTEXT_KEYS = {"role": ("role", "position", "title"), "org": ("org", "organisation", "organization", "employer"), "loc": ("loc", "location", "place", "city")}
+
+
+def context_attributes(ents: DataFrame, keys: dict[str, tuple[str, ...]] = CONTEXT_KEYS) -> DataFrame:
+    """(ent_id, type, value, confidence, source_text): role, organisation and place from the property map; the first synonym with a value counts."""
+    parts = [F.struct(F.lit(k).alias("type"), F.coalesce(*[F.col("props")[n] for n in ns]).alias("value"), F.lit(1.0).alias("confidence"), F.coalesce(*[F.when(F.col("props")[n].isNotNull(), n) for n in ns]).alias("source_text")) for k, ns in keys.items()]
+    return ents.select("ent_id", F.inline(F.array(*parts))).where("value is not null")
+
+
+def alias_occurrences(mined: DataFrame, docs: DataFrame, width: int = 30, most: int = 3) -> DataFrame:
+    """Adds up to ``most`` snippets, ``width`` characters on each side of the alias, to mined aliases of a document."""
+    near = F.regexp_extract_all(F.col("text"), F.concat(F.lit("(?is).{0,%d}" % width), F.regexp_replace("alias", r"([^A-Za-z0-9])", r"\\$1"), F.lit(".{0,%d}" % width)), F.lit(0))
+    return mined.join(docs.select("doc_id", "text"), "doc_id").withColumn("snippets", F.slice(near, 1, most)).drop("text")
+
+
 def fingerprint(ents: DataFrame, core: Column, context: tuple[str, ...] = ("role", "org", "loc")) -> DataFrame:
     """Adds ``fingerprint``: a digest of type, core name and the context in a fixed order."""
     parts = [F.coalesce(F.lower(F.col(k)), F.lit("")) for k in context]

@@ -4,12 +4,12 @@ from __future__ import annotations
 
 
 def queries() -> dict:
-    from . import methods, relational
+    from . import extras, methods, relational
 
-    return {**methods.QUERIES, **relational.QUERIES}
+    return {**methods.QUERIES, **extras.QUERIES, **relational.QUERIES}
 
 
 def oracle_sql() -> dict:
-    from . import methods, relational
+    from . import extras, methods, relational
 
-    return {**methods.SQL, **relational.SQL}
+    return {**methods.SQL, **extras.SQL, **relational.SQL}
