@@ -755,22 +755,32 @@ def legacy_vs_full(s, d):
     return out
 
 
+_FILES = """with nm as (select p_partkey - 1 as n, p_name from part), pl as (select doc_id, text || chr(10) || 'seen: ' || p_name as text from documents join nm on n = doc_id % (select count(*) from part)),
+fl as (select doc_id // 20 as file_id, string_agg(text, chr(10) order by doc_id) as text from pl group by 1), g as (select distinct p_name from part)"""
+
+
 def _ablation_sql(pages_per_chunk: int) -> str:
     size = 1500 * pages_per_chunk
-    return f"""(with c as (select doc_id, i, substring(text, i * {size} + 1, {size}) as text from documents, range(0, 1000) r(i) where i * {size} < length(text)),
- h as (select c.doc_id, c.i, b.item_id, row_number() over (partition by c.doc_id, c.i order by b.item_id) as rn from c join benchmark b on contains(c.text, b.text))
- select {pages_per_chunk} as chunk_pages, (select count(*) from c) as calls, count(distinct item_id) filter (rn <= 1) as gold_found from h)"""
+    return f"""(with c as (select file_id, i, substring(text, i * {size} + 1, {size}) as text from fl, range(0, 10000) r(i) where i * {size} < length(text)),
+ h as (select c.file_id, p_name, row_number() over (partition by c.file_id, c.i order by p_name) as rn from c join g on contains(c.text, p_name))
+ select {pages_per_chunk} as chunk_pages, (select count(*) from c) as calls, (select count(*) from (select distinct file_id, p_name from h where rn <= 1)) as found, (select count(*) from (select distinct file_id, p_name from h)) as present from h limit 1)"""
 
 
-@q(f"select * from {_ablation_sql(5)} union all select * from {_ablation_sql(2)}")
+@q(f"{_FILES} select * from {_ablation_sql(5)} union all select * from {_ablation_sql(2)}")
 def chunk_size_ablation(s, d):
-    """Gold passages found when a provider returns at most one for each chunk, with five and with two pages to a chunk."""
-    docs, gold = t(s, d, "documents"), t(s, d, "benchmark").select("item_id", F.col("text").alias("gold"))
+    """Planted names found in files of twenty documents when a provider returns at most one for each chunk, with five and with two pages to a chunk."""
+    nm = t(s, d, "part").select((F.col("p_partkey") - 1).alias("n"), "p_name")
+    count = nm.agg(F.count("*").alias("count"))
+    docs = t(s, d, "documents").select("doc_id", "text").crossJoin(F.broadcast(count)).withColumn("n", F.col("doc_id") % F.col("count")).join(nm, "n")
+    line = F.struct("doc_id", F.concat("text", F.lit("\nseen: "), "p_name").alias("x"))
+    # a file is twenty documents, so a group is bounded
+    files = docs.groupBy(F.expr("doc_id div 20").alias("doc_id")).agg(F.array_join(F.transform(F.array_sort(F.collect_list(line)), lambda r: r["x"]), "\n").alias("text"))
+    gold = F.broadcast(t(s, d, "part").select("p_name").distinct())  # 64 names at any scale
     out = None
     for pages_ in (5, 2):
-        c = chunks.chunk_chars(docs.where("length(text) > 0"), 1500 * pages_, 0, annotate=False)
-        # the gold list is a fixed set of known passages, met by chunks in blocks
-        hits = c.join(F.broadcast(gold), F.contains(F.col("text"), F.col("gold"))).withColumn("rn", F.row_number().over(Window.partitionBy("doc_id", "chunk_no").orderBy("item_id")))
-        row = c.agg(F.count("*").alias("calls")).crossJoin(hits.agg(F.count_distinct(F.when(F.col("rn") <= 1, F.col("item_id"))).alias("gold_found"))).select(F.lit(pages_).alias("chunk_pages"), "calls", "gold_found")
+        c = chunks.chunk_chars(files, 1500 * pages_, 0, annotate=False)
+        hits = c.join(gold, F.contains(F.col("text"), F.col("p_name"))).withColumn("rn", F.row_number().over(Window.partitionBy("doc_id", "chunk_no").orderBy("p_name")))
+        got = hits.agg(F.count_distinct(F.when(F.col("rn") <= 1, F.struct("doc_id", "p_name"))).alias("found"), F.count_distinct("doc_id", "p_name").alias("present"))
+        row = c.agg(F.count("*").alias("calls")).crossJoin(got).select(F.lit(pages_).alias("chunk_pages"), "calls", "found", "present")
         out = row if out is None else out.unionByName(row)
     return out
