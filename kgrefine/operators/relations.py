@@ -22,13 +22,13 @@ def dedup_relations(rels: DataFrame, mode: str = "union") -> DataFrame:
     unite, otherwise the larger set stays. ``first`` keeps the qualifiers of the smallest ``ord``.
     """
     if mode == "union":
-        each = rels.select(*KEY, "ord", F.explode_outer("quals").alias("k", "v"))
-        by_key = each.groupBy(*KEY, "k").agg(F.min(F.struct("ord", "v")).alias("m"), F.collect_set("v").alias("vs"))
+        # a null key beside a row's own counts the rows, so one scan gives both
+        entries = F.concat(F.transform(F.map_entries("quals"), lambda e: F.struct(e["key"].alias("k"), e["value"].alias("v"))), F.array(F.struct(F.lit(None).cast("string").alias("k"), F.lit(None).cast("string").alias("v"))))
+        each = rels.select(*KEY, "ord", F.inline(F.coalesce(entries, F.array(F.struct(F.lit(None).cast("string").alias("k"), F.lit(None).cast("string").alias("v"))))))
+        by_key = each.groupBy(*KEY, "k").agg(F.min(F.struct("ord", "v")).alias("m"), F.collect_set("v").alias("vs"), F.count("*").alias("n"))
         quals = F.map_from_entries(F.array_sort(F.collect_list(F.when(F.col("k").isNotNull(), F.struct("k", F.col("m.v"))))))
         alts = F.map_from_entries(F.array_sort(F.collect_list(F.when(F.size("vs") > 1, F.struct(F.col("k"), F.array_sort("vs"))))))
-        out = by_key.groupBy(*KEY).agg(quals.alias("quals"), alts.alias("alternatives"))
-        n = rels.groupBy(*KEY).agg(F.count("*").alias("n_merged"))
-        return out.join(n, KEY).select(*KEY, "quals", "n_merged", "alternatives")
+        return by_key.groupBy(*KEY).agg(quals.alias("quals"), F.max(F.when(F.col("k").isNull(), F.col("n"))).alias("n_merged"), alts.alias("alternatives"))
     none = F.lit(None).cast("map<string,array<string>>").alias("alternatives")
     if mode == "first":
         return rels.groupBy(*KEY).agg(F.min_by("quals", "ord").alias("quals"), F.count("*").alias("n_merged")).select("*", none)
