@@ -18,7 +18,7 @@ def dedup_relations(rels: DataFrame, mode: str = "union") -> DataFrame:
 
     ``union`` keeps every qualifier key: of several values of a key the one of the smallest ``ord`` is
     primary and all stand in ``alternatives``. It is commutative, so qualifiers are exploded and summed
-    with partial aggregates. ``fold`` walks the copies by ``ord`` as the paper's sequential rule does: equal sizes
+    with partial aggregates. ``fold`` walks the copies in the order of ``ord``: equal sizes
     unite, otherwise the larger set stays. ``first`` keeps the qualifiers of the smallest ``ord``.
     """
     if mode == "union":

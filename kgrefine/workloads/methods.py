@@ -1,4 +1,4 @@
-"""The paper's experiment workloads on the given tables, each with the SQL of the same rows where SQL can express it."""
+"""The experiment workloads on the given tables, each with the SQL of the same rows where SQL can express it."""
 
 from __future__ import annotations
 
