@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -11,11 +13,15 @@ from kgrefine.plans.scratch import written
 
 from .vocabulary import slices
 
-FEATURES = ("distinct_words", "repeated_next", "pipes", "symbols", "shouts", "upper", "digits", "stops", "word_length", "distinct_lines", "log_words", "length_by_distinct")
+FEATURES = ("distinct_words", "repeated_next", "pipes", "symbols", "shouts", "upper", "stops", "word_length", "distinct_lines", "log_words", "length_by_distinct")
+
+_DIGIT, _NUMBERS = re.compile("[0-9]"), re.compile(r"(?<!\S)[^\s0-9]*+[0-9]\S*")
 
 
 def evidence(text: str) -> list[float]:
-    """Shape of one whole text, in the order of ``FEATURES``; zeros for an empty one."""
+    """Shape of one whole text, in the order of ``FEATURES``; zeros for an empty one. Words with digits (numbers, keys, addresses) say nothing of quality and are left out."""
+    if _DIGIT.search(text):
+        text = _NUMBERS.sub(" ", text)
     words, n = text.split(), len(text)
     if not words:
         return [0.0] * len(FEATURES)
@@ -25,7 +31,7 @@ def evidence(text: str) -> list[float]:
     distinct = len(set(words)) / w
     log_words = float(np.log1p(w))
     return [distinct, sum(map(str.__eq__, words, words[1:])) / w, tally[124] / w, sum(int(tally[c]) for c in b"#$%&*^~<>{}\\") / n, tally[33] / w,
-            int(tally[65:91].sum()) / n, int(tally[48:58].sum()) / n, int(tally[44] + tally[46]) / w, n / w, len(set(lines)) / len(lines), log_words, log_words * distinct]
+            int(tally[65:91].sum()) / n, int(tally[44] + tally[46]) / w, n / w, len(set(lines)) / len(lines), log_words, log_words * distinct]
 
 
 def document_features(docs: DataFrame, host: Column, path: Column, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
