@@ -15,6 +15,21 @@ def token_estimate(text: Column) -> Column:
     return F.floor(F.length(text) / 4).cast("long")
 
 
+def catalog_none(docs: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """The unguided baseline: an empty catalogue for every document."""
+    return docs.select(F.col(id_col).alias("doc_id"), F.lit("").alias("catalogue"), F.lit(0).cast("long").alias("tokens"))
+
+
+def prompt_policy(explicit_only: bool = True, no_grid: bool = True) -> list[str]:
+    """Rules for an extraction prompt that keep one statement from becoming a grid of relations; the guard after extraction is ``gates.detect_grid``."""
+    rules = []
+    if explicit_only:
+        rules.append("State a relation only if one sentence names both ends and the relation.")
+    if no_grid:
+        rules.append("Do not combine every member of one list with every member of another.")
+    return rules
+
+
 def build_slices(classes: DataFrame, predicates: DataFrame | None = None, domain_col: str = "domain") -> DataFrame:
     """(domain, slice, tokens): one pre-rendered catalogue for each domain, lines in label order."""
     line = F.concat_ws(" : ", "label", "definition")
@@ -248,6 +263,14 @@ def with_cache(requests: DataFrame, minutes: int = DEFAULT.cache_minutes) -> Dat
     return rows.withColumn("hit", F.row_number().over(order) > 1)
 
 
+def with_store(requests: DataFrame, store: DataFrame | None) -> DataFrame:
+    """Adds ``stored``, the catalogue kept for a request's ``cache_key`` (from ``with_cache``), null on a miss; ``store`` has (cache_key, catalogue)."""
+    if store is None:
+        return requests.withColumn("stored", F.lit(None).cast("string"))
+    kept = store.groupBy("cache_key").agg(F.min("catalogue").alias("stored"))
+    return requests.join(kept, "cache_key", "left")
+
+
 def circuit_breaker(requests: DataFrame, seconds: int = DEFAULT.breaker_seconds) -> DataFrame:
     """(source, req_id, ts, failed, state) for (source, req_id, ts, failed): a failure opens the breaker for ``seconds``; failures while open do not extend it.
 

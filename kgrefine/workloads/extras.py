@@ -85,11 +85,10 @@ def union_transcripts(s, d):
     return pages.union_transcripts(docs.unionByName(docs.select("page_id", F.substring("text", 1, 400).alias("text"))))
 
 
-@q("""with a as (select doc_id, regexp_replace(text, '[^ -~]', 'x', 'g') as text from documents)
-select doc_id, round(levenshtein(substring(text, 1, 60), substring(text, 2, 60)) / greatest(length(substring(text, 2, 60)), 1), 6) as cer from a""")
+@q("""with a as (select item_id, regexp_replace(text, '[^ -~]', 'x', 'g') as text from benchmark) select item_id, round(levenshtein(replace(text, 'e', ''), text) / greatest(length(text), 1), 6) as cer from a""")
 def character_error_rate(s, d):
-    docs = t(s, d, "documents").select("doc_id", F.regexp_replace("text", "[^ -~]", "x").alias("text"))
-    return docs.select("doc_id", F.round(M.cer(F.substring("text", 1, 60), F.substring("text", 2, 60)), 6).alias("cer"))
+    b = t(s, d, "benchmark").select("item_id", F.regexp_replace("text", "[^ -~]", "x").alias("text"))
+    return b.select("item_id", F.round(M.cer(F.replace("text", F.lit("e"), F.lit("")), F.col("text")), 6).alias("cer"))
 
 
 @q("""with e as (select p_partkey, map_from_entries([('role', p_brand), ('org', p_type), ('loc', case when p_size > 25 then cast(p_size as varchar) end)]) as m from part) select p_partkey as ent_id, k as type, m[k] as value from e, (values ('role'), ('org'), ('loc')) v(k) where m[k] is not null""")
@@ -207,7 +206,7 @@ def resolution_review(s, d):
     e = _parts_as_entities(s, d)
     pairs = resolve.block_union(phonetic=resolve.block_phonetic(e), vector=resolve.block_vector(e.select(F.col("ent_id").alias("vec_id"), "vec")))
     decided = resolve.decide_resolution(resolve.score_pairs(pairs, e), review=0.5)
-    rule = names.decide_rule(names.context_agreement(names.name_similarity(names.candidate_pairs(views.homonyms(s, d).where("ent_id <= 400"), keep=("name", "org"))), ("org",))).where("action = 'manual_review'")
+    rule = names.decide_rule(names.context_agreement(names.name_similarity(names.candidate_pairs(views.homonyms(s, d), keep=("name", "org"))), ("org",))).where("action = 'manual_review'")
     return resolve.review_queue(rule, decided.where("action in ('manual_review', 'codename_candidate')")).groupBy("layer").agg(F.count("*").alias("n"))
 
 
@@ -238,3 +237,73 @@ def catalogue_text(s, d):
     """Rendered catalogues of the live retrieval."""
     classes, _, _, best = _hits(s, d)
     return ontology.render_catalog(best.join(classes.select("class_id", "label", "definition"), "class_id")).select("doc_id", F.length("catalogue").alias("n"), "tokens")
+
+
+@q("select doc_id, '' as catalogue, 0::bigint as tokens from documents")
+def catalog_none(s, d):
+    return ontology.catalog_none(t(s, d, "documents"))
+
+
+@q("""with r as (select event_id, user_id % 20 as u, event_type, floor(epoch_us(ts) / 600000000.0) as slot from events), kept as (select distinct u, event_type, slot from r where event_id % 2 = 0)
+select r.event_id as req_id, k.u is not null as stored from r left join kept k on r.u = k.u and r.event_type = k.event_type and r.slot = k.slot""")
+def cache_store(s, d):
+    """Requests that find a catalogue kept by an earlier run, which saw every second request."""
+    e = t(s, d, "events").select(F.col("event_id").alias("req_id"), "ts", F.concat_ws("/", (F.col("user_id") % 20).cast("string"), "event_type").alias("text"))
+    keyed = ontology.with_cache(e)
+    store = keyed.where("req_id % 2 = 0").select("cache_key", F.lit("kept").alias("catalogue"))
+    return ontology.with_store(keyed, store).select("req_id", F.col("stored").isNotNull().alias("stored"))
+
+
+@q(None)
+def search_recall(s, d):
+    """Hits of four forms of each planted name by the name alone, with expanded aliases, and with mined variants as well."""
+    docs, ents = views.planted_text(s, d)
+    tk = F.split("name", " ")
+    wrong = F.when(F.col("doc_id") % 2 == 0, F.concat(F.substring(tk[0], 1, 1), F.substring(tk[0], 3, 100))).otherwise(F.concat(tk[0], F.substring(tk[0], -1, 1)))
+    forms = {"full": F.col("name"), "initial": F.concat(F.substring(tk[0], 1, 1), F.lit(". "), tk[1]), "initials": F.concat(F.substring(tk[0], 1, 1), F.substring(tk[1], 1, 1)), "misspelt": F.concat(wrong, F.lit(" "), tk[1])}
+    qs = ents.select("ent_id", F.inline(F.array(*[F.struct(F.lit(k).alias("form"), S.norm_name(v).alias("q")) for k, v in forms.items()])))
+    bare = ents.select("ent_id", F.col("name").alias("a"))
+    more = names.expand_aliases(ents).select("ent_id", F.explode("aliases").alias("a"))
+    mined = names.mine_variants(ents, docs).select("ent_id", F.col("alias").alias("a"))
+    out = None
+    for name, known in {"name": bare, "aliases": more, "aliases and variants": more.unionByName(mined)}.items():
+        hit = qs.join(known.select("ent_id", S.norm_name(F.col("a")).alias("q")).distinct(), ["ent_id", "q"], "left_semi")
+        row = qs.agg(F.count("*").alias("queries")).crossJoin(hit.agg(F.count("*").alias("hits"))).withColumn("known", F.lit(name)).withColumn("recall", F.round(F.col("hits") / F.col("queries"), 4))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@q(None)
+def provider_comparison(s, d):
+    """Two providers on the same chunks, one held to three names an answer, against the names that stand in the text."""
+    c = chunks.chunk_chars(t(s, d, "documents").where("length(text) > 0"), annotate=False)
+    gold = c.select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all("text", F.lit("[A-Z][a-z]+ [A-Z][a-z]+"), F.lit(0)))).alias("name"))
+    out = None
+    for name, opts in {"unlimited": {}, "three an answer": {"limit": 3}}.items():
+        found = extract.parse_entities(extract.recover_json(extract.run_provider(c, extract.get_provider("rule", **opts))))
+        row = M.set_f1(found, gold, ["doc_id", "name"]).withColumn("provider", F.lit(name))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@q(None)
+def retry_budget(s, d):
+    """Chunks answered and left by number of tries, when the provider fails on every third document."""
+    import pandas as pd
+
+    def provider(batches):
+        for pdf in batches:
+            ok = pdf["doc_id"] % 3 != 0
+            yield pd.DataFrame({"doc_id": pdf["doc_id"], "chunk_no": pdf["chunk_no"], "answer": ok.map({True: '{"entities":[]}', False: "no answer"})})
+
+    good, left = extract.retry_loop(chunks.chunk_chars(t(s, d, "documents"), annotate=False), provider, 1)
+    return good.groupBy(F.col("attempt").cast("string").alias("outcome")).agg(F.count("*").alias("n")).unionByName(left.agg(F.count("*").alias("n")).select(F.lit("failed").alias("outcome"), "n"))
+
+
+@q(None)
+def second_pass_edges(s, d):
+    """Co-occurring names of a document's catalogue in its chunks, for documents that the gate sends to a second pass."""
+    docs, ents = views.planted_text(s, d)
+    two = ents.unionByName(ents.select("doc_id", F.concat("ent_id", F.lit("x")).alias("ent_id"), "type", F.split("name", " ")[1].alias("name")))
+    found = extract.second_pass(two, chunks.chunk_chars(docs, annotate=False))
+    return found.groupBy("doc_id").agg(F.count("*").alias("edges"))

@@ -246,11 +246,11 @@ def predicates_ancestor(s, d):
 
 @q("""with w as (select item_id, unnest(string_split_regex(lower(text), '[^a-z0-9]+')) as term from benchmark), tf as (select item_id, term, count(*) as tf from w where term <> '' group by all),
 len as (select item_id, sum(tf) as len from tf group by all), df as (select term, count(*) as df from tf group by all), st as (select count(*) as n, avg(len) as mean from len),
-qt as (select distinct doc_id, unnest(list_slice(string_split_regex(lower(text), '[^a-z0-9]+'), 1, 12)) as term from documents)
+qt as (select distinct doc_id, unnest(string_split_regex(lower(text), '[^a-z0-9]+')) as term from documents)
 select doc_id, item_id as pred_id, round(sum(ln(1 + (n - df + 0.5) / (df + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * len / mean))), 4) as bm25 from qt join tf using (term) join df using (term) join len using (item_id), st group by all""")
 def predicates_fulltext(s, d):
     b = t(s, d, "benchmark").select(F.col("item_id").alias("pred_id"), F.lit("").alias("label"), F.col("text").alias("definition"))
-    terms = t(s, d, "documents").select("doc_id", F.explode(F.slice(F.split(F.lower("text"), "[^a-z0-9]+"), 1, 12)).alias("term"))
+    terms = t(s, d, "documents").select("doc_id", F.explode(F.array_distinct(F.split(F.lower("text"), "[^a-z0-9]+"))).alias("term"))
     return ontology.predicate_fulltext(terms, b).select("doc_id", "pred_id", F.round("bm25", 4).alias("bm25"))
 
 
@@ -592,21 +592,21 @@ def blocking_quality(s, d):
 
 
 def _parts_as_entities(s, d):
-    p = t(s, d, "part").where("p_partkey <= 400")
-    props = F.create_map(F.lit("org"), F.col("p_type"), F.lit("employee_no"), F.col("p_brand"))
-    e = p.select(F.col("p_partkey").alias("ent_id"), F.col("p_name").alias("name"), F.lit("PERSON").alias("type"), props.alias("props"), (F.col("p_partkey") % 50).alias("doc_id"), F.lit(0).alias("chunk_no"))
-    e = names.expand_aliases(e)
-    return resolve.embed_ngrams(resolve.render_entity(e), "rendered")
+    """Parts after the rule layer, one entity for each name and brand; brands with an odd last digit are a discriminator."""
+    p = t(s, d, "part").groupBy("p_name", "p_brand").agg(F.min("p_partkey").alias("ent_id"), F.min("p_type").alias("org"))
+    props = F.map_filter(F.create_map(F.lit("org"), F.col("org"), F.lit("employee_no"), F.when(F.col("p_brand").rlike("[13579]$"), F.col("p_brand"))), lambda k, v: v.isNotNull())
+    e = p.select("ent_id", F.col("p_name").alias("name"), F.lit("PERSON").alias("type"), props.alias("props"), (F.col("ent_id") % 50).alias("doc_id"), F.lit(0).alias("chunk_no"))
+    return resolve.embed_ngrams(resolve.render_entity(names.expand_aliases(e)), "rendered")
 
 
 @q(None)
 def phonetic_blocks(s, d):
-    return resolve.block_phonetic(t(s, d, "part").select(F.col("p_partkey").alias("ent_id"), F.col("p_name").alias("name")).where("ent_id <= 400"))
+    return resolve.block_phonetic(_parts_as_entities(s, d))
 
 
 @q(None)
 def resolution_decisions(s, d):
-    """Embed, block, score and decide the first parts as entities, whose names are shared and whose brands conflict."""
+    """Embed, block, score and decide parts as entities, whose names are shared and whose brands may conflict."""
     e = _parts_as_entities(s, d)
     pairs = resolve.block_union(phonetic=resolve.block_phonetic(e), vector=resolve.block_vector(e.select(F.col("ent_id").alias("vec_id"), "vec")))
     decided = resolve.decide_resolution(resolve.score_pairs(pairs, e))
@@ -660,9 +660,16 @@ def failure_rerun(s, d):
 
 @q(None)
 def worker_simulation(s, d):
-    """Makespan and wait of the first thousand requests with 10 and 4 workers."""
-    durations = [r[0] for r in t(s, d, "events").orderBy("event_id").limit(1000).select("value").collect()]
-    return s.createDataFrame([M.simulate_workers(durations, k) for k in (1, 4, 10)], "workers int, makespan double, mean_wait double")
+    """Mean makespan and wait of each hour's requests with 1, 4 and 10 workers; an hour is one small group."""
+    import pandas as pd
+
+    def hour(pdf):
+        jobs = pdf.sort_values("event_id")["value"].tolist()
+        return pd.DataFrame([{"jobs": len(jobs), **M.simulate_workers(jobs, k)} for k in (1, 4, 10)])
+
+    e = t(s, d, "events").select("event_id", F.coalesce("value", F.lit(0.0)).alias("value"), F.date_trunc("hour", F.col("ts").cast("timestamp")).alias("h"))
+    rows = e.groupBy("h").applyInPandas(hour, "jobs long, workers int, makespan double, mean_wait double")
+    return rows.groupBy("workers").agg(F.sum("jobs").alias("jobs"), F.round(F.avg("makespan"), 4).alias("makespan"), F.round(F.avg("mean_wait"), 4).alias("mean_wait"))
 
 
 # tables
