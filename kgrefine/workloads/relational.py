@@ -372,14 +372,14 @@ def stream_stateful(s, d):
 
 @q(None)
 def stream_late_data(s, d):
-    """Early, on-time and late rows in three batches: the row behind the watermark is dropped."""
+    """Early, on-time and late rows in batches: the row behind the watermark of the batch before is dropped."""
     import uuid
 
     from kgrefine.plans.scratch import scratch_dir
     from kgrefine.streaming.intake import drain, windowed_counts
 
     path = f"{scratch_dir(s)}/late-{uuid.uuid4().hex}"
-    for n, rows in enumerate(([("2024-01-01 10:00:00", "a")], [("2024-01-01 15:00:00", "a")], [("2024-01-01 10:30:00", "late")], [("2024-01-02 10:00:00", "b")])):
+    for n, rows in enumerate(([("2024-01-01 10:00:00", "a")], [("2024-01-01 15:00:00", "a")], [("2024-01-01 15:05:00", "a")], [("2024-01-01 10:30:00", "late")], [("2024-01-02 10:00:00", "b")])):
         s.createDataFrame(rows, "ts string, event_type string").select(F.to_timestamp("ts").alias("ts"), "event_type").coalesce(1).write.mode("append").parquet(f"{path}/p{n}")
     stream = s.readStream.schema("ts timestamp, event_type string").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True).parquet(path)
     return drain(windowed_counts(stream, "1 hour", delay="1 hour"), "late").select(F.date_format("w_start", "yyyy-MM-dd HH:mm").alias("w_start"), "event_type", "n")
