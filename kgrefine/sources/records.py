@@ -78,3 +78,9 @@ def result_envelopes(ents: DataFrame, rels: DataFrame, pairs: DataFrame, ids: Da
         n = nest(df, name)
         out = out.join(n, "doc_id", "left").withColumn(name, F.coalesce(name, F.array().cast(dict(n.dtypes)[name])))
     return out
+
+
+def write_bucketed(df: DataFrame, name: str, key: str, buckets: int, path: str) -> DataFrame:
+    """``df`` as a bucketed, sorted external table: later joins and aggregates on ``key`` with tables of as many buckets need no exchange."""
+    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).option("path", path).saveAsTable(name)
+    return df.sparkSession.table(name)

@@ -307,6 +307,20 @@ def io_roundtrip(s, d):
     return s.read.schema(n.schema).option("header", True).csv(f"{base}/c")
 
 
+@q("select o_custkey, count(*) as n, cast(sum(l_quantity) as bigint) as qty from lineitem join orders on l_orderkey = o_orderkey group by 1")
+def join_bucketed(s, d):
+    """Edges and documents bucketed by document: the join reads both sides as they lie."""
+    import uuid
+
+    from kgrefine.plans.scratch import scratch_dir
+    from kgrefine.sources.records import write_bucketed
+
+    tag, base = uuid.uuid4().hex, scratch_dir(s)
+    a = write_bucketed(t(s, d, "lineitem").select(F.col("l_orderkey").alias("k"), "l_quantity"), f"kg_edges_{tag}", "k", 8, f"{base}/edges-{tag}")
+    b = write_bucketed(t(s, d, "orders").select(F.col("o_orderkey").alias("k"), "o_custkey"), f"kg_docs_{tag}", "k", 8, f"{base}/docs-{tag}")
+    return a.join(b.hint("merge"), "k").groupBy("o_custkey").agg(F.count("*").alias("n"), F.sum("l_quantity").cast("long").alias("qty"))
+
+
 # streaming: the batch query is the twin
 
 

@@ -240,6 +240,13 @@ def test_plans(spark, small):
     assert "CartesianProduct" not in plan_of(pairs) and "BroadcastNestedLoopJoin" not in plan_of(pairs)
 
 
+def test_bucketed_join_has_no_exchange_below_it(spark, small):
+    from kgrefine import workloads
+
+    p = plan_of(workloads.queries()["join_bucketed"](spark, small)).split("== Physical Plan ==")[1]
+    assert p.count("Exchange hashpartitioning") <= 1 and "SortMergeJoin" in p
+
+
 def test_library_does_not_import_the_text_subpackage():
     from pathlib import Path
 
