@@ -11,7 +11,7 @@ import numpy as np
 _LOADED: dict = {}
 #: Letters for which Python's and the tokenizer's lower case, letter class and composition agree: printable ASCII and Latin letters with marks.
 _SAFE = re.compile("[^\x09-\x0d\x20-\x7eÀ-ÖØ-öø-ÿŒœ]")
-_PIECE = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿœ]+|[0-9]|[^\\sa-zß-öø-ÿœ0-9]+")
+_PIECE = re.compile("[a-zß-öø-ÿœ]+|[0-9]|'(?:s|t|re|ve|m|ll|d)|[^\\sa-zß-öø-ÿœ0-9]+")
 
 
 def slices(batches, rows: int = 512):
