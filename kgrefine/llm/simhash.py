@@ -205,56 +205,142 @@ def simhash_groups(docs: DataFrame, words: int = 3, distance: int = 3, id_col: s
     return each.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
-def cosine_share(similarity: float) -> float:
-    """Share of differing SimHash bits of two sets of this Jaccard similarity, at most."""
-    return math.acos(2 * similarity / (1 + similarity)) / math.pi
+#: 64-bit words of the search fingerprint (over words); keys of three bytes each.
+SEARCH, KEYS = 4, 32
+_PLACES = np.random.default_rng(11).permuted(np.tile(np.arange(8 * SEARCH), (KEYS, 1)), axis=1)[:, :3]
 
 
-#: 64-bit words of the search fingerprint (over words) and of the check fingerprint (over shingles); keys of three bytes each.
-SEARCH, CHECK, KEYS = 4, 16, 32
+def search_keys(found: list[bytes], hashed: np.ndarray) -> np.ndarray:
+    """Keys of the lists a text stands in; texts that share none are never compared. None without words."""
+    if not found:
+        return np.zeros(0, dtype=np.int64)
+    byte = wide_fingerprint(found, SEARCH).view(np.uint8).astype(np.int64)[_PLACES]
+    return (np.arange(KEYS, dtype=np.int64) << 24) + byte[:, 0] * 65536 + byte[:, 1] * 256 + byte[:, 2]
 
 
-def near_duplicate_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, component_id): groups of documents whose shingle sets are alike, each named by its smallest doc_id.
+def shingle_set(parts: list[bytes]) -> np.ndarray:
+    """The distinct shingles' XXH64, sorted."""
+    return np.unique(np.concatenate([np.zeros(0, dtype="<u8"), *digests(set(parts))]))
 
-    64-bit fingerprints of five-word shingles differ in ten bits on average at a similarity of 0.8, so
-    bytes of them find few such pairs. The search therefore has a fingerprint of its own, 256 bits over
-    distinct words, of which a pair at 0.8 keeps about half its 32 bytes: the index has ``KEYS`` lists of
-    three byte places for each text (chance of sharing one: over 0.98 at 0.8, near 1 above). Pairs of a
-    list are first held to 128 bits of the shingle fingerprint, then to all 1024, whose differing bits
-    may be those of ``similarity`` and one standard error. Equal word sequences (A-Z lowered) are one
-    node before the search. Null or blank texts are alike. Rows with a null doc_id have a null group
-    unless others share the text. Repeated rows repeat; an empty table gives none.
+
+def alike(x: np.ndarray, y: np.ndarray, similarity: float) -> bool:
+    """Whether the Jaccard similarity of two sorted sets is at least ``similarity``."""
+    few, many = sorted((len(x), len(y)))
+    if few < similarity * many * (1 - 1e-12):
+        return False
+    both = np.concatenate([x, y])
+    both.sort()
+    shared = int(np.count_nonzero(both[1:] == both[:-1]))
+    return shared / (few + many - shared) >= similarity
+
+
+def exact_forest(rows: list[tuple], similarity: float, two_sides: bool) -> list[tuple[int, int]]:
+    """Edges that span the groups of alike sets among (node, side, keys, set) rows.
+
+    A pair is tested, on its whole sets, if it shares a key; it is left untested only where both rows are
+    already joined by alike pairs. ``two_sides`` limits tests to rows of different sides.
     """
+    keys, sides = np.stack([r[2] for r in rows]), np.array([r[1] for r in rows])
+    out, left = [], np.ones(len(rows), dtype=bool)
+    for seed in range(len(rows)):
+        if not left[seed]:
+            continue
+        left[seed] = False
+        queue = [seed]
+        while queue:
+            now = queue.pop()
+            rest = np.flatnonzero(left & (sides != sides[now])) if two_sides else np.flatnonzero(left)
+            for k in rest[(keys[rest] == keys[now]).any(axis=1)].tolist():
+                if alike(rows[now][3], rows[k][3], similarity):
+                    out.append((rows[now][0], rows[k][0]))
+                    left[k] = False
+                    queue.append(k)
+    return out
+
+
+def verified_edges(nodes: DataFrame, texts: DataFrame, words: int, similarity: float, group_words: int = 4_000_000, group_rows: int = 5_000) -> DataFrame:
+    """(u, v): edges that span the groups of nodes whose shingle sets are alike, of (node, size, keys) and (node, text).
+
+    Lists of one key only say which nodes may be alike: every node of a list is tied to its smallest,
+    and the components of these ties hold all pairs to test. Each text goes to its component once, where
+    pairs are decided by exact Jaccard before anything is thinned out. A component over ``group_words``
+    words or ``group_rows`` rows is dealt out in chunks, and every pair of chunks is tested apart.
+    """
+    index = nodes.select("node", F.explode("keys").alias("key"))
+    heads = index.groupBy("key").agg(F.min("node").alias("head"), F.count("*").alias("n")).where("n > 1").drop("n")
+    ties = connected_components(index.join(heads, "key").where("node <> head").select(F.col("node").alias("u"), F.col("head").alias("v")))
+    member = ties.join(nodes, "node")
+    share = F.greatest(F.sum("size") / group_words, F.count("*") / group_rows)
+    member = member.join(member.groupBy("component").agg(F.ceil(share).cast("int").alias("chunks")), "component")
+    member = member.withColumn("c", F.pmod(F.xxhash64("node", F.lit(5)), F.greatest("chunks", F.lit(1))).cast("int"))
+    member = member.withColumn("o", F.explode(F.sequence(F.lit(0), F.greatest("chunks", F.lit(1)) - 1)))
+    dealt = (member.select("component", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), (F.col("c") > F.col("o")).cast("int").alias("side"), "node", "keys")
+             .join(texts, "node").select("component", "i", "j", "side", "node", "keys", "text")
+             .repartition("component", "i", "j").sortWithinPartitions("component", "i", "j", "node"))
+
+    def go(batches):
+        at, held = None, []
+        for batch in slices(batches):
+            edges = []
+            for *group, side, node, keys, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if group != at:
+                    edges += exact_forest(held, similarity, at[1] != at[2]) if len(held) > 1 else []
+                    at, held = group, []
+                held.append((node, side, np.array(keys, dtype=np.int64), shingle_set(shingles(text, words))))
+            yield pairs(edges)
+        if len(held) > 1:
+            yield pairs(exact_forest(held, similarity, at[1] != at[2]))
+
+    def pairs(edges):
+        return pa.RecordBatch.from_arrays([pa.array([e[k] for e in edges], pa.int64()) for k in (0, 1)], ["u", "v"])
+
+    return dealt.mapInArrow(go, "u long, v long")
+
+
+def near_duplicate_rows(rows: DataFrame, words: int, similarity: float, id_col: str, text_col: str) -> DataFrame:
+    """(row, doc_id, root, component_id) of stored rows numbered by ``__row``; ``root`` tells groups apart, also those of one doc_id."""
 
     def go(batches):
         for batch in slices(batches):
             cols = [[] for _ in range(3)]
-            for t in batch.column(1).to_pylist():
+            for t in batch.column(2).to_pylist():
                 found = (t or "").encode().lower().split()
-                check = wide_fingerprint(shingles(t, words), CHECK)
+                hashed = shingle_set(shingles(t, words))
                 cols[0].append(xxhash.xxh3_128_digest(b" ".join(found)))
-                cols[1].append(wide_fingerprint(found, SEARCH).view("<i8").tolist())
-                cols[2].append(check.view("<i8").tolist())
-            kinds = (pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], ["doc_id", "same", "search", "check"])
-
-    each = written(docs.select(F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(
-        go, "doc_id long, same binary, search array<long>, check array<long>"), "near")
-    nodes = written(each.groupBy("same").agg(F.min("doc_id").alias("node"), F.first("search").alias("search"), F.first("check").alias("check")), "near")
-    places = np.random.default_rng(11).permuted(np.tile(np.arange(8 * SEARCH), (KEYS, 1)), axis=1)[:, :3].tolist()
-    byte = lambda p: F.shiftrightunsigned(F.col("search")[p // 8], 8 * (p % 8)).bitwiseAND(F.lit(255))
-    keys = [F.lit(i << 24).cast("long") + byte(a) * 65536 + byte(b) * 256 + byte(c) for i, (a, b, c) in enumerate(places)]
-    share = cosine_share(similarity)
-    limit = lambda bits, errors: math.floor(bits * share + errors * math.sqrt(bits * share * (1 - share)))
-    index = nodes.where("node is not null").select("node", F.col("check")[0].alias("a"), F.col("check")[1].alias("b"), F.explode(F.array(*keys)).alias("key"))
-    pairs = list_edges(index, limit(128, 2.5), False)
-    checks = nodes.select("node", "check")
-    pairs = (pairs.join(checks.select(F.col("node").alias("u"), F.col("check").alias("x")), "u").join(checks.select(F.col("node").alias("v"), F.col("check").alias("y")), "v"))
-    bits = F.aggregate(F.zip_with("x", "y", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, n: s + n)
-    groups = connected_components(pairs.where(bits <= limit(64 * CHECK, 1.0)))
-    named = nodes.join(groups, "node", "left").select("same", F.coalesce("component", "node").alias("component_id"))
-    return each.join(named, "same").select("doc_id", "component_id")
+                cols[1].append(len(found))
+                cols[2].append(search_keys(found, hashed).tolist())
+            kinds = (pa.binary(), pa.int64(), pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))],
+                                             ["row", "doc_id", "same", "size", "keys"])
+
+    each = written(rows.select("__row", F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(
+        go, "row long, doc_id long, same binary, size long, keys array<long>"), "near")
+    nodes = written(each.groupBy("same").agg(F.min("row").alias("node"), F.min("doc_id").alias("least"), F.first("size").alias("size"), F.first("keys").alias("keys")), "near")
+    texts = rows.select(F.col("__row").alias("node"), F.col(text_col).alias("text"))
+    groups = connected_components(verified_edges(nodes.where("least is not null").select("node", "size", "keys"), texts, words, similarity))
+    named = written(nodes.join(groups, "node", "left").select("same", "least", F.coalesce("component", "node").alias("root")), "near")
+    names = named.groupBy("root").agg(F.min("least").alias("component_id"))
+    return each.join(named.join(names, "root"), "same").select("row", "doc_id", "root", "component_id")
+
+
+def numbered(docs: DataFrame) -> DataFrame:
+    """The rows, stored with a number each, so that rows of one id or of none can be told apart."""
+    return written(docs.withColumn("__row", F.monotonically_increasing_id()), "rows")
+
+
+def near_duplicate_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, component_id): groups of documents linked by shingle sets of at least this Jaccard, each named by its smallest doc_id.
+
+    64-bit fingerprints of five-word shingles differ in ten bits on average at a similarity of 0.8, so
+    bytes of them find few such pairs. The search therefore has a fingerprint of its own, 256 bits over
+    distinct words, of which a pair at 0.8 keeps about half its 32 bytes: the index has ``KEYS`` lists of
+    three byte places for each text. Pairs that share a list are decided by the exact Jaccard of their
+    shingle sets. Equal word sequences (A-Z lowered) are one node before the search. Null or blank texts
+    are alike. Rows with a null doc_id have a null group unless others share the text. Repeated rows
+    repeat; an empty table gives none.
+    """
+    rows = numbered(docs.select(id_col, text_col))
+    return near_duplicate_rows(rows, words, similarity, id_col, text_col).select("doc_id", "component_id")
 
 
 def without_near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -233,6 +233,29 @@ def test_near_duplicates_equal_brute_force(spark, small):
         assert any(a in p for p in linked) or sets[a] == sets[b]
 
 
+def test_a_loosely_alike_text_does_not_part_copies(spark):
+    rng = np.random.default_rng(3)
+    base = [f"w{x}" for x in range(600)]
+
+    def edited(n):
+        out = list(base)
+        for at in rng.choice(299, n, replace=False):  # the same words, so that all texts share every key of words
+            out[2 * at], out[2 * at + 1] = out[2 * at + 1], out[2 * at]
+        return " ".join(out)
+
+    rows = [(0, edited(13))] + [(i, edited(2)) for i in range(1, 61)]  # the first is under 0.8 to each, the others over 0.8 to each other
+    sets = {i: set(simhash.shingles(t, 5)) for i, t in rows}
+    like = {(a, b): len(sets[a] & sets[b]) / len(sets[a] | sets[b]) for a in sets for b in sets if a < b}
+    assert all((j >= 0.8) == (a > 0) and j >= 0.6 for (a, b), j in like.items())
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {r["doc_id"]: r["component_id"] for r in simhash.near_duplicate_groups(df).collect()} == {0: 0} | dict.fromkeys(range(1, 61), 1)
+    nodes = df.select(F.col("doc_id").alias("node"), F.lit(600).cast("long").alias("size"), F.array(F.lit(1).cast("long")).alias("keys"))
+    from kgrefine.plans.components import connected_components
+
+    edges = simhash.verified_edges(nodes, df.withColumnRenamed("doc_id", "node"), 5, 0.8, group_rows=7)  # dealt out in chunk pairs
+    assert {r["node"]: r["component"] for r in connected_components(edges).collect()} == dict.fromkeys(range(1, 61), 1)
+
+
 def test_near_duplicates_odd(odd, none):
     left = simhash.without_near_duplicates(odd)
     assert left.columns == odd.columns
