@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import math
 from itertools import combinations
 
 import numpy as np
@@ -60,21 +59,6 @@ def fingerprint(parts: list[bytes]) -> int:
     return int(np.packbits(2 * tally > len(parts), bitorder="little").view("<i8")[0])
 
 
-_STREAMS = np.arange(1, 65, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
-
-
-def wide_fingerprint(parts, words: int) -> np.ndarray:
-    """``words`` 64-bit words of SimHash over distinct parts; each word mixes the digest with a stream number."""
-    parts = set(parts)
-    tally = np.zeros(64 * words, dtype=np.int64)
-    for h in digests(parts):
-        x = h[:, None] ^ _STREAMS[:words]
-        x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-        x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-        tally += bit_counts(x ^ (x >> np.uint64(31)))
-    return np.packbits(2 * tally > len(parts), bitorder="little").view("<u8")
-
-
 def fingerprints(docs: DataFrame, words: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, fp long) of whole texts."""
 
@@ -205,17 +189,32 @@ def simhash_groups(docs: DataFrame, words: int = 3, distance: int = 3, id_col: s
     return each.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
-#: 64-bit words of the search fingerprint (over words); keys of three bytes each.
-SEARCH, KEYS = 4, 32
-_PLACES = np.random.default_rng(11).permuted(np.tile(np.arange(8 * SEARCH), (KEYS, 1)), axis=1)[:, :3]
+#: Lists a text stands in, and min-wise hashes that make up a list's key.
+BANDS, BAND = 40, 6
+_MULTIPLY = np.random.default_rng(11).integers(0, 2**32, BANDS * BAND, dtype=np.uint32) | np.uint32(1)
+_ADD = np.random.default_rng(12).integers(0, 2**32, BANDS * BAND, dtype=np.uint32)
+
 
+def search_keys(hashed: np.ndarray, chunk: int = 256) -> np.ndarray:
+    """Keys of the lists a shingle set stands in; sets that share none are never compared. None for an empty set.
 
-def search_keys(found: list[bytes], hashed: np.ndarray) -> np.ndarray:
-    """Keys of the lists a text stands in; texts that share none are never compared. None without words."""
-    if not found:
+    Two sets share a key with a chance of 1 - (1 - j**BAND)**BANDS at a Jaccard of j: all but 6 in a
+    million at 0.8, whatever way the texts differ.
+    """
+    if not len(hashed):
         return np.zeros(0, dtype=np.int64)
-    byte = wide_fingerprint(found, SEARCH).view(np.uint8).astype(np.int64)[_PLACES]
-    return (np.arange(KEYS, dtype=np.int64) << 24) + byte[:, 0] * 65536 + byte[:, 1] * 256 + byte[:, 2]
+    x, low = (hashed >> np.uint64(32)).astype(np.uint32), np.full(BANDS * BAND, 2**32 - 1, dtype=np.uint32)
+    for at in range(0, len(x), chunk):
+        h = x[at : at + chunk, None] ^ _ADD
+        h *= _MULTIPLY
+        h ^= h >> np.uint32(15)
+        h *= np.uint32(0x2C1B3C6D)
+        np.minimum(low, h.min(axis=0), out=low)
+    key = np.arange(1, BANDS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    for column in low.reshape(BANDS, BAND).T.astype(np.uint64):
+        key = (key ^ column) * np.uint64(0xBF58476D1CE4E5B9)
+        key ^= key >> np.uint64(29)
+    return key.view(np.int64)
 
 
 def shingle_set(parts: list[bytes]) -> np.ndarray:
@@ -308,7 +307,7 @@ def near_duplicate_rows(rows: DataFrame, words: int, similarity: float, id_col:
                 hashed = shingle_set(shingles(t, words))
                 cols[0].append(xxhash.xxh3_128_digest(b" ".join(found)))
                 cols[1].append(len(found))
-                cols[2].append(search_keys(found, hashed).tolist())
+                cols[2].append(search_keys(hashed).tolist())
             kinds = (pa.binary(), pa.int64(), pa.list_(pa.int64()))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))],
                                              ["row", "doc_id", "same", "size", "keys"])
@@ -332,9 +331,8 @@ def near_duplicate_groups(docs: DataFrame, words: int = 5, similarity: float = 0
     """(doc_id, component_id): groups of documents linked by shingle sets of at least this Jaccard, each named by its smallest doc_id.
 
     64-bit fingerprints of five-word shingles differ in ten bits on average at a similarity of 0.8, so
-    bytes of them find few such pairs. The search therefore has a fingerprint of its own, 256 bits over
-    distinct words, of which a pair at 0.8 keeps about half its 32 bytes: the index has ``KEYS`` lists of
-    three byte places for each text. Pairs that share a list are decided by the exact Jaccard of their
+    bytes of them find few such pairs. The search therefore takes bands of min-wise hashes of the
+    shingles (``search_keys``), and pairs that share a band are decided by the exact Jaccard of their
     shingle sets. Equal word sequences (A-Z lowered) are one node before the search. Null or blank texts
     are alike. Rows with a null doc_id have a null group unless others share the text. Repeated rows
     repeat; an empty table gives none.

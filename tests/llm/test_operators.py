@@ -256,6 +256,19 @@ def test_a_loosely_alike_text_does_not_part_copies(spark):
     assert {r["node"]: r["component"] for r in connected_components(edges).collect()} == dict.fromkeys(range(1, 61), 1)
 
 
+def test_copies_with_an_inserted_block_meet(spark):
+    rng, rows, want = np.random.default_rng(8), [], {}
+    for i in range(0, 600, 2):
+        a = [f"w{x}" for x in rng.integers(0, 10**9, 200)]
+        at = int(rng.integers(1, 199))
+        b = a[:at] + [f"y{x}" for x in rng.integers(0, 10**9, int(rng.integers(20, 46)))] + a[at:]
+        rows += [(i, " ".join(a)), (i + 1, " ".join(b))]
+        x, y = (set(simhash.shingles(t, 5)) for _, t in rows[-2:])
+        want |= {i: i, i + 1: i if len(x & y) / len(x | y) >= 0.8 else i + 1}
+    assert sum(d != g for d, g in want.items()) > 200
+    assert {r["doc_id"]: r["component_id"] for r in simhash.near_duplicate_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()} == want
+
+
 def test_near_duplicates_odd(odd, none):
     left = simhash.without_near_duplicates(odd)
     assert left.columns == odd.columns
