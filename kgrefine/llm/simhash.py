@@ -342,9 +342,10 @@ def near_duplicate_groups(docs: DataFrame, words: int = 5, similarity: float = 0
 
 
 def without_near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One document of each group, that with the smallest doc_id; columns as given. Rows with a null doc_id stay; of rows that share a kept doc_id one stays."""
-    groups = near_duplicate_groups(docs, words, similarity, id_col, text_col)
-    drop = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("__d")).distinct()
-    left = docs.join(drop, docs[id_col].cast("long") == F.col("__d"), "left_anti")
-    again = groups.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").limit(1).count()
-    return left.dropDuplicates([id_col]) if again else left
+    """One row of each group, the first with its smallest doc_id; columns as given. Decided row by row: rows with a null doc_id all stay, and so do unlike texts of one doc_id."""
+    rows = numbered(docs)
+    groups = near_duplicate_rows(rows, words, similarity, id_col, text_col).where("doc_id is not null")
+    groups = written(groups.select("row", "doc_id", "root"), "near")
+    keep = groups.groupBy("root").agg(F.min(F.struct("doc_id", "row"))["row"].alias("keep"))
+    drop = groups.join(keep, "root").where("row <> keep").select(F.col("row").alias("__row"))
+    return rows.join(drop, "__row", "left_anti").select(*docs.columns)

@@ -269,6 +269,14 @@ def test_copies_with_an_inserted_block_meet(spark):
     assert {r["doc_id"]: r["component_id"] for r in simhash.near_duplicate_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()} == want
 
 
+def test_near_duplicates_are_dropped_by_row_not_by_id(spark):
+    rows = [(None, "one text without an id", "a"), (None, "quite another text without an id", "b"), (None, "one text without an id", "c"),
+            (1, "first text that stands twice here", "d"), (1, "first text that stands twice here", "d"), (2, "first text that stands twice here", "e"),
+            (2, "a text of its own under a used id", "f"), (3, "three has this text only", "g"), (3, "and this other one as well", "h")]
+    left = simhash.without_near_duplicates(spark.createDataFrame(rows, "doc_id long, text string, mark string")).collect()
+    assert sorted(r["mark"] for r in left) == list("abcdfgh")
+
+
 def test_near_duplicates_odd(odd, none):
     left = simhash.without_near_duplicates(odd)
     assert left.columns == odd.columns
