@@ -66,22 +66,32 @@ def schedule(spark, targets: DataFrame, slots: int, sequence: str = "golden", ce
     return j.join(part, "cell").where("point >= a and point < b").select("slot", "source")
 
 
-def mix_sources(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most_epochs: int = 3, block: int = 32, sequence: str = "golden",
-                seed: int = 17, rows_per_bucket: int = 5_000) -> DataFrame:
-    """(row_key, doc_id, source, size, source_size, target, taken, copies) for each document.
+def ranked_slots(dealt: DataFrame, slots_per_part: int = 65_536) -> DataFrame:
+    """(slot, source, rank): each slot's rank, from 0, among its source's slots; ranks come from parts of the slots and the parts' counts."""
+    dealt = dealt.withColumn("part", F.expr(f"slot div {slots_per_part}"))
+    parts = dealt.groupBy("source", "part").agg(F.count("*").alias("n"))
+    before = F.coalesce(F.sum("n").over(Window.partitionBy("source").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    parts = parts.withColumn("before", before)
+    inside = F.row_number().over(Window.partitionBy("source", "part").orderBy("slot")) - 1
+    rows = dealt.withColumn("inside", inside).alias("s").join(parts.alias("p"), (F.col("s.part") == F.col("p.part")) & F.col("s.source").eqNullSafe(F.col("p.source")))
+    return rows.select("slot", "s.source", (F.col("before") + F.col("inside")).alias("rank"))
+
+
+def mix_blocks(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most_epochs: int = 3, block: int = 32, sequence: str = "golden",
+               seed: int = 17, rows_per_bucket: int = 5_000) -> tuple[DataFrame, DataFrame]:
+    """Rows (row, row_key, doc_id, source, size, source_size, target) and pieces (slot, source, block, row, offset, length).
 
     Every source's documents, in the order of a seeded hash, form one stream of words, read round and
-    round in blocks of ``block`` words. ``schedule`` deals slots to sources; the slot of rank r in its
-    source takes block r, so a source with n slots takes the first n * block words of its (repeated)
-    stream, at most ``most_epochs`` rounds. ``taken`` counts the words of a document in those blocks,
-    repeats counted; ``copies`` counts the rounds in which the document's first word is taken, which is
-    how often it stands in a mixed corpus of whole documents. Stream places come from two levels of sums,
-    hash buckets of about ``rows_per_bucket`` rows and the buckets' totals, so that a source with a third of all rows
-    is still many tasks. Null text has size 0 and is never taken; null doc_id and null source are kept
-    (sources: one group, last); repeated rows are documents of their own; an empty table gives none.
+    round (at most ``most_epochs`` rounds) and cut into blocks of ``block`` words. ``schedule`` deals
+    slots to sources, and the slot of rank r in its source takes block r: a piece is the words from
+    ``offset`` on of one document that stand in a slot's block. Pieces by (slot, position), where position
+    is the piece's place in its block, are the mixed stream. Stream places come from two levels of sums,
+    hash buckets of about ``rows_per_bucket`` rows and the buckets' totals, so that a source with a third
+    of all rows is still many tasks. ``row`` is ``__row`` of the given rows or a number of its own.
     """
     key = F.xxhash64(F.lit(seed), "doc_id", "text")
-    base = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), key.alias("row_key"))
+    row = F.col("__row") if "__row" in docs.columns else F.monotonically_increasing_id()
+    base = docs.select(row.alias("row"), "doc_id", "source", word_count(F.col("text")).alias("size"), key.alias("row_key"))
     base = written(base, "mix")
     spark = docs.sparkSession
     n = base.count()
@@ -92,26 +102,45 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most_ep
     targets = written(source_targets(per_bucket.groupBy("source").agg(F.sum("bucket_size").alias("source_size")), weights, most_epochs), "mix")
     total = targets.agg(F.max("total")).first()[0] or 0.0
     slots = int(round(total / block)) if total else 0
-    dealt = schedule(spark, targets, slots, sequence).groupBy("source").agg(F.count("*").alias("n_slots"))
+    dealt = written(schedule(spark, targets, slots, sequence), "mix")
+    n_slots = dealt.groupBy("source").agg(F.count("*").alias("n_slots"))
     same = F.col("t.source").eqNullSafe(F.col("d.source"))
     words = F.least(F.coalesce(F.col("n_slots"), F.lit(0)) * block, F.col("source_size") * most_epochs)
-    plan = targets.alias("t").join(dealt.alias("d"), same, "left").select("t.source", "source_size", "target", words.alias("words"))
+    plan = targets.alias("t").join(n_slots.alias("d"), same, "left").select("t.source", "source_size", "target", words.alias("words"))
     places = per_bucket.withColumn("before", before).alias("p").join(plan.alias("q"), F.col("p.source").eqNullSafe(F.col("q.source"))).select(
         "p.source", "bucket", "before", "source_size", "target", "words")
     rows = base.alias("b").join(places.alias("p"), (F.col("b.bucket") == F.col("p.bucket")) & F.col("b.source").eqNullSafe(F.col("p.source"))).select(
-        "row_key", "doc_id", "b.source", "size", "b.bucket", "before", "source_size", "target", "words")
-    inside = F.sum("size").over(Window.partitionBy("source", "bucket").orderBy("row_key", "doc_id").rowsBetween(Window.unboundedPreceding, 0))
-    rows = rows.withColumn("start", F.col("before") + inside - F.col("size"))
-    rounds = F.when(F.col("source_size") > 0, F.expr("words div source_size")).otherwise(F.lit(0))
-    rest = F.when(F.col("source_size") > 0, F.expr("words % source_size")).otherwise(F.lit(0))
-    part = F.greatest(F.lit(0), F.least(rest - F.col("start"), F.col("size")))
-    copies = F.when(F.col("size") > 0, rounds + F.when(rest > F.col("start"), 1).otherwise(0)).otherwise(0)
-    return rows.select("row_key", "doc_id", "source", "size", "source_size", "target", (rounds * F.col("size") + part).cast("long").alias("taken"), copies.cast("int").alias("copies"))
+        "row", "row_key", "doc_id", "b.source", "size", "b.bucket", "before", "source_size", "target", "words")
+    inside = F.sum("size").over(Window.partitionBy("source", "bucket").orderBy("row_key", "doc_id", "row").rowsBetween(Window.unboundedPreceding, 0))
+    rows = written(rows.withColumn("start", F.col("before") + inside - F.col("size")), "mix")
+    # each round's words of a document, [from, to) in the source's repeated stream, and the blocks they fall in
+    read = rows.where("size > 0 and start < words").withColumn("round", F.explode(F.expr("sequence(0L, (words - 1 - start) div source_size)")))
+    read = read.withColumn("from", F.col("round") * F.col("source_size") + F.col("start")).withColumn("to", F.least(F.col("from") + F.col("size"), "words"))
+    cut = read.select("row", "source", "from", "to", F.explode(F.expr(f"sequence(from div {block}, (to - 1) div {block})")).alias("block"))
+    first = F.greatest(F.col("block") * block, "from")
+    cut = cut.select("row", "source", "block", (first - F.col("from")).alias("offset"), (first - F.col("block") * block).alias("position"),
+                     (F.least((F.col("block") + 1) * block, "to") - first).alias("length"))
+    taken = ranked_slots(dealt).alias("s").join(cut.alias("c"), (F.col("s.rank") == F.col("c.block")) & F.col("s.source").eqNullSafe(F.col("c.source")))
+    return rows.drop("bucket", "before", "words", "start"), taken.select("slot", "c.source", "block", "position", "row", "offset", "length")
+
+
+def mix_sources(docs: DataFrame, **how) -> DataFrame:
+    """(row_key, doc_id, source, size, source_size, target, taken, copies) for each document; parameters as ``mix_blocks``.
+
+    ``taken`` counts the words of a document in the blocks that slots take, repeats counted; ``copies``
+    counts the rounds in which the document's first word is taken, which is how often it stands in a
+    mixed corpus of whole documents. Null text has size 0 and is never taken; null doc_id and null source
+    are kept (sources: one group, last); repeated rows are documents of their own; an empty table gives none.
+    """
+    rows, pieces = mix_blocks(docs, **how)
+    sums = pieces.groupBy("row").agg(F.sum("length").alias("taken"), F.count(F.when(F.col("offset") == 0, 1)).alias("copies"))
+    return rows.join(sums, "row", "left").select("row_key", "doc_id", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"),
+                                                 F.coalesce("copies", F.lit(0)).cast("int").alias("copies"))
 
 
 def mixed_documents(docs: DataFrame, **how) -> DataFrame:
-    """The documents themselves, each standing ``copies`` times (none, where the mix takes none), columns as given."""
-    seed = how.get("seed", 17)
-    plan = (mix_sources(docs, **how).where("copies > 0").groupBy("row_key").agg(F.max("copies").alias("__copies")))
-    rows = docs.withColumn("__key", F.xxhash64(F.lit(seed), "doc_id", "text")).join(plan.withColumnRenamed("row_key", "__key"), "__key")
-    return rows.withColumn("__n", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select(*[docs[c] for c in docs.columns])
+    """The documents themselves, in the mixed order, columns as given: a copy stands where the slot of its first word does (none, where the mix takes none)."""
+    rows = written(docs.withColumn("__row", F.monotonically_increasing_id()), "rows")
+    _, pieces = mix_blocks(rows, **how)
+    plan = pieces.where("offset = 0").select(F.col("row").alias("__row"), F.col("slot").alias("__slot"), F.col("position").alias("__position"))
+    return rows.join(plan, "__row").orderBy("__slot", "__position").select(*docs.columns)

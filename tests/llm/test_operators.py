@@ -124,6 +124,33 @@ def test_sequences_are_even(spark):
         assert sum(n.values()) == 800 and all(abs(n[s] - 800 * w / 8) < 8 for s, w in (("a", 5), ("b", 2), ("c", 1)))
 
 
+def test_slot_of_rank_r_takes_block_r(spark):
+    d = spark.createDataFrame([(i, " ".join(f"d{i}w{k}" for k in range(1 + 7 * i % 90)), "x", "abc"[i % 3]) for i in range(120)], KIND)
+    rows, pieces = mixing.mix_blocks(d, rows_per_bucket=20)
+    size, rank, blocks = {r["row"]: r["size"] for r in rows.collect()}, {}, {}
+    for r in pieces.orderBy("slot", "position").collect():
+        blocks.setdefault((r["slot"], r["source"], r["block"]), []).append(r)
+    assert len({s for s, _, _ in blocks}) == len(blocks)
+    stream = {}
+    for (_, source, block), found in blocks.items():  # in the order of slots
+        assert block == rank.get(source, 0)
+        rank[source] = block + 1
+        assert [r["position"] for r in found] == [sum(x["length"] for x in found[:k]) for k in range(len(found))]
+        stream.setdefault(source, []).append(found)
+    for found in stream.values():
+        assert all(sum(r["length"] for r in b) == 32 for b in found[:-1])
+        at = None  # the stream reads every document to its end before the next
+        for r in (r for b in found for r in b):
+            assert r["offset"] == 0 if at is None else (r["row"], r["offset"]) == at
+            at = (r["row"], r["offset"] + r["length"]) if r["offset"] + r["length"] < size[r["row"]] else None
+    slots = mixing.schedule(spark, mixing.source_targets(rows.select("source", "source_size").distinct()), len(blocks)).orderBy("slot").collect()
+    assert [(r["slot"], r["source"]) for r in slots] == sorted((s, source) for s, source, _ in blocks)
+    ranks = {r["slot"]: (r["source"], r["rank"]) for r in mixing.ranked_slots(spark.createDataFrame(slots), 7).collect()}
+    assert ranks == {s: (source, block) for s, source, block in blocks}
+    first = pieces.where("offset = 0").orderBy("slot", "position").join(rows.select("row", "doc_id"), "row").orderBy("slot", "position")
+    assert [r["doc_id"] for r in mixing.mixed_documents(d, rows_per_bucket=20).collect()] == [r["doc_id"] for r in first.collect()]
+
+
 def test_mixing_odd(odd, none):
     rows = mixing.mix_sources(odd).collect()
     assert len(rows) == len(ODD) and all(r["taken"] == 0 for r in rows if r["size"] == 0)
