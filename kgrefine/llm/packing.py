@@ -76,13 +76,20 @@ class Packer:
         return min(end - start, tokens, max(0, free - start) + loss)
 
     def _cut_long(self) -> None:
+        """Whole sequences are cut off long pieces at once; a piece with more loss than a sequence may hold becomes several, which stay in the pool."""
+        whole = []
         for h in self.held:
             while h[2] - h[1] > self.tokens or self._demand(h)[2] > self.loss:
                 n = self._cut(h, self.tokens, self.loss)
-                self.out.append((h[0], h[1], n, self.made, 0))
-                self.made += 1
+                if n == self.tokens:
+                    self.out.append((h[0], h[1], n, self.made, 0))
+                    self.made += 1
+                else:
+                    whole.append([h[0], h[1], h[1] + n, h[3]])
                 h[1] += n
-        self.held = [h for h in self.held if h[2] > h[1]]
+            if h[2] > h[1]:
+                whole.append(h)
+        self.held = whole
 
     def _fill(self, cap: np.ndarray, want: np.ndarray, alive: np.ndarray) -> int:
         room, at = cap.copy(), 0
@@ -111,11 +118,12 @@ class Packer:
         return at
 
 
-def pack_documents(docs: DataFrame, tokenizer_path: str | None = None, id_col: str = "doc_id", text_col: str = "text", end_id: int = 2,
+def pack_documents(docs: DataFrame, tokenizer_path: str | None = None, id_col: str = "doc_id", text_col: str = "text", prompt_col: str | None = None, end_id: int = 2,
                    tokens: int = 4096, segments: int = 1024, loss: int = 4096, pool: int = 512) -> DataFrame:
     """(doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset): the pieces of packed sequences.
 
-    A document is its tokenizer ids and ``end_id``; all but its first id bear loss. Every partition
+    A document is its tokenizer ids and ``end_id``; all but its first id bear loss. With ``prompt_col`` the
+    ids of that text stand before them and bear none (null: no prompt). Every partition
     packs its own rows in one pass with a bounded pool, so nothing is shuffled and a lost executor's
     task is simply run again; only a partition's last sequences are short. Sequence ids hold the
     partition above bit 33 and are unique, not gapless. Null text counts as empty (one id); documents
@@ -147,10 +155,11 @@ def pack_documents(docs: DataFrame, tokenizer_path: str | None = None, id_col: s
 
         for part in slices(batches, 256):
             type_ = part.schema.field(0).type
-            for doc, ids in zip(part.column(0).to_pylist(), bpe.ids(part.column(1).to_pylist()), strict=True):
-                n = len(ids) // 4 + 1
-                kept[serial] = [doc, ids + close, n, n]
-                packer.add(serial, n, n - 1)
+            fronts, texts = (bpe.ids(part.column(c).to_pylist()) for c in (1, 2))
+            for doc, front, ids in zip(part.column(0).to_pylist(), fronts, texts, strict=True):
+                n = (len(front) + len(ids)) // 4 + 1
+                kept[serial] = [doc, front + ids + close, n, n]
+                packer.add(serial, n, n - max(1, len(front) // 4))
                 serial += 1
             if packer.out:
                 yield flush()
@@ -158,5 +167,6 @@ def pack_documents(docs: DataFrame, tokenizer_path: str | None = None, id_col: s
         if packer.out:
             yield flush()
 
-    return docs.select(F.col(id_col).alias("doc_id"), F.coalesce(text_col, F.lit("")).alias("text")).mapInArrow(
+    prompt = F.coalesce(prompt_col, F.lit("")) if prompt_col else F.lit("")
+    return docs.select(F.col(id_col).alias("doc_id"), prompt.alias("prompt"), F.coalesce(text_col, F.lit("")).alias("text")).mapInArrow(
         go, f"doc_id {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")

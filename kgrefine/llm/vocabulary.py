@@ -21,6 +21,14 @@ def slices(batches, rows: int = 512):
             yield b.slice(at, rows)
 
 
+def free_name(df, name: str) -> str:
+    """``name``, with underscores put before it until no column of ``df`` has it, whatever the case of its letters."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
 def default_path(name: str) -> str:
     import public_tokenizers
 
@@ -32,8 +40,8 @@ class WordBpe:
 
     The vocabulary splits text into pieces that are encoded apart, and a corpus repeats its pieces: the
     new ones of a batch are encoded by the library once, side by side, and cut after each token that
-    ends a word; their ids are kept as bytes. Texts with characters outside ``_SAFE`` go to the library
-    whole. The table is emptied at ``keep`` pieces.
+    ends a word; their ids are kept as bytes. Texts with characters outside ``_SAFE`` or with the text of
+    a special token, which is not split, go to the library whole. The table is emptied at ``keep`` pieces.
     """
 
     def __init__(self, path: str, keep: int = 400_000):
@@ -41,7 +49,8 @@ class WordBpe:
         from tokenizers import Tokenizer
 
         self.tok, self.keep, self.known = Tokenizer.from_file(path), keep, {}
-        self.tok.encode_special_tokens = True
+        special = [re.escape(t.content) for t in self.tok.get_added_tokens_decoder().values()]
+        self.special = re.compile("|".join(special), re.IGNORECASE) if special else None
         self.closes = np.zeros(self.tok.get_vocab_size(), dtype=bool)
         self.closes[[i for t, i in self.tok.get_vocab().items() if t.endswith("</w>")]] = True
 
@@ -58,7 +67,7 @@ class WordBpe:
 
     def ids(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
-        split = [None if _SAFE.search(t) else _PIECE.findall(t.lower()) for t in texts]
+        split = [None if _SAFE.search(t) or self.special and self.special.search(t) else _PIECE.findall(t.lower()) for t in texts]
         if len(self.known) > self.keep:
             self.known.clear()
         self.learn([p for p in set().union(*(p for p in split if p)) if p not in self.known])
