@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import re
 import unicodedata
-from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -14,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .vocabulary import slices
+from .vocabulary import free_name, slices
 
 #: 0: any other character, 1-26: letters without case or marks, 27: a word's border.
 LETTERS = 28
@@ -96,16 +95,33 @@ def project(words: list[str], table: np.ndarray) -> np.ndarray:
 
 @dataclass
 class ToxicityModel:
-    """``table`` folds landmarks, Nyström map and support vector weights into one value per code; ``slope`` and ``shift`` map margins to scores."""
+    """``table`` folds landmarks, Nyström map and support vector weights into one value per code; ``weights`` and ``shift`` map a text's ``summary`` to log odds."""
 
     table: np.ndarray
     bias: float
-    slope: float
+    weights: np.ndarray
     shift: float
 
     def margins(self, words: list[str]) -> np.ndarray:
         return project(words, self.table) + self.bias
 
+    def log_odds(self, margins: np.ndarray) -> float:
+        return float(summary(margins) @ self.weights) + self.shift
+
+
+def bag(text: str) -> list[str]:
+    """The distinct words of a whole text without the punctuation around them, in order of appearance."""
+    bare = (w.strip(".,;:!?\"'()[]|") for w in dict.fromkeys(words_of(text)))
+    return [w for w in dict.fromkeys(bare) if w]
+
+
+def summary(margins: np.ndarray) -> np.ndarray:
+    """What a text's score looks at: its three largest word margins, how many are over 0, and how many words it has."""
+    best = np.full(3, -2.0)
+    top = np.sort(margins)[::-1][:3]
+    best[: len(top)] = np.clip(top, -2, 2)
+    return np.array([*best, np.log1p((margins > 0).sum()), np.log1p(len(margins))])
+
 
 def _copy(words: list[str], seen: set) -> bool:
     """Whether a text shares one of its four smallest shingle hashes with one before, which ``seen`` holds: copies teach the same words again."""
@@ -116,126 +132,126 @@ def _copy(words: list[str], seen: set) -> bool:
     return hit
 
 
-def train(texts: list[str], toxic: list[int], landmarks: int = 384, rounds: int = 4, seed: int = 3) -> ToxicityModel | None:
-    """A model from labelled texts; None without both kinds.
+def train(texts: list[str], toxic: list[int], landmarks: int = 384, rounds: int = 3, most: int = 20_000, seed: int = 3) -> ToxicityModel | None:
+    """A model from labelled texts; None without both kinds among the texts that are no copies.
 
-    A toxic text is a bag of words of which some are to blame. Words that stand in at least three toxic
-    texts (two, in small samples) and far more often than in clean ones are the positive examples, words
-    of clean texts the negative ones; landmarks are drawn from both. Words are seen through the kernel,
-    so a word with letters put between or left out, or another ending, falls beside its kin.
+    The labelled texts are the examples: a toxic one is a bag of words of which some are to blame, all
+    words of a clean one are not (multiple-instance learning). At first a toxic text shares its label
+    among all its words; after each round among those on the toxic side of the machine, by margin, while
+    clean words that the machine takes for toxic join the negative side. Words are seen through the
+    kernel alone, so a word with letters put between or left out, or another ending, falls beside its
+    kin. Every fourth text is kept apart from the machine: on these a logistic curve is fitted from a
+    text's ``summary`` to its label. A round uses at most ``most`` words of toxic texts (by their share
+    of the label) and 10,000 of clean ones (common, drawn, and hard).
     """
-    one: dict[str, str] = {}  # equal words share one object
+    one: dict[str, int] = {}
     bags, labels, seen = [], [], set()
     for text, label in zip(texts, toxic, strict=True):
-        words = words_of(text)
-        if not _copy(words, seen):
-            bags.append([one.setdefault(w, w) for w in dict.fromkeys(words)])
-            labels.append(label)
-    y = np.array(labels, dtype=np.int64)
-    if not y.any() or y.all():
+        if not _copy(words_of(text), seen):
+            bags.append(np.array([one.setdefault(w, len(one)) for w in bag(text)], dtype=np.int64))
+            labels.append(int(label == 1))
+    y, words = np.array(labels, dtype=np.int64), list(one)
+    apart = np.arange(len(y)) % 4 == 0
+    taught = [(b, t) for b, t, out in zip(bags, y, apart, strict=True) if len(b) and not out]
+    if not any(t for _, t in taught) or all(t for _, t in taught):
         return None
-    apart = np.arange(len(y)) % 4 == 0  # every fourth text is kept for the scores
-    if min(y[apart].sum(), (1 - y[apart]).sum()) < 20:
-        apart[:] = False
-    judge = np.flatnonzero(apart if apart.any() else ~apart)
-    judged, judged_y = [bags[i] for i in judge], y[judge]
-    bags, y = [b for b, out in zip(bags, apart, strict=True) if not out], y[~apart]
-    n_bad, n_good = int(y.sum()), int((1 - y).sum())
-    bad, good = Counter(), Counter()
-    for b, t in zip(bags, y, strict=True):
-        (bad if t else good).update(w.strip(".,;:!?\"'()") for w in b)
-    floor = 3 if n_bad >= 100 else 2
-    odds = {w: (n / n_bad) / ((good[w] + 0.5) / n_good) for w, n in bad.items() if w and n >= floor}
-    pos = sorted((w for w, o in odds.items() if o > 25 and bad[w] >= max(floor, 0.004 * n_bad)), key=lambda w: (-bad[w], w))[:2000]
-    if not pos:
-        return None
-    rng = np.random.default_rng(seed)
-    clean = sorted(set().union(*(b for b, t in zip(bags, y, strict=True) if not t)) - set(pos))
-    common = sorted(good, key=lambda w: (-good[w], w))[:2000]
-    neg = sorted({*common, *(clean[i] for i in rng.choice(len(clean), min(len(clean), 4000), replace=False))} - set(pos) - {""})
-    model = None
-    for _ in range(rounds):
-        spread = [neg[i] for i in rng.choice(len(neg), min(len(neg), landmarks // 2), replace=False)]
-        marks = list(dict.fromkeys(pos[: landmarks // 2] + hard[: landmarks // 4] + spread))[:landmarks] if model else pos[: landmarks // 2] + spread
-        model = _fit(pos, neg, marks)
-        # clean words that the model takes for toxic ones join the negative examples
-        margin = model.margins(clean)
-        hard = [clean[i] for i in np.argsort(-margin)[:2000] if margin[i] > -0.9]
-        neg = sorted({*neg, *hard})
-    top = np.array([model.margins(bag).max() if bag else -2.0 for bag in judged])
-    slope, shift = _platt(top, judged_y)
-    low, high = np.quantile(top[judged_y == 0], 0.998), np.quantile(top[judged_y == 1], 0.005)
-    if low < high:  # the kinds stand apart: a score of 0.5 lies halfway between them
-        shift = -slope * (low + high) / 2
-    model.slope, model.shift = slope, float(shift)
+    share, clean = np.zeros(len(words)), np.zeros(len(words))
+    for b, t in taught:
+        if t:
+            share[b] += 1 / len(b)
+        else:
+            clean[b] += 1
+    rng, negative, hard = np.random.default_rng(seed), np.flatnonzero(clean), np.zeros(0, dtype=np.int64)
+    common = negative[np.argsort(-clean[negative], kind="stable")[:2000]]
+    for turn in range(rounds + 1):
+        pos = np.argsort(-share, kind="stable")[:most]
+        pos = pos[share[pos] > 0]
+        neg = np.unique(np.concatenate([common, rng.choice(negative, min(len(negative), 6000), replace=False), hard]))
+        weight = np.ones(len(neg)) if turn else np.sqrt(clean[neg])
+        marks = np.concatenate([pos[: landmarks // 2], hard[: landmarks // 4], rng.choice(neg, min(len(neg), landmarks // 2), replace=False)])
+        model = _fit([words[i] for i in pos], share[pos], [words[i] for i in neg], weight, [words[i] for i in list(dict.fromkeys(marks.tolist()))[:landmarks]])
+        margin = model.margins(words)
+        hard = negative[np.argsort(-margin[negative], kind="stable")[:2000]]
+        hard = hard[margin[hard] > -0.9]
+        share[:] = 0
+        for b, t in taught:
+            blame = np.maximum(margin[b], 0) / (1 + clean[b])
+            if t and blame.any():
+                share[b] += blame / blame.sum()
+        if not share.any():
+            break
+    model.weights, model.shift = _logistic(np.array([summary(margin[b]) for b, out in zip(bags, apart, strict=True) if out]), y[apart])
     return model
 
 
-def _fit(pos: list[str], neg: list[str], marks: list[str]) -> ToxicityModel:
-    """A linear machine with squared hinge loss on Nyström features, folded into one value per code."""
+def _fit(pos: list[str], pos_weight: np.ndarray, neg: list[str], neg_weight: np.ndarray, marks: list[str]) -> ToxicityModel:
+    """A linear machine with squared hinge loss on Nyström features, folded into one value per code; both sides weigh the same in all."""
     basis = np.zeros((LETTERS**3, len(marks)), dtype=np.float32)
     for j, (u, v) in enumerate(features(marks)):
         basis[u, j] = v
     val, vec = np.linalg.eigh((basis.T @ basis).astype(np.float64))
     half = vec @ np.diag(1 / np.sqrt(np.maximum(val, 1e-4))) @ vec.T
     words = pos + neg
-    x = np.empty((len(words), len(marks)), dtype=np.float32)
+    x = np.ones((len(words), len(marks) + 1), dtype=np.float32)
     for at in range(0, len(words), 1000):
-        x[at : at + 1000] = [v @ basis[u] for u, v in features(words[at : at + 1000])]
-    x = x @ half.astype(np.float32)
+        x[at : at + 1000, :-1] = [v @ basis[u] for u, v in features(words[at : at + 1000])]
+    x[:, :-1] = x[:, :-1] @ half.astype(np.float32)
     t = np.array([1.0] * len(pos) + [-1.0] * len(neg))
-    c = np.where(t > 0, 0.5 / len(pos), 0.5 / len(neg))
-    w, b, reg = np.zeros(x.shape[1]), 0.0, np.diag([1e-4] * x.shape[1] + [1e-9])
+    c = np.concatenate([0.5 * pos_weight / pos_weight.sum(), 0.5 * neg_weight / neg_weight.sum()])
+    w, reg = np.zeros(x.shape[1]), np.diag([1e-4] * len(marks) + [1e-9])
     for _ in range(30):  # Newton steps on the active rows
-        act = t * (x @ w + b) < 1
-        xa = np.hstack([x[act], np.ones((int(act.sum()), 1), dtype=np.float32)])
-        new = np.linalg.solve((xa * c[act][:, None].astype(np.float32)).T @ xa + reg, (xa * (c * t)[act][:, None]).sum(axis=0))
-        done = np.abs(new - np.append(w, b)).max() < 1e-6
-        w, b = new[:-1], float(new[-1])
+        act = t * (x @ w) < 1
+        xa, ca = x[act], c[act]
+        new = np.linalg.solve((xa * ca[:, None].astype(np.float32)).T @ xa + reg, (xa * (ca * t[act])[:, None]).sum(axis=0))
+        done = np.abs(new - w).max() < 1e-6
+        w = new
         if done:
             break
-    table = (basis @ (half @ w)).astype(np.float32)
+    table = (basis @ (half @ w[:-1])).astype(np.float32)
     table[0] = 0
-    return ToxicityModel(table, b, 1.0, 0.0)
+    return ToxicityModel(table, float(w[-1]), np.zeros(5), 0.0)
 
 
-def _platt(margin: np.ndarray, y: np.ndarray, rounds: int = 100) -> tuple[float, float]:
-    """Logistic slope and shift on margins; targets are drawn in from 0 and 1 as the counts allow."""
+def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.1, rounds: int = 100) -> tuple[np.ndarray, float]:
+    """Weights and shift of a ridge logistic fit on standardised columns; targets are drawn in from 0 and 1 as the counts allow."""
     bad, good = y.sum(), (1 - y).sum()
-    t = np.where(y == 1, (bad + 1) / (bad + 2), 1 / (good + 2))
-    weight = np.full(len(y), 1 / len(y))
-    a, b = 1.0, 0.0
+    target = np.where(y == 1, (bad + 1) / (bad + 2), 1 / (good + 2))
+    mean, dev = x.mean(axis=0), x.std(axis=0) + 1e-6
+    z, pull = np.hstack([(x - mean) / dev, np.ones((len(x), 1))]), np.append(np.full(x.shape[1], ridge), 1e-6)
+    w = np.zeros(z.shape[1])
     for _ in range(rounds):
-        p = 1 / (1 + np.exp(-np.clip(a * margin + b, -30, 30)))
-        g = np.array([(weight * (p - t) * margin).sum() + 1e-6 * a, (weight * (p - t)).sum()])
-        q = weight * p * (1 - p)
-        h = np.array([[(q * margin**2).sum() + 1e-6, (q * margin).sum()], [(q * margin).sum(), q.sum() + 1e-6]])
-        step = np.linalg.solve(h, g)
-        a, b = a - step[0], b - step[1]
-        if np.abs(step).max() < 1e-6:
+        p = 1 / (1 + np.exp(-np.clip(z @ w, -30, 30)))
+        step = np.linalg.solve((z * (p * (1 - p))[:, None]).T @ z + np.diag(pull + 1e-9), z.T @ (p - target) + pull * w)
+        w -= step
+        if np.abs(step).max() < 1e-7:
             break
-    return (float(a), float(b)) if a > 0 else (1.0, 0.0)
+    return w[:-1] / dev, float(w[-1] - (w[:-1] * mean / dev).sum())
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, toxic_rows: int, clean_rows: int, id_col: str = "doc_id", text_col: str = "text") -> list:
-    """At most ``toxic_rows`` and ``clean_rows`` labelled (text, toxic) rows whose crc32(id) mod 5 is not 0, in the order of a hash of the id."""
+def training_rows(docs: DataFrame, labels: DataFrame, toxic_rows: int, clean_rows: int, most_chars: int = 200_000, id_col: str = "doc_id", text_col: str = "text") -> list:
+    """About ``toxic_rows`` and ``clean_rows`` labelled (text, toxic) rows whose crc32(id) mod 5 is not 0: those whose id's hash is under a threshold set by the counts.
+
+    At most twice as many can come back, and no text over ``most_chars`` characters, so what the driver holds is bounded.
+    """
     known = (labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("y")).where("doc_id is not null and y is not null")
-             .where(F.crc32(F.col("doc_id").cast("string")) % 5 != 0).groupBy("doc_id").agg(F.max("y").alias("y")).withColumn("o", F.xxhash64("doc_id")))
-    pick = known.where("y = 1").orderBy("o", "doc_id").limit(toxic_rows).unionByName(known.where("y <> 1").orderBy("o", "doc_id").limit(clean_rows))
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(text_col, F.lit("")).alias("text"))
-    return texts.join(F.broadcast(pick.select("doc_id", "y")), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y")).orderBy("doc_id").collect()
+             .where(F.crc32(F.col("doc_id").cast("string")) % 5 != 0).groupBy("doc_id").agg(F.max(F.when(F.col("y") == 1, 1).otherwise(0)).alias("y")))
+    count = known.agg(F.count_if(F.col("y") == 1).alias("bad"), F.count_if(F.col("y") == 0).alias("good")).first()
+    chance = F.shiftrightunsigned(F.xxhash64("doc_id"), 11) / float(2**53)
+    side = lambda y, most, n: known.where((F.col("y") == y) & (chance < most / max(n, 1))).limit(2 * most)
+    pick = side(1, toxic_rows, count["bad"]).unionByName(side(0, clean_rows, count["good"]))
+    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(text_col, F.lit("")).alias("text")).where(F.length("text") <= most_chars)
+    return texts.join(F.broadcast(pick), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y")).orderBy("doc_id").collect()
 
 
-def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", toxic_rows: int = 2000, clean_rows: int = 2500) -> ToxicityModel | None:
+def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", toxic_rows: int = 2000, clean_rows: int = 2500, most_chars: int = 200_000) -> ToxicityModel | None:
     """The model of a bounded labelled sample, trained on the driver; None without labels of both kinds."""
-    rows = training_rows(docs, labels, toxic_rows, clean_rows, id_col, text_col)
+    rows = training_rows(docs, labels, toxic_rows, clean_rows, most_chars, id_col, text_col)
     return train([r["text"] for r in rows], [r["y"] for r in rows])
 
 
 def with_scores(docs: DataFrame, model: ToxicityModel | None, text_col: str = "text", out_col: str = "toxicity_score", keep_words: int = 200_000) -> DataFrame:
-    """``docs`` with a column of scores; a name that is taken is an error. See ``toxicity_scores``."""
-    if out_col in docs.columns:
-        raise ValueError(f"column {out_col} exists")
+    """``docs`` with a last column of scores, named ``out_col`` or, where that is taken, the like with more underscores. See ``toxicity_scores``."""
+    out_col = free_name(docs, out_col)
     shared, at = docs.sparkSession.sparkContext.broadcast(model), docs.columns.index(text_col)
 
     def go(batches):
@@ -243,16 +259,16 @@ def with_scores(docs: DataFrame, model: ToxicityModel | None, text_col: str = "t
         for b in slices(batches):
             score = np.zeros(b.num_rows)
             if model is not None:
-                bags = [set(words_of(t or "")) for t in b.column(at).to_pylist()]
-                every = set().union(*bags)
+                bags = [bag(t or "") for t in b.column(at).to_pylist()]
+                every = dict.fromkeys(w for words in bags for w in words)
                 new = [w for w in every if w not in known]
                 if len(known) + len(new) > keep_words:
                     known.clear()
                     new = list(every)
                 if new:
                     known.update(zip(new, model.margins(new).tolist(), strict=True))
-                best = np.array([max(map(known.__getitem__, bag), default=-2.0) for bag in bags])
-                score = 1 / (1 + np.exp(-np.clip(model.slope * best + model.shift, -40, 40)))
+                odds = np.array([model.log_odds(np.fromiter(map(known.__getitem__, words), np.float64, len(words))) for words in bags])
+                score = 1 / (1 + np.exp(-np.clip(odds, -40, 40)))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], [*b.schema.names, out_col])
 
     return docs.mapInArrow(go, T.StructType([*docs.schema.fields, T.StructField(out_col, T.DoubleType())]))
@@ -261,10 +277,10 @@ def with_scores(docs: DataFrame, model: ToxicityModel | None, text_col: str = "t
 def toxicity_scores(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", **bounds) -> DataFrame:
     """(doc_id, held_out, score, predicted) of every whole text.
 
-    The model is fitted on at most 2000 toxic and 2500 clean labelled rows (parameters of ``fit``); only
-    texts and their labels reach it. A text's score is the logistic of the largest margin of its words,
-    so length does not wash an insult out. Each distinct word is scored once per task, in a table of
-    bounded size. One pass, no shuffle of texts. Null and empty texts score like a text without words;
+    The model is fitted on about 2000 toxic and 2500 clean labelled rows (parameters of ``fit``); only
+    texts and their labels reach it. A text's score is a logistic curve over the largest margins of its
+    words, so length does not wash an insult out. Each distinct word is scored once per task, in a table
+    of bounded size. One pass, no shuffle of texts. Null and empty texts score like a text without words;
     a null id is never held out; repeated rows repeat; without labels of both kinds every score is 0. An
     empty table gives none. Further columns are not carried.
     """
