@@ -85,8 +85,9 @@ def quality_scores(docs: DataFrame, labels: DataFrame, host: Column | None = Non
                    sample_rows: int = 20_000, broadcast_rows: int = 50_000) -> DataFrame:
     """(doc_id, host, path, doc_score, host_posterior, path_posterior, score, keep) of every document.
 
-    A logistic model of the text's shape, fitted on at most ``sample_rows`` labelled rows (in the order
-    of a hash of the id), gives each document evidence. Its probabilities, and labels where there are
+    The host defaults to the column ``source`` and the path to ``lang``, the stand-ins for a URL's parts in
+    a table without URLs. A logistic model of the text's shape, fitted on about ``sample_rows`` labelled
+    rows (those whose id's hash is under a threshold), gives each document evidence. Its probabilities, and labels where there are
     some, are summed by path and host over all documents; a path's rate is shrunk to its host's and a
     host's to the global one by pseudo-counts estimated from the spread between groups, so a sparse site
     says little. A document's own share is taken out of its site before the site's log odds are added to
@@ -101,7 +102,9 @@ def quality_scores(docs: DataFrame, labels: DataFrame, host: Column | None = Non
     rows = written(document_features(docs, host.cast("string"), path.cast("string"), id_col, text_col), "quality")
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("y")).where("doc_id is not null and y is not null").groupBy("doc_id").agg(F.max("y").alias("y"))
     rows = rows.join(known, "doc_id", "left")
-    sample = rows.where("y is not null").select("x", "y", F.xxhash64("doc_id").alias("o")).orderBy("o").limit(sample_rows).collect()
+    judged = rows.where("y is not null")
+    chance = F.shiftrightunsigned(F.xxhash64("doc_id"), 11) / float(2**53)
+    sample = judged.where(chance < sample_rows / max(judged.count(), 1)).select("x", "y").limit(2 * sample_rows).collect()
     y = np.array([r["y"] for r in sample], dtype=np.float64)
     if not len(y) or y.min() == y.max():
         one = F.lit(0.5)
