@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from kgrefine.plans.scratch import written
 
+from .vocabulary import free_name
+
 #: Fractional part of the golden ratio; its multiples modulo 1 fill the unit interval evenly.
 GOLDEN = 0.6180339887498949
 
@@ -66,6 +66,12 @@ def schedule(spark, targets: DataFrame, slots: int, sequence: str = "golden", ce
     return j.join(part, "cell").where("point >= a and point < b").select("slot", "source")
 
 
+def _small(per_source: DataFrame, most: int = 100_000) -> DataFrame:
+    """A table with a row for each source, broadcast if it is counted at ``most`` rows or fewer."""
+    kept = written(per_source, "mix")
+    return F.broadcast(kept) if kept.count() <= most else kept
+
+
 def ranked_slots(dealt: DataFrame, slots_per_part: int = 65_536) -> DataFrame:
     """(slot, source, rank): each slot's rank, from 0, among its source's slots; ranks come from parts of the slots and the parts' counts."""
     dealt = dealt.withColumn("part", F.expr(f"slot div {slots_per_part}"))
@@ -78,7 +84,7 @@ def ranked_slots(dealt: DataFrame, slots_per_part: int = 65_536) -> DataFrame:
 
 
 def mix_blocks(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most_epochs: int = 3, block: int = 32, sequence: str = "golden",
-               seed: int = 17, rows_per_bucket: int = 5_000) -> tuple[DataFrame, DataFrame]:
+               seed: int = 17, rows_per_bucket: int = 5_000, row_col: str | None = None) -> tuple[DataFrame, DataFrame]:
     """Rows (row, row_key, doc_id, source, size, source_size, target) and pieces (slot, source, block, row, offset, length).
 
     Every source's documents, in the order of a seeded hash, form one stream of words, read round and
@@ -86,17 +92,19 @@ def mix_blocks(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most_epo
     slots to sources, and the slot of rank r in its source takes block r: a piece is the words from
     ``offset`` on of one document that stand in a slot's block. Pieces by (slot, position), where position
     is the piece's place in its block, are the mixed stream. Stream places come from two levels of sums,
-    hash buckets of about ``rows_per_bucket`` rows and the buckets' totals, so that a source with a third
-    of all rows is still many tasks. ``row`` is ``__row`` of the given rows or a number of its own.
+    hash buckets of about ``rows_per_bucket`` rows, as many as its rows ask for in each source, and the
+    buckets' totals, so that a source with a third of all rows is still many tasks of the common size.
+    ``row`` is ``row_col`` of the given rows or a number of its own.
     """
     key = F.xxhash64(F.lit(seed), "doc_id", "text")
-    row = F.col("__row") if "__row" in docs.columns else F.monotonically_increasing_id()
+    row = F.col(row_col) if row_col else F.monotonically_increasing_id()
     base = docs.select(row.alias("row"), "doc_id", "source", word_count(F.col("text")).alias("size"), key.alias("row_key"))
     base = written(base, "mix")
     spark = docs.sparkSession
-    n = base.count()
-    bits = max(0, math.ceil(math.log2(max(1, n / rows_per_bucket))))
-    base = base.withColumn("bucket", F.shiftrightunsigned("row_key", 64 - bits).cast("long") if bits else F.lit(0).cast("long"))
+    bits = F.greatest(F.ceil(F.log2(F.count("*") / rows_per_bucket)), F.lit(0)).cast("int")
+    per_source = base.groupBy(F.col("source").alias("of")).agg(bits.alias("bits"))
+    base = base.join(_small(per_source), F.col("source").eqNullSafe(F.col("of")))
+    base = base.withColumn("bucket", F.when(F.col("bits") == 0, 0).otherwise(F.expr("shiftrightunsigned(row_key, 64 - bits)")).cast("long")).drop("of", "bits")
     per_bucket = written(base.groupBy("source", "bucket").agg(F.sum("size").alias("bucket_size")), "mix")
     before = F.coalesce(F.sum("bucket_size").over(Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     targets = written(source_targets(per_bucket.groupBy("source").agg(F.sum("bucket_size").alias("source_size")), weights, most_epochs), "mix")
@@ -140,7 +148,8 @@ def mix_sources(docs: DataFrame, **how) -> DataFrame:
 
 def mixed_documents(docs: DataFrame, **how) -> DataFrame:
     """The documents themselves, in the mixed order, columns as given: a copy stands where the slot of its first word does (none, where the mix takes none)."""
-    rows = written(docs.withColumn("__row", F.monotonically_increasing_id()), "rows")
-    _, pieces = mix_blocks(rows, **how)
-    plan = pieces.where("offset = 0").select(F.col("row").alias("__row"), F.col("slot").alias("__slot"), F.col("position").alias("__position"))
-    return rows.join(plan, "__row").orderBy("__slot", "__position").select(*docs.columns)
+    row_col, slot, position = (free_name(docs, n) for n in ("row_no", "slot_no", "position_no"))
+    rows = written(docs.select(F.monotonically_increasing_id().alias(row_col), *docs.columns), "rows")
+    _, pieces = mix_blocks(rows, row_col=row_col, **how)
+    plan = pieces.where("offset = 0").select(F.col("row").alias(row_col), F.col("slot").alias(slot), F.col("position").alias(position))
+    return rows.join(plan, row_col).orderBy(slot, position).select(*docs.columns)
