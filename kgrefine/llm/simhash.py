@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from kgrefine.plans.components import connected_components
 from kgrefine.plans.scratch import written
 
-from .vocabulary import slices
+from .vocabulary import free_name, slices
 
 BITS = 64
 #: Any five of eight byte places hold three places of one half, so these eight triples meet every pair with five equal bytes.
@@ -296,8 +296,11 @@ def verified_edges(nodes: DataFrame, texts: DataFrame, words: int, similarity: f
     return dealt.mapInArrow(go, "u long, v long")
 
 
-def near_duplicate_rows(rows: DataFrame, words: int, similarity: float, id_col: str, text_col: str) -> DataFrame:
-    """(row, doc_id, root, component_id) of stored rows numbered by ``__row``; ``root`` tells groups apart, also those of one doc_id."""
+def near_duplicate_nodes(rows: DataFrame, row_col: str, words: int, similarity: float, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
+    """((row, doc_id, same), (same, first, least, root)): numbered rows by the digest of their words, and each digest's first row, smallest doc_id and group.
+
+    ``first`` is the struct (doc_id, row) that is smallest among rows with a doc_id; ``root`` tells groups apart, also those of one doc_id.
+    """
 
     def go(batches):
         for batch in slices(batches):
@@ -312,19 +315,19 @@ def near_duplicate_rows(rows: DataFrame, words: int, similarity: float, id_col:
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))],
                                              ["row", "doc_id", "same", "size", "keys"])
 
-    each = written(rows.select("__row", F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(
+    each = written(rows.select(row_col, F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(
         go, "row long, doc_id long, same binary, size long, keys array<long>"), "near")
-    nodes = written(each.groupBy("same").agg(F.min("row").alias("node"), F.min("doc_id").alias("least"), F.first("size").alias("size"), F.first("keys").alias("keys")), "near")
-    texts = rows.select(F.col("__row").alias("node"), F.col(text_col).alias("text"))
-    groups = connected_components(verified_edges(nodes.where("least is not null").select("node", "size", "keys"), texts, words, similarity))
-    named = written(nodes.join(groups, "node", "left").select("same", "least", F.coalesce("component", "node").alias("root")), "near")
-    names = named.groupBy("root").agg(F.min("least").alias("component_id"))
-    return each.join(named.join(names, "root"), "same").select("row", "doc_id", "root", "component_id")
+    named = F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "row"))
+    nodes = written(each.groupBy("same").agg(F.min("row").alias("node"), F.min(named).alias("first"), F.first("size").alias("size"), F.first("keys").alias("keys")), "near")
+    texts = rows.select(F.col(row_col).alias("node"), F.col(text_col).alias("text"))
+    groups = connected_components(verified_edges(nodes.where("first is not null").select("node", "size", "keys"), texts, words, similarity))
+    found = nodes.join(groups, "node", "left").select("same", "first", F.col("first.doc_id").alias("least"), F.coalesce("component", "node").alias("root"))
+    return each.select("row", "doc_id", "same"), written(found, "near")
 
 
-def numbered(docs: DataFrame) -> DataFrame:
+def numbered(docs: DataFrame, row_col: str) -> DataFrame:
     """The rows, stored with a number each, so that rows of one id or of none can be told apart."""
-    return written(docs.withColumn("__row", F.monotonically_increasing_id()), "rows")
+    return written(docs.select(F.monotonically_increasing_id().alias(row_col), *docs.columns), "rows")
 
 
 def near_duplicate_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -337,15 +340,21 @@ def near_duplicate_groups(docs: DataFrame, words: int = 5, similarity: float = 0
     are alike. Rows with a null doc_id have a null group unless others share the text. Repeated rows
     repeat; an empty table gives none.
     """
-    rows = numbered(docs.select(id_col, text_col))
-    return near_duplicate_rows(rows, words, similarity, id_col, text_col).select("doc_id", "component_id")
+    rows = numbered(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), "row")
+    each, nodes = near_duplicate_nodes(rows, "row", words, similarity, "doc_id", "text")
+    names = nodes.groupBy("root").agg(F.min("least").alias("component_id"))
+    return each.join(nodes.select("same", "root").join(names, "root"), "same").select("doc_id", "component_id")
 
 
 def without_near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row of each group, the first with its smallest doc_id; columns as given. Decided row by row: rows with a null doc_id all stay, and so do unlike texts of one doc_id."""
-    rows = numbered(docs)
-    groups = near_duplicate_rows(rows, words, similarity, id_col, text_col).where("doc_id is not null")
-    groups = written(groups.select("row", "doc_id", "root"), "near")
-    keep = groups.groupBy("root").agg(F.min(F.struct("doc_id", "row"))["row"].alias("keep"))
-    drop = groups.join(keep, "root").where("row <> keep").select(F.col("row").alias("__row"))
-    return rows.join(drop, "__row", "left_anti").select(*docs.columns)
+    """One row of each group, the first with its smallest doc_id; columns as given.
+
+    Decided row by row: rows with a null doc_id all stay, and so do unlike texts of one doc_id. The rows
+    that stay are found by a minimum over each group and taken by their own number, so that a group with
+    a third of all rows is a partial aggregate and never one task's join.
+    """
+    row_col = free_name(docs, "row_no")
+    rows = numbered(docs, row_col)
+    _, nodes = near_duplicate_nodes(rows, row_col, words, similarity, id_col, text_col)
+    keep = nodes.where("first is not null").groupBy("root").agg(F.min("first")["row"].alias(row_col)).select(row_col)
+    return rows.join(keep, row_col, "left_semi").unionByName(rows.where(F.col(id_col).isNull())).select(*docs.columns)
