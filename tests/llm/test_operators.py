@@ -68,6 +68,25 @@ def test_topk_odd_vectors(spark):
     assert blockmax.topk_search(rows.where("false"), rows.where("false")).count() == 0
 
 
+def test_topk_of_any_finite_size(spark):
+    rng = np.random.default_rng(4)
+    x = rng.integers(-50, 50, size=(120, 5)).astype(object)
+    x[3] = [10**15, -(10**15), 3, 10**9, -1]
+    x[20] = [10**9, 2 * 10**9, -5, 7, 10**9]
+    x[40] = [2**62, 2**62, 2**62, 0, 0]
+    x[41] = [-(2**62), 5, -(2**62), 0, 0]
+    rows = spark.createDataFrame([(i, [int(v) for v in r]) for i, r in enumerate(x)], "vec_id long, terms array<long>")
+    got = {}
+    for r in blockmax.topk_search(rows, rows.where("vec_id % 20 = 0"), 10, slab_rows=50, batch_rows=2).collect():
+        got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
+    for q in range(0, 120, 20):
+        held = [(-min(max(sum(int(a) * int(b) for a, b in zip(x[i], x[q], strict=True)), -(2**63)), 2**63 - 1), i) for i in range(120) if i != q]
+        assert sorted(got[q]) == [(n + 1, i, -m) for n, (m, i) in enumerate(sorted(held)[:10])]
+    df = spark.createDataFrame([(0, [1e7, -3e9]), (20, [1e17, 2.0])], "vec_id long, embedding array<double>")
+    big = df.select("vec_id", blockmax.integer_terms(F.col("embedding")).alias("terms"))
+    assert blockmax.topk_search(big, big).count() == 2
+
+
 # 2
 
 
@@ -151,6 +170,45 @@ def test_slot_of_rank_r_takes_block_r(spark):
     assert [r["doc_id"] for r in mixing.mixed_documents(d, rows_per_bucket=20).collect()] == [r["doc_id"] for r in first.collect()]
 
 
+def test_taken_equals_a_plain_reading(spark):
+    """Golden-ratio slots, ranks and blocks by plain loops, and how even every prefix of the slots is."""
+    d = spark.createDataFrame([(i, " ".join(["w"] * (1 + 11 * i % 70)), "x", ["a", "b", "b", "c", None][i % 5]) for i in range(200)], KIND)
+    rows = mixing.mix_sources(d, rows_per_bucket=16).collect()
+    by = {}
+    for r in rows:
+        by.setdefault(r["source"], []).append(r)
+    names = sorted(by, key=lambda s: (s is None, s or ""))
+    total, high, at = sum(r["size"] for r in rows), {}, 0.0
+    for s in names:
+        at += by[s][0]["target"]
+        high[s] = at
+    slots = []
+    for j in range(round(total / 32)):
+        point = (j + 0.5) * mixing.GOLDEN % 1.0
+        slots.append(next(s for s in names if point < high[s] / at))
+    for s in names:
+        stream = [r["row_key"] for r in sorted(by[s], key=lambda r: (r["row_key"] & (2**64 - 1), r["doc_id"])) for _ in range(r["size"])]
+        words = min(slots.count(s) * 32, 3 * len(stream))
+        want = {}
+        for n in range(words):
+            key = stream[n % len(stream)]
+            want[key] = want.get(key, 0) + 1
+        assert {r["row_key"]: r["taken"] for r in by[s] if r["taken"]} == want
+        share = by[s][0]["target"] / at
+        worst = max(abs(slots[:n].count(s) - n * share) for n in range(1, len(slots) + 1))
+        assert worst < 3  # slots off the target in any prefix
+
+
+def test_mixing_keeps_columns_of_any_name(spark):
+    d = spark.createDataFrame([(i, "some words here " * 3, "x", "s", "v", i) for i in range(30)], KIND + ", row_no string, __row long")
+    out = mixing.mixed_documents(d)
+    assert out.columns == d.columns and {r["row_no"] for r in out.collect()} == {"v"}
+    left = simhash.without_near_duplicates(d)
+    assert left.columns == d.columns and [r["__row"] for r in left.collect()] == [0]
+    scored = toxicity.with_scores(d.withColumn("toxicity_score", F.lit("taken")), None)
+    assert scored.columns[-2:] == ["toxicity_score", "_toxicity_score"] and scored.count() == 30
+
+
 def test_mixing_odd(odd, none):
     rows = mixing.mix_sources(odd).collect()
     assert len(rows) == len(ODD) and all(r["taken"] == 0 for r in rows if r["size"] == 0)
@@ -180,6 +238,25 @@ def test_attribution_counts_every_token(spark, docs, odd, none):
     assert [x["section"] for x in r] == [0, 1] and sum(x["tokens"] for x in r) > 0
 
 
+def test_tokens_of_lines_equal_a_plain_count(spark, docs):
+    bpe = vocabulary.byte_bpe(vocabulary.default_path("byte_bpe_50k.tiktoken"))
+    some = docs.where("text like '%\n%'").orderBy("doc_id").limit(40)
+    got = {}
+    for r in attribution.attribute_tokens(some, rule="start").collect():
+        got.setdefault(r["doc_id"], {})[r["section"]] = (r["char_start"], r["char_end"], r["tokens"])
+    for r in some.collect():
+        text, starts, at = r["text"], [], 0
+        for i in bpe.enc.encode_ordinary(text):
+            starts.append(at)
+            at += len(bpe.enc.decode_single_token_bytes(i))
+        low, place, n = 0, 0, 0
+        for n, line in enumerate(text.splitlines(keepends=True) if "\r" not in text else text.split("\n")):
+            size = len(line.encode())
+            assert got[r["doc_id"]][n] == (low, low + len(line), sum(place <= s < place + size for s in starts))
+            low, place = low + len(line), place + size
+        assert len(got[r["doc_id"]]) == n + 1
+
+
 # 5
 
 
@@ -315,13 +392,22 @@ def test_near_duplicates_odd(odd, none):
 
 
 def slow_winnow(text, k=3, w=4):
-    words = (text or "").lower().split()
-    low = (text or "").lower()
-    import re
+    words = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c.lower() for c in text or "").split()
+
+    def run_hashes(units, k):
+        once = [xxhash.xxh64_intdigest(u.encode(), 42) for u in units]
+        once = [(h - 2**64 if h >= 2**63 else h) % winnowing.PRIME for h in once]
+        return [sum(h * winnowing.BASE ** (k - 1 - j) for j, h in enumerate(once[i : i + k])) % winnowing.PRIME for i in range(len(once) - k + 1)]
+
+    def choose(h, w):
+        h = [(x, i) for i, x in enumerate(h)]
+        return {min(h[i : i + w], key=lambda x: (x[0], -x[1])) for i in range(max(1, len(h) - w + 1))} if h else set()
 
-    grams = [m.group(1) for m in re.finditer(r"(?<!\S)(?=(\S+(?:\s+\S+){%d}))" % (k - 1), low, re.ASCII)] or ([low.strip()] if words else [])
-    h = [(xxhash.xxh64_intdigest(g.encode(), 42) & 0x7FFFFFFF, i) for i, g in enumerate(grams)]
-    return {min(h[i : i + w], key=lambda x: (x[0], -x[1])) for i in range(max(1, len(h) - w + 1))} if h else set()
+    got = choose(run_hashes(words, k), w)
+    if 0 < len(words) < 16:
+        line = " ".join(words)
+        got |= choose([x + winnowing.CHARS for x in run_hashes(line, 8)] if len(line) >= 8 else [run_hashes([line], 1)[0] + winnowing.CHARS], 8)
+    return got
 
 
 def test_winnowing_equals_brute_force(spark, docs):
@@ -337,6 +423,34 @@ def test_shared_runs_share_a_fingerprint(spark):
     assert both.first()[0]
 
 
+def test_texts_without_spaces_and_rewrapped_texts(spark):
+    import random
+
+    random.seed(4)
+    run = "".join(random.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(400))
+    df = spark.createDataFrame([(1, run), (2, "one two  three\nfour five\tsix seven"), (3, "one two three four five six seven"), (4, "b")], "doc_id long, text string")
+    rows = {r["doc_id"]: r for r in winnowing.edited_pairs(df).collect()}
+    assert rows[1]["near_edited"] > 0.25  # the first half is shared
+    assert rows[2]["near_next"] == 1.0 and rows[4]["near_next"] == 0.0
+
+
+def test_successors_of_ids_over_the_whole_range(spark):
+    low, high = -(2**63), 2**63 - 1
+    ids = [low, low + 1, -5, *range(0, 400), 10**15, high - 1, high]
+    df = spark.createDataFrame([(i, f"text number {n} of this table") for n, i in enumerate(ids)], "doc_id long, text string")
+    rows = winnowing.with_next(df, rows_per_cell=5)
+    sizes = [r["count"] for r in rows.where("ghost = 0").groupBy("cell").count().collect()]
+    assert max(sizes) <= 20 and sum(sizes) == len(ids)
+    import hashlib
+
+    text = [f"text number {n} of this table" for n in range(len(ids))]
+    want = {}
+    for n, i in enumerate(ids):
+        t, nxt = text[n], text[(n + 1) % len(ids)]
+        want[i] = hashlib.sha256((t[: len(t) - len(t) // 2] + nxt[: len(t) // 2]).encode()).hexdigest()
+    assert {r["doc_id"]: r["edited_sha256"] for r in winnowing.edited_pairs(df, rows_per_cell=5).collect()} == want
+
+
 def test_edited_texts(spark, docs, odd, none):
     for df in (docs, odd.where("doc_id is not null")):
         rows = sorted(df.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).collect())
@@ -369,6 +483,28 @@ def test_hash_tree_moves_rows_only_to_the_new_leaf(spark, docs, odd, none):
     assert hashtree.shard_documents(odd, tree).count() == len(ODD) and hashtree.shard_documents(none, tree).count() == 0
 
 
+def test_descent_equals_plain_draws(spark):
+    import math
+
+    tree = [(0, 0, 0, 1.0), (0, 0, 1, 2.0), (0, 1, 2, 1.0), (1, 2, 3, 0.5), (1, 3, 4, 3.0), (2, 4, 5, 0.0)]
+    keys = [f"k{i}" for i in range(300)]
+    level = lambda p: [x for x in tree if x[3] > 0 and all(x[i] == v for i, v in p.items())]
+    wanted = spark.createDataFrame([(k, n, i) for k in keys for n, i in [("region", r) for r in (0, 1)] + [("rack", r) for r in range(4)] + [("shard", r) for r in range(5)]], "k string, level string, id int")
+    bits = {(r["k"], r["level"], r["id"]): r["b"] for r in wanted.select("*", F.xxhash64(F.lit(7), "level", "id", "k").bitwiseAND(F.lit(2**53 - 1)).alias("b")).collect()}
+
+    def choose(k, name, col, p):
+        weight = {}
+        for x in level(p):
+            weight[x[col]] = weight.get(x[col], 0.0) + x[3]
+        return min(weight, key=lambda i: (-math.log((bits[k, name, i] + 0.5) / 2.0**53) / weight[i], i))
+
+    got = {r["k"]: r["s"] for r in spark.createDataFrame([(k,) for k in keys], "k string").select("k", hashtree.descend(F.col("k"), tree).alias("s")).collect()}
+    for k in keys:
+        region = choose(k, "region", 0, {})
+        rack = choose(k, "rack", 1, {0: region})
+        assert got[k] == choose(k, "shard", 2, {0: region, 1: rack})
+
+
 def test_hash_tree_confines_movement(spark):
     keys = spark.range(8000).withColumn("k", F.col("id").cast("string"))
     tree = hashtree.balanced_tree(16)
@@ -396,12 +532,14 @@ def check_packing(rows, want, most=4096):
 
 
 def test_packing_round_trip(spark, docs, odd, none):
-    tok = vocabulary.word_bpe(vocabulary.default_path("word_bpe_49k.json"))
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(vocabulary.default_path("word_bpe_49k.json"))
     for df in (docs, odd.where("doc_id is not null").dropDuplicates(["doc_id"])):
         rows = packing.pack_documents(df).collect()
         spans, seqs = check_packing(rows, None)
         for r in df.collect():
-            ids = np.frombuffer(tok.whole(r["text"] or ""), dtype="<u4").tolist() + [2]
+            ids = [*tok.encode(r["text"] or "", add_special_tokens=False).ids, 2]
             pieces = sorted(spans[(r["doc_id"], len(ids))])
             assert pieces[0][0] == 0 and all(a[0] + a[1] == b[0] for a, b in zip(pieces, pieces[1:], strict=False)) and pieces[-1][0] + pieces[-1][1] == len(ids)
             raw = np.asarray(ids, dtype="<u4").tobytes()
@@ -436,9 +574,85 @@ def test_packer_holds_all_limits():
         assert at == n
 
 
+def test_instruction_data_holds_binding_limits(spark, small):
+    """Conversations: the last answer bears loss, the turns before it are the prompt."""
+    turns = spark.read.parquet(f"{small.replace('0.001', '0.01')}/conversations.parquet").where("text is not null")
+    line = F.struct("turn", "role", "text")
+    both = turns.groupBy("conv_id").agg(F.array_sort(F.collect_list(line)).alias("t")).where("size(t) > 1")
+    df = both.select("conv_id", F.expr("array_join(transform(slice(t, 1, size(t) - 1), x -> x.text), '\n')").alias("prompt"), F.expr("element_at(t, -1).text").alias("answer")).repartition(2)
+    how = {"tokens": 1024, "segments": 4, "loss": 190}
+    rows = packing.pack_documents(df, id_col="conv_id", text_col="answer", prompt_col="prompt", **how).collect()
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(vocabulary.default_path("word_bpe_49k.json"))
+    front = {r["conv_id"]: len(tok.encode(r["prompt"], add_special_tokens=False).ids) for r in df.collect()}
+    total = {r["conv_id"]: front[r["conv_id"]] + len(tok.encode(r["answer"], add_special_tokens=False).ids) + 1 for r in df.collect()}
+    _, seqs = check_packing(rows, None, 1024)
+    use, seen = {}, {}
+    for r in rows:
+        u = use.setdefault(r["sequence_id"], [0, 0, 0])
+        u[0] += r["length"]
+        u[1] += 1
+        u[2] += max(0, r["start"] + r["length"] - max(r["start"], max(1, front[r["doc_id"]])))
+        seen[r["doc_id"]] = seen.get(r["doc_id"], 0) + r["length"]
+        assert r["doc_tokens"] == total[r["doc_id"]]
+    assert seen == total and all(a <= 1024 and b <= 4 and c <= 190 for a, b, c in use.values())
+    assert any(b == 4 for _, b, _ in use.values()) and any(c == 190 for _, _, c in use.values())  # both limits bind
+    least = max(sum(total.values()) / 1024, sum(total[i] - max(1, front[i]) for i in total) / 190, len(total) / 4)
+    assert len(use) <= 1.45 * least
+
+
 # 9
 
 
+def slow_quality(rows, mean, k_host, k_path, base):
+    """Posteriors by plain loops over (host, path, logit, p) rows."""
+    out = []
+    for i, (h, q, logit, p) in enumerate(rows):
+        host = [x for x in rows if x[0] == h]
+        path = [x for x in host if x[1] == q]
+        hp = (max(sum(x[3] for x in host) - p, 0) + k_host * mean) / (len(host) - 1 + k_host)
+        pp = min(max((max(sum(x[3] for x in path) - p, 0) + k_path * hp) / (len(path) - 1 + k_path), 1e-6), 1 - 1e-6)
+        z = logit - base + np.log(pp / (1 - pp))
+        out.append((hp, pp, 1 / (1 + np.exp(-z))))
+    return out
+
+
+def test_site_quality_equals_brute_force(spark, docs, labels):
+    rows = sites.quality_scores(docs, labels).orderBy("doc_id").collect()
+    y = {r["doc_id"]: r["quality"] for r in labels.collect()}
+    known = np.array([y[r["doc_id"]] for r in rows if r["doc_id"] in y], dtype=float)
+    own = [(r["host"], r["path"], np.log(r["doc_score"] / (1 - r["doc_score"])), float(y.get(r["doc_id"], r["doc_score"]))) for r in rows]
+    groups = {}
+    for h, q, _, p in own:
+        groups.setdefault((h, q), []).append(p)
+
+    def strength(g):
+        n, s = np.array([len(v) for v in g]), np.array([sum(v) for v in g])
+        mean = min(max(s.sum() / n.sum(), 1e-3), 1 - 1e-3)
+        between = (s * s / n).sum() / n.sum() - mean**2 - mean * (1 - mean) * len(n) / n.sum()
+        return mean, min(max(mean * (1 - mean) / between - 1, 2.0), 1e4) if between > 1e-9 else 1e4
+
+    hosts = {}
+    for (h, _), v in groups.items():
+        hosts.setdefault(h, []).extend(v)
+    mean, k_host = strength(list(hosts.values()))
+    _, k_path = strength(list(groups.values()))
+    base = float(np.log(known.mean() / (1 - known.mean())))
+    for r, (hp, pp, score) in zip(rows, slow_quality(own, mean, k_host, k_path, base), strict=True):
+        assert r["host_posterior"] == pytest.approx(hp, rel=1e-6) and r["path_posterior"] == pytest.approx(pp, rel=1e-6)
+        assert r["score"] == pytest.approx(score, abs=1e-5) and r["keep"] == int(r["score"] >= 0.5)
+
+
+def test_site_quality_on_held_out_labels(spark):
+    d = "/root/testdata/sf0.1"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    out = F.crc32(F.col("doc_id").cast("string")) % 5 == 0
+    rows = sites.quality_scores(docs, labels.where(~out)).join(labels.where(out), "doc_id").collect()
+    right = sum(r["keep"] == r["quality"] for r in rows)
+    assert len(rows) > 700 and right >= 0.97 * len(rows)
+
+
 def test_site_quality(spark, docs, labels, odd, none):
     rows = sites.quality_scores(docs, labels).join(labels, "doc_id").collect()
     right = sum((r["keep"] == 1) == (r["quality"] == 1) for r in rows)
@@ -461,24 +675,69 @@ def test_sparse_sites_shrink():
 # 10
 
 
+def kernel(a, b):
+    x, y = toxicity.features([a, b])
+    other = dict(zip(*y, strict=True))
+    return sum(v * other.get(c, 0) for c, v in zip(*x, strict=True))
+
+
+def slow_kernel(a, b):
+    """The gapped-subsequence sum by definition: every three letters in order, each at most GAP after the last."""
+    def parts(word):
+        seq = ["^", *word.lower(), "^"]
+        out = []
+        for i in range(len(seq)):
+            for j in range(i + 1, min(i + toxicity.GAP, len(seq) - 1) + 1):
+                for k in range(j + 1, min(j + toxicity.GAP, len(seq) - 1) + 1):
+                    if all(c == "^" or "a" <= c <= "z" for c in (seq[i], seq[j], seq[k])):
+                        out.append((seq[i] + seq[j] + seq[k], toxicity.DECAY ** (k - i - 2)))
+        return out
+
+    x, y = parts(a), parts(b)
+    size = lambda p: sum(v * v for _, v in p) ** 0.5 or 1
+    return sum(v * w for c, v in x for e, w in y if c == e) / (size(x) * size(y))
+
+
+def test_kernel_equals_the_gapped_sum():
+    words = ["grumble", "gru-mble", "g.r.u.m.b.l.e", "window", "a", "moron", "morons", "mor0n", "banana"]
+    for a in words:
+        for b in words:
+            assert kernel(a, b) == pytest.approx(slow_kernel(a, b), rel=1e-4, abs=1e-6)
+
+
 def test_kernel_tolerates_gaps():
-    f = lambda a, b: (lambda x, y: sum(v * dict(zip(*y, strict=True)).get(c, 0) for c, v in zip(*x, strict=True)))(*toxicity.features([a, b]))
-    assert f("grumble", "grumble") > f("grumble", "gru-mble") > f("grumble", "g-r-u-m-b-l-e") > f("grumble", "window")
+    assert kernel("grumble", "grumble") > kernel("grumble", "gru-mble") > kernel("grumble", "g-r-u-m-b-l-e") > kernel("grumble", "window")
     assert toxicity.words_of("a b c dog") == ["a", "b", "c", "dog", "abc", "dog"]
     assert "".join(toxicity.words_of("x" * 100)).count("x") >= 100
 
 
-def test_toxicity_learns_words_and_their_kin():
+def test_toxicity_learns_from_labelled_texts():
     rng = np.random.default_rng(1)
     syl = ["lo", "ri", "ta", "me", "su", "ka", "no", "pe", "vi"]
     word = lambda: "".join(rng.choice(syl, int(rng.integers(1, 4))))
+    bad = ["grumblehead", "dunderwit", "zonkbrain"]
     clean = [" ".join(word() for _ in range(40)) for _ in range(400)]
-    toxic = [" ".join([*(word() for _ in range(20)), ["grumblehead", "dunderwit", "zonkbrain"][i % 3], *(word() for _ in range(20))]) for i in range(150)]
+    toxic = [" ".join([*(word() for _ in range(20)), bad[i % 3], *(word() for _ in range(20)), bad[(i + 1) % 3]]) for i in range(150)]
     m = toxicity.train(clean[:300] + toxic[:120], [0] * 300 + [1] * 120)
-    top = lambda t: m.slope * m.margins(toxicity.words_of(t)).max() + m.shift
-    assert all(top(t) > 0 for t in toxic[120:]) and sum(top(t) > 0 for t in clean[300:]) <= 2
-    assert top("lori grumbleh.ead tame") > 0 and top("tame d.underwit suka") > 0
-    assert toxicity.train(["a"], [0]) is None
+    odds = lambda t: m.log_odds(m.margins(toxicity.bag(t)))
+    assert all(odds(t) > 0 for t in toxic[120:]) and sum(odds(t) > 0 for t in clean[300:]) <= 2
+    top = lambda w: m.margins([w])[0]  # noqa: E731  what the machine makes of words that no text held
+    assert min(top("grumbleh.ead"), top("d.underwit"), top("zonkbraiin")) > max(top("lori"), top("sukano"), top("pevita"))
+    assert toxicity.train(["a"], [0]) is None and toxicity.train([], []) is None
+
+
+def test_toxicity_on_held_out_texts(spark):
+    """Precision and recall on the fifth of the labelled rows that never reach the fit."""
+    d = "/root/testdata/sf0.1"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    rows = toxicity.toxicity_scores(docs, labels).where("held_out").join(labels, "doc_id").collect()
+    hit = sum(r["predicted"] == 1 and r["toxic"] == 1 for r in rows)
+    assert hit >= 0.85 * sum(r["toxic"] == 1 for r in rows) and hit >= 0.9 * sum(r["predicted"] for r in rows)
+
+
+def test_training_sample_is_bounded(spark, docs, labels):
+    got = toxicity.training_rows(docs, labels, 5, 10, 1000)
+    assert 0 < len(got) <= 30 and all(len(r["text"]) <= 1000 and zlib.crc32(str(r["doc_id"]).encode()) % 5 for r in got)
 
 
 def test_toxicity_scores(spark, docs, labels, odd, none):
@@ -492,10 +751,14 @@ def test_toxicity_scores(spark, docs, labels, odd, none):
 
 
 def test_word_ids_equal_the_library():
+    from tokenizers import Tokenizer
+
+    fresh = Tokenizer.from_file(vocabulary.default_path("word_bpe_49k.json"))
     b = vocabulary.WordBpe(vocabulary.default_path("word_bpe_49k.json"), keep=50)
     texts = ["", "  ", "it's 42! Don't", "ÀÉ İstanbul Σς", "x" * 3000, "foo_bar--!!", "<|endoftext|> hi", "ÿŒœß \x85 a b"] + [f"w{i} other{i * 7}" for i in range(200)]
     for _ in range(2):
-        assert b.ids(texts) == [b.whole(t) for t in texts]
+        assert b.ids(texts) == [np.asarray(fresh.encode(t, add_special_tokens=False).ids, dtype="<u4").tobytes() for t in texts]
+    assert np.frombuffer(b.ids(["a <|endoftext|> b"])[0], dtype="<u4").tolist() == [320, 49407, 321]
 
 
 def test_registration():
