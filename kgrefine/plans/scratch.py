@@ -9,16 +9,19 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The session's ``spark.checkpoint.dir``; only where it is unset (tests, a laptop) a temporary folder is set."""
+    """The session's ``spark.checkpoint.dir``; where it is unset a folder in the warehouse, or, if executors are threads of this process (tests), a temporary one."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if found:
         return found.rstrip("/")
     known = spark.sparkContext.getCheckpointDir()
     if known:
         return known.rstrip("/")
-    made = tempfile.mkdtemp(prefix="kgrefine-")
-    spark.sparkContext.setCheckpointDir(f"file://{made}")
-    return f"file://{made}"
+    if spark.sparkContext.master.split("[")[0] == "local":
+        made = f"file://{tempfile.mkdtemp(prefix='kgrefine-')}"
+    else:
+        made = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_kgrefine"
+    spark.sparkContext.setCheckpointDir(made)
+    return made
 
 
 def written(df: DataFrame, tag: str) -> DataFrame:
