@@ -38,7 +38,26 @@ def replay_provider(answers: dict[tuple[int, int], str]) -> Callable[[Iterator[p
     return run
 
 
-PROVIDERS = {"rule": rule_provider, "replay": replay_provider}
+STATEMENT = re.compile(r"^(?P<src>.+?) -- (?P<type>.+?) -- (?P<dst>.+?) \((?P<year>[^)]*)\)\.$", re.MULTILINE)
+
+
+def statement_provider(limit: int = 0) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]]:
+    """A deterministic stand-in for text of lines ``name -- label -- name (year).``: both names with their places and the relation; an answer ends after ``limit`` lines (0: all), as a model's does at its token limit."""
+
+    def run(batches):
+        for pdf in batches:
+            out = []
+            for text in pdf["text"]:
+                found = list(STATEMENT.finditer(text or ""))
+                found = found[:limit] if limit else found
+                ents = [{"name": m[end], "type": "PERSON", "start": m.start(end)} for m in found for end in ("src", "dst")]
+                out.append("```json\n" + json.dumps({"entities": ents, "relations": [m.groupdict() for m in found]}) + "\n```")
+            yield pd.DataFrame({"doc_id": pdf["doc_id"], "chunk_no": pdf["chunk_no"], "answer": out})
+
+    return run
+
+
+PROVIDERS = {"rule": rule_provider, "replay": replay_provider, "statement": statement_provider}
 
 
 def get_provider(name: str, **opts):
@@ -114,6 +133,19 @@ def parse_entities(recovered: DataFrame) -> DataFrame:
     return rows.select("doc_id", "chunk_no", F.explode("j.entities").alias("e")).select("doc_id", "chunk_no", "e.name", "e.type")
 
 
+def parse_spans(recovered: DataFrame) -> DataFrame:
+    """(doc_id, chunk_no, name, type, start) of every mention, repeats kept."""
+    rows = recovered.select("doc_id", "chunk_no", F.from_json("json", "struct<entities:array<struct<name:string,type:string,start:int>>>").alias("j"))
+    return rows.select("doc_id", "chunk_no", F.inline("j.entities"))
+
+
+def parse_relations(recovered: DataFrame) -> DataFrame:
+    """(doc_id, chunk_no, src, dst, rel_type, quals, ord) from recovered answers; ``ord`` is the place in the document."""
+    rows = recovered.select("doc_id", "chunk_no", F.from_json("json", "struct<relations:array<struct<src:string,type:string,dst:string,year:string>>>").alias("j"))
+    rows = rows.select("doc_id", "chunk_no", F.posexplode("j.relations").alias("at", "r"))
+    return rows.select("doc_id", "chunk_no", "r.src", "r.dst", F.col("r.type").alias("rel_type"), F.create_map(F.lit("year"), F.col("r.year")).alias("quals"), (F.col("chunk_no").cast("long") * 1_000_000 + F.col("at")).alias("ord"))
+
+
 def validate(recovered: DataFrame, required: str = "entities") -> tuple[DataFrame, DataFrame]:
     """(rows whose JSON has the required member, the others)."""
     ok = F.coalesce(F.get_json_object("json", f"$.{required}").isNotNull(), F.lit(False))

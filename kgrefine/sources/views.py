@@ -120,3 +120,29 @@ def planted_text(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame
     line = F.concat(F.lit("\nseen: "), "p_name", F.lit(" then "), F.substring(t[0], 1, 1), F.lit(". "), t[1], F.lit(" then "), wrong, F.lit(" "), t[1], F.lit(" end"))
     docs = d.select("doc_id", F.concat("text", line).alias("text"), "p_name", wrong.alias("wrong"))
     return docs, d.select("doc_id", F.concat(F.lit("e"), F.col("doc_id").cast("string")).alias("ent_id"), F.lit("PERSON").alias("type"), F.col("p_name").alias("name"))
+
+
+def planted_statements(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(k, doc_id, page_no, src, label, dst, year): a part says something of the next one of its document; twenty parts make a document, four a page.
+
+    Names have titles on every fifth and an indicator word on every seventh; every ninth part speaks of itself.
+    """
+    p = table(spark, sf_dir, "part").select(F.col("p_partkey").alias("k"), F.initcap("p_name").alias("name"))
+    k = F.col("k")
+    title = F.when(k % 5 == 0, F.concat(F.element_at(F.array(*[F.lit(t) for t in TITLES]), (k % 3 + 1).cast("int")), F.lit(" "))).otherwise("")
+    p = p.select("k", F.expr("k div 20").alias("doc_id"), F.concat(title, "name", F.when(k % 7 == 0, " Company").otherwise("")).alias("src"))
+    nxt = p.select(F.expr("doc_id * 20 + (k + 19) % 20").alias("k"), F.col("src").alias("next"))
+    label = F.element_at(F.array(F.lit("reported to"), F.lit("Reported-To"), F.lit("REPORTED_TO"), F.lit("surveiled")), (k % 4 + 1).cast("int"))
+    return p.join(nxt, "k", "left").select("k", "doc_id", (F.expr("(k % 20) div 4") + 1).cast("int").alias("page_no"), "src", label.alias("label"),
+                                           F.when(k % 9 == 0, F.col("src")).otherwise(F.coalesce("next", "src")).alias("dst"), (F.lit(1990) + k % 30).cast("string").alias("year"))
+
+
+def planted_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pages of ``planted_statements`` with signals, ``text`` and ``vision_text``: pages 2 to 4 are images whose text layer is garbled, vision reads them as they are."""
+    st = planted_statements(spark, sf_dir)
+    line = F.concat("src", F.lit(" -- "), "label", F.lit(" -- "), "dst", F.lit(" ("), "year", F.lit(")."))
+    pages = st.groupBy("doc_id", "page_no").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("k", line.alias("line")))), lambda x: x["line"]), "\n").alias("vision_text"))  # four lines
+    image = F.col("page_no").between(2, 4)
+    text = F.when(image, F.translate("vision_text", "aeiou", "43107")).otherwise(F.col("vision_text"))
+    return pages.select("doc_id", "page_no", F.lit(1.0).alias("area"), F.when(image, 0.9).otherwise(0.0).alias("img_block"), F.lit(0.0).alias("img_xref"), F.lit(0).alias("n_xref"),
+                        F.length("vision_text").cast("long").alias("chars"), F.lit(0).cast("long").alias("drawings"), text.alias("text"), "vision_text")

@@ -4,12 +4,12 @@ from __future__ import annotations
 
 
 def queries() -> dict:
-    from . import extras, methods, relational
+    from . import campaign, extras, methods, relational
 
-    return {**methods.QUERIES, **extras.QUERIES, **relational.QUERIES}
+    return {**methods.QUERIES, **extras.QUERIES, **campaign.QUERIES, **relational.QUERIES}
 
 
 def oracle_sql() -> dict:
-    from . import extras, methods, relational
+    from . import campaign, extras, methods, relational
 
-    return {**methods.SQL, **extras.SQL, **relational.SQL}
+    return {**methods.SQL, **extras.SQL, **campaign.SQL, **relational.SQL}

@@ -210,14 +210,6 @@ def resolution_review(s, d):
     return resolve.review_queue(rule, decided.where("action in ('manual_review', 'codename_candidate')")).groupBy("layer").agg(F.count("*").alias("n"))
 
 
-@q("select 'class_floor' as option, 0.72::double as value union all select 'expand_from', 0.80::double union all select 'variant_ratio', 0.85::double union all select 'name_auto', 0.95::double union all select 'resolve_auto', 0.85::double")
-def thresholds(s, d):
-    from kgrefine.config import DEFAULT
-
-    keys = ("class_floor", "expand_from", "variant_ratio", "name_auto", "resolve_auto")
-    return s.createDataFrame([(k, float(getattr(DEFAULT, k))) for k in keys], "option string, value double")
-
-
 @q(None)
 def stage_overhead(s, d):
     """Seconds of the rule layer beside those of extraction by the rule provider, for a corpus."""

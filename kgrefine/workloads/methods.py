@@ -738,30 +738,6 @@ def conformance(s, d):
     return M.conformance(e, vocab, docs, gold)
 
 
-@q("""with x as (select 'quality' as dimension, coalesce(quality = 1, false) as ok from labels union all select 'toxicity', coalesce(toxic = 0, false) from labels union all select 'length', n_chars > 200 from documents),
-g as (select dimension, round(100 * avg(case when ok then 1.0 else 0.0 end), 4) as pct from x group by dimension) select dimension, pct from g union all select 'mean', round(avg(pct), 4) from g""")
-def accuracy_dimensions(s, d):
-    l, docs = t(s, d, "labels"), t(s, d, "documents")
-    ok = lambda c: F.coalesce(c, F.lit(False)).alias("ok")
-    rows = l.select(F.lit("quality").alias("dimension"), ok(F.col("quality") == 1)).unionByName(l.select(F.lit("toxicity").alias("dimension"), ok(F.col("toxic") == 0))).unionByName(docs.select(F.lit("length").alias("dimension"), ok(F.col("n_chars") > 200)))
-    return M.accuracy_dimensions(rows)
-
-
-@q("""with g as (select distinct lower(p_name) as k from part), legacy as (select lower(p_name) || ' ' || p_partkey as k from part), full_ as (select lower(p_name) as k from part where p_partkey % 10 <> 0)
-select 'legacy' as pipeline, (select count(*) from legacy) as emitted, (select count(*) from legacy where k not in (select k from g)) as hallucinated, (select count(*) from g where k in (select k from legacy)) as gold_found, (select count(*) from g) as gold
-union all select 'full', (select count(*) from full_), (select count(*) from full_ where k not in (select k from g)), (select count(*) from g where k in (select k from full_)), (select count(*) from g)""")
-def legacy_vs_full(s, d):
-    """A pipeline that emits numbered name variants against one that emits names; gold is the list of names."""
-    p = t(s, d, "part")
-    gold = p.select(F.col("p_name").alias("name")).distinct()
-    runs = {"legacy": p.select(F.concat_ws(" ", "p_name", F.col("p_partkey").cast("string")).alias("name")), "full": p.where("p_partkey % 10 <> 0").select(F.col("p_name").alias("name"))}
-    out = None
-    for name, found in runs.items():
-        row = M.hallucinated(found, gold).select(F.col("n").alias("emitted"), "hallucinated").crossJoin(M.gold_recall(found, gold).select(F.col("hits").alias("gold_found"), F.col("n_gold").alias("gold"))).withColumn("pipeline", F.lit(name))
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
 _FILES = """with nm as (select p_partkey - 1 as n, p_name from part), pl as (select doc_id, text || chr(10) || 'seen: ' || p_name as text from documents join nm on n = doc_id % (select count(*) from part)),
 fl as (select doc_id // 20 as file_id, string_agg(text, chr(10) order by doc_id) as text from pl group by 1), g as (select distinct p_name from part)"""
 
