@@ -155,8 +155,8 @@ def pack_documents(docs: DataFrame, tokenizer_path: str | None = None, id_col: s
 
         for part in slices(batches, 256):
             type_ = part.schema.field(0).type
-            fronts, texts = (bpe.ids(part.column(c).to_pylist()) for c in (1, 2))
-            for doc, front, ids in zip(part.column(0).to_pylist(), fronts, texts, strict=True):
+            fronts = bpe.ids(part.column(1).to_pylist()) if prompt_col else [b""] * part.num_rows
+            for doc, front, ids in zip(part.column(0).to_pylist(), fronts, bpe.ids(part.column(2).to_pylist()), strict=True):
                 n = (len(front) + len(ids)) // 4 + 1
                 kept[serial] = [doc, front + ids + close, n, n]
                 packer.add(serial, n, n - max(1, len(front) // 4))

@@ -49,8 +49,7 @@ class WordBpe:
         from tokenizers import Tokenizer
 
         self.tok, self.keep, self.known = Tokenizer.from_file(path), keep, {}
-        special = [re.escape(t.content) for t in self.tok.get_added_tokens_decoder().values()]
-        self.special = re.compile("|".join(special), re.IGNORECASE) if special else None
+        self.special = [t.content.lower() for t in self.tok.get_added_tokens_decoder().values()]
         self.closes = np.zeros(self.tok.get_vocab_size(), dtype=bool)
         self.closes[[i for t, i in self.tok.get_vocab().items() if t.endswith("</w>")]] = True
 
@@ -67,7 +66,7 @@ class WordBpe:
 
     def ids(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
-        split = [None if _SAFE.search(t) or self.special and self.special.search(t) else _PIECE.findall(t.lower()) for t in texts]
+        split = [None if _SAFE.search(t) or any(x in low for x in self.special) else _PIECE.findall(low) for t, low in zip(texts, map(str.lower, texts), strict=True)]
         if len(self.known) > self.keep:
             self.known.clear()
         self.learn([p for p in set().union(*(p for p in split if p)) if p not in self.known])

@@ -36,14 +36,17 @@ def mine_variants(ents: DataFrame, docs: DataFrame, tau: float = DEFAULT.variant
 
     Two neighbouring words match a name when the second starts with the first three letters of its last
     token and the first is its first token's initial (``initial``) or alike to it at ``tau`` (``spelling``).
-    The three letters are an exact block, so text and names meet in an equi-join; the ratio is computed
-    once for each distinct pair of words.
+    The three letters are an exact block, so text and names meet in an equi-join, and pairs whose letters
+    no name has stay out of its shuffle; the ratio is computed once for each distinct pair of words.
     """
     t = F.split(S.norm_name(F.col("name")), " ")
     names = ents.where("type = 'PERSON'").select("doc_id", "ent_id", S.norm_name(F.col("name")).alias("full"), t[0].alias("first"), F.element_at(t, -1).alias("last")).where(F.size(t) >= 2)
     names = names.withColumn("block", F.substring("last", 1, 3))
     pairs = word_pairs(docs).select("doc_id", "w1", "w2", F.lower("w1").alias("l1"), F.regexp_replace(F.lower("w2"), r"\.$", "").alias("l2"))
-    near = pairs.withColumn("block", F.substring("l2", 1, 3)).join(names, ["doc_id", "block"]).where(F.concat_ws(" ", "l1", "l2") != F.col("full"))
+    blocks = names.select("block").distinct()
+    blocks = F.broadcast(blocks) if blocks.count() <= 100_000 else blocks
+    pairs = pairs.withColumn("block", F.substring("l2", 1, 3)).join(blocks, "block", "left_semi")
+    near = pairs.join(names, ["doc_id", "block"]).where(F.concat_ws(" ", "l1", "l2") != F.col("full"))
     bare = F.regexp_replace("l1", r"\.$", "")
     near = near.withColumn("bare", bare).withColumn("initial", F.col("bare") == F.substring("first", 1, 1))
     ratio = near.where("not initial").select("bare", "first").distinct().withColumn("ratio", S.seq_ratio(F.col("bare"), F.col("first")))

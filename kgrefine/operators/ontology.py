@@ -167,8 +167,11 @@ def cutoff_topk(hits: DataFrame, k: int) -> DataFrame:
     return hits.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def closure(subclass: DataFrame, max_depth: int = 16) -> DataFrame:
-    """(child, ancestor, hop): every class with itself at 0 and its ancestors; the smallest hop, safe on cycles."""
+def closure(subclass: DataFrame, max_depth: int = 10_000) -> DataFrame:
+    """(child, ancestor, hop): every class with itself at 0 and its ancestors; the smallest hop, safe on cycles.
+
+    Hops are added until one finds nothing new; a chain over ``max_depth`` is an error, never a shorter answer.
+    """
     edges = subclass.select("child", "parent").distinct()
     reach = edges.select(F.explode(F.array("child", "parent")).alias("child")).distinct().select("child", F.col("child").alias("ancestor"), F.lit(0).alias("hop"))
     reach = written(reach, "closure")
@@ -178,9 +181,11 @@ def closure(subclass: DataFrame, max_depth: int = 16) -> DataFrame:
         step = written(step.join(reach, ["child", "ancestor"], "left_anti"), "closure")
         if not step.limit(1).count():
             forget(step)
-            break
+            return reach
         reach, last = reach.unionByName(step), step
-    return reach
+        if hop % 20 == 0:
+            reach = written(reach, "closure")
+    raise RuntimeError(f"a class has ancestors over {max_depth} steps away")
 
 
 def predicates_exact(hits: DataFrame, predicates: DataFrame) -> DataFrame:
@@ -230,11 +235,12 @@ REFINEMENTS = frozenset({"G1", "G2", "G3", "G4", "G5"})
 
 
 def retrieve(windows: DataFrame, classes: DataFrame, subclass: DataFrame, predicates: DataFrame, refinements: frozenset[str] = REFINEMENTS, centrality: DataFrame | None = None,
-             term_windows: DataFrame | None = None, terms: DataFrame | None = None, dense_windows: DataFrame | None = None, min_score: float = DEFAULT.class_floor) -> tuple[DataFrame, DataFrame]:
+             term_windows: DataFrame | None = None, terms: DataFrame | None = None, dense_windows: DataFrame | None = None, min_score: float = DEFAULT.class_floor,
+             reach: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
     """(class hits, predicates) of each document; switching a refinement off, or leaving out what it needs, never fails.
 
     G1 adds the vectors of term strings, G2 direct children, G3 full-text predicates, G4 the denser
-    windows, G5 predicates of ancestors.
+    windows, G5 predicates of ancestors (``reach``: their closure, if it is there already).
     """
     src = dense_windows if "G4" in refinements and dense_windows is not None else windows
     if "G1" in refinements and term_windows is not None:
@@ -243,7 +249,7 @@ def retrieve(windows: DataFrame, classes: DataFrame, subclass: DataFrame, predic
     hits = penalize(hits, centrality) if centrality is not None else hits.withColumn("score", F.col("cos"))
     hits = best_per_class(hits).where(F.col("score") >= min_score)
     found = expand_children(hits, subclass) if "G2" in refinements else hits.withColumn("provenance", F.lit("retrieved"))
-    preds = predicates_ancestor(found, closure(subclass), predicates) if "G5" in refinements else predicates_exact(found, predicates)
+    preds = predicates_ancestor(found, closure(subclass) if reach is None else reach, predicates) if "G5" in refinements else predicates_exact(found, predicates)
     if "G3" in refinements and terms is not None:
         more = predicate_fulltext(terms, predicates).select("doc_id", "pred_id", F.lit(0).alias("hop"))
         preds = preds.unionByName(more).groupBy("doc_id", "pred_id").agg(F.min("hop").alias("hop"))
@@ -255,10 +261,11 @@ def version_hash(onto: DataFrame) -> Column:
     return F.sha2(F.concat_ws("|", F.count("*").cast("string"), F.sum(F.xxhash64(*[F.col(c).cast("string") for c in onto.columns]).cast("decimal(38,0)")).cast("string")), 256)
 
 
-def with_cache(requests: DataFrame, minutes: int = DEFAULT.cache_minutes) -> DataFrame:
-    """Adds ``version_no``, ``cache_key`` and ``hit`` to (ts, text, ...): a hit is an earlier request of the key in the same version window."""
+def with_cache(requests: DataFrame, minutes: int = DEFAULT.cache_minutes, version: Column | None = None) -> DataFrame:
+    """Adds ``version_no``, ``cache_key`` and ``hit`` to (ts, text, ...): a hit is an earlier request of the key in the same time window, under the same ``version`` of the ontology (``version_hash``)."""
     slot = F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / (minutes * 60_000_000)).cast("long")
-    rows = requests.withColumn("version_no", slot).withColumn("cache_key", F.sha2(F.concat_ws("|", F.col("text"), F.col("version_no").cast("string")), 256))
+    key = F.concat_ws("|", F.col("text"), F.col("version_no").cast("string"), *([version] if version is not None else []))
+    rows = requests.withColumn("version_no", slot).withColumn("cache_key", F.sha2(key, 256))
     order = Window.partitionBy("cache_key").orderBy("ts", "req_id")
     return rows.withColumn("hit", F.row_number().over(order) > 1)
 
@@ -272,23 +279,33 @@ def with_store(requests: DataFrame, store: DataFrame | None) -> DataFrame:
 
 
 def circuit_breaker(requests: DataFrame, seconds: int = DEFAULT.breaker_seconds) -> DataFrame:
-    """(source, req_id, ts, failed, state) for (source, req_id, ts, failed): a failure opens the breaker for ``seconds``; failures while open do not extend it.
+    """(source, req_id, us, failed, state) for (source, req_id, ts, failed): a failure opens the breaker for ``seconds``; failures while open do not extend it.
 
-    Sequential for each source, so each source's requests are scanned in order by ``applyInPandas``.
+    Which failures open it depends on the one before, so each source's failures alone are walked in
+    order, as (time, id) arrays. A request looks back at most ``seconds``: openings go to their own and
+    the next stretch of that length, so requests meet them in stretches and a source that holds most of
+    the requests is many tasks.
     """
-    def scan(pdf):
+    span = seconds * 1_000_000
+
+    def openings(pdf):
         pdf = pdf.sort_values(["us", "req_id"], kind="stable")
-        until, out = None, []
-        for us, failed in zip(pdf["us"], pdf["failed"], strict=True):
-            is_open = until is not None and us < until
-            out.append("unguided" if is_open else "guided")
-            if failed and not is_open:
-                until = us + seconds * 1_000_000
-        return pdf.assign(state=out)
-
-    rows = requests.select("source", "req_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"), "failed")
+        keep, until = [], None
+        for us in pdf["us"].tolist():
+            keep.append(until is None or us >= until)
+            until = us + span if keep[-1] else until
+        return pdf[keep]
+
+    us = F.unix_micros(F.col("ts").cast("timestamp"))
+    rows = requests.select("source", "req_id", us.alias("us"), "failed").withColumn("stretch", F.expr(f"us div {span}L"))
     kinds = dict(rows.dtypes)
-    return rows.groupBy("source").applyInPandas(scan, f"source {kinds['source']}, req_id {kinds['req_id']}, us long, failed boolean, state string")
+    opened = rows.where("failed").select("source", "req_id", "us").groupBy("source").applyInPandas(openings, f"source {kinds['source']}, req_id {kinds['req_id']}, us long")
+    opened = opened.withColumn("stretch", F.explode(F.array(F.expr(f"us div {span}L"), F.expr(f"us div {span}L + 1"))))
+    opened = opened.select(F.col("source").alias("o_source"), F.col("stretch").alias("o_stretch"), F.col("us").alias("o_us"), F.col("req_id").alias("o_id"))
+    after = (F.col("us") > F.col("o_us")) | ((F.col("us") == F.col("o_us")) & (F.col("req_id") > F.col("o_id")))
+    # openings of a source are at least ``seconds`` apart, so a request meets two at most
+    met = rows.join(opened, (F.col("source") == F.col("o_source")) & (F.col("stretch") == F.col("o_stretch")) & after & (F.col("us") < F.col("o_us") + span), "left")
+    return met.select("source", "req_id", "us", "failed", F.when(F.col("o_us").isNull(), "guided").otherwise("unguided").alias("state"))
 
 
 def breaker_extending(requests: DataFrame, seconds: int = DEFAULT.breaker_seconds) -> DataFrame:

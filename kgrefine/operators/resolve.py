@@ -132,6 +132,12 @@ def block_phonetic(ents: DataFrame) -> DataFrame:
     return keyed.withColumnRenamed("ent_id", "left_id").join(keyed.withColumnRenamed("ent_id", "right_id"), "code").where("left_id < right_id").select("left_id", "right_id")
 
 
+def block_all(ents: DataFrame, scope: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """(left_id, right_id): every pair of one scope, the baseline that blocks are measured against; a scope is a document, never the table."""
+    a, b = (ents.select(*scope, F.col("ent_id").alias(i)) for i in ("left_id", "right_id"))
+    return a.join(b, list(scope)).where("left_id < right_id").select("left_id", "right_id")
+
+
 def block_union(**blocks: DataFrame) -> DataFrame:
     """(left_id, right_id, sources): distinct pairs of all blocks with the sorted names of those that hold them."""
     every = None

@@ -22,9 +22,9 @@ def page_signals(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def homonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Parts as persons: few names, many contexts."""
+    """Parts as persons: few names, many contexts; forty make a document."""
     p = table(spark, sf_dir, "part")
-    return p.select((F.col("p_partkey") % 50).alias("doc_id"), F.col("p_partkey").alias("ent_id"), F.lit("PERSON").alias("type"), F.col("p_name").alias("name"),
+    return p.select(F.expr("p_partkey div 40").alias("doc_id"), F.col("p_partkey").alias("ent_id"), F.lit("PERSON").alias("type"), F.col("p_name").alias("name"),
                     F.col("p_brand").alias("role"), F.col("p_type").alias("org"), F.floor(F.col("p_size") / 10).cast("string").alias("loc"), F.col("p_brand").alias("employee_no"))
 
 
@@ -93,10 +93,10 @@ def subclass_edges(classes: DataFrame) -> DataFrame:
     return classes.where("parent is not null").select(F.col("class_id").alias("child"), "parent")
 
 
-def query_windows(spark: SparkSession, sf_dir: str, classes: DataFrame, n: int = 100) -> DataFrame:
-    """(doc_id, win_no, vec, gold_class): a planted mixture of a class and the row's own vector; four rows make a document."""
-    e = table(spark, sf_dir, "embeddings").where(F.col("vec_id") >= n).select("vec_id", "embedding", (F.col("vec_id") % n).alias("gold_class"))
-    a = F.element_at(F.array(*[F.lit(x) for x in (0.45, 0.5, 0.55, 0.65)]), (F.floor(F.col("vec_id") / n) % 4 + 1).cast("int"))
+def query_windows(spark: SparkSession, sf_dir: str, classes: DataFrame, n: int = 100, lean: tuple[float, ...] = (0.45, 0.5, 0.55, 0.65), turn: int = 1) -> DataFrame:
+    """(doc_id, win_no, vec, gold_class): a planted mixture of the class ``vec_id * turn % n`` and the row's own vector; four rows make a document."""
+    e = table(spark, sf_dir, "embeddings").where(F.col("vec_id") >= n).select("vec_id", "embedding", (F.col("vec_id") * turn % n).alias("gold_class"))
+    a = F.element_at(F.array(*[F.lit(x) for x in lean]), (F.floor(F.col("vec_id") / n) % 4 + 1).cast("int"))
     rows = e.join(F.broadcast(classes.select(F.col("class_id").alias("gold_class"), F.col("vec").alias("cvec"))), "gold_class").withColumn("a", a)
     vec = unit(F.zip_with("cvec", "embedding", lambda x, y: x * F.col("a") + y.cast("double") * (1 - F.col("a"))))
     return rows.select(F.floor(F.col("vec_id") / 4).alias("doc_id"), (F.col("vec_id") % 4).cast("int").alias("win_no"), vec.alias("vec"), "gold_class", "vec_id")

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from kgrefine import measures as M
 from kgrefine.operators import chunks, clean, conform, extract, gates, names, ontology, pages, relations, resolve, tabular
+from kgrefine.plans.scratch import written
 from kgrefine.sources import views
 from kgrefine.sources.views import table as t
 
@@ -184,13 +185,6 @@ def class_retrieval_topk(s, d):
     return ontology.cutoff_topk(hits, 5).select(F.col("doc_id").alias("vec_id"), "class_id", "rank")
 
 
-@q(None)
-def class_retrieval_penalized(s, d):
-    classes, _, hits, _ = _hits(s, d)
-    pr = ontology.pagerank(views.subclass_edges(classes).select(F.col("child").alias("src"), F.col("parent").alias("dst")), rounds=10).select(F.col("node").alias("class_id"), F.col("pr_max").alias("pr"))
-    return ontology.best_per_class(ontology.penalize(hits, pr)).select("doc_id", "class_id", F.round("score", 4).alias("score"))
-
-
 @q(f"""with {EXPANDED}, tok as (select *, 200 + class_id * 37 % 400 as tokens from ex), run as (select *, sum(tokens) over (partition by doc_id order by round(score, 9) desc, class_id rows unbounded preceding) as used from tok where score >= 0.72)
 select doc_id, class_id, cast(used as bigint) as used from run where used <= 1200""")
 def token_budget_cutoff(s, d):
@@ -254,21 +248,32 @@ def predicates_fulltext(s, d):
     return ontology.predicate_fulltext(terms, b).select("doc_id", "pred_id", F.round("bm25", 4).alias("bm25"))
 
 
-def _rank_sql(rounds: int = 10) -> str:
-    parts = ["edge as (select 'n' || n_nationkey as src, 'r' || n_regionkey as dst from nation union all select 'r' || r_regionkey, 'root' from region)", "node as (select src as node from edge union select dst from edge)",
+def _rank_parts(edge: str, rounds: int = 10) -> list[str]:
+    parts = [f"edge as ({edge})", "node as (select src as node from edge union select dst from edge)",
              "deg as (select src, count(*) as deg from edge group by src)", "r0 as (select node, 1.0::double / (select count(*) from node) as pr from node)"]
     for i in range(1, rounds + 1):
         parts.append(f"""r{i} as (select n.node, 0.15 / (select count(*) from node) + 0.85 * (coalesce((select sum(p.pr / d.deg) from edge e join r{i - 1} p on p.node = e.src join deg d on d.src = e.src where e.dst = n.node), 0)
           + (select coalesce(sum(pr), 0) from r{i - 1} where node not in (select src from edge)) / (select count(*) from node)) as pr from node n)""")
-    return "with " + ", ".join(parts) + f" select node, round(pr, 8) as pr, round(pr / (select max(pr) from r{rounds}), 8) as pr_max from r{rounds}"
+    return parts
+
 
+_UP = "select 'n' || n_nationkey as src, 'r' || n_regionkey as dst from nation union all select 'r' || r_regionkey, 'root' from region"
 
-@q(_rank_sql())
+
+@q("with " + ", ".join(_rank_parts(_UP)) + " select node, round(pr, 8) as pr, round(pr / (select max(pr) from r10), 8) as pr_max from r10")
 def ontology_pagerank(s, d):
     edge = _tree(s, d)[0].select(F.col("child").alias("src"), F.col("parent").alias("dst"))
     return ontology.pagerank(edge, rounds=10).select("node", F.round("pr", 8).alias("pr"), F.round("pr_max", 8).alias("pr_max"))
 
 
+@q(f"with {V1}, " + ", ".join(_rank_parts("select class_id as src, parent as dst from cls where parent is not null")) + """, pr as (select node, pr / (select max(pr) from r10) as pr from r10)
+select doc_id, class_id, round(max(cos * (1 - 0.4 * coalesce(pr, 0))), 4) as score from raw left join pr on node = class_id where cos >= 0.72 group by doc_id, class_id""")
+def class_retrieval_penalized(s, d):
+    classes, _, hits, _ = _hits(s, d)
+    pr = ontology.pagerank(views.subclass_edges(classes).select(F.col("child").alias("src"), F.col("parent").alias("dst")), rounds=10).select(F.col("node").alias("class_id"), F.col("pr_max").alias("pr"))
+    return ontology.best_per_class(ontology.penalize(hits, pr)).select("doc_id", "class_id", F.round("score", 4).alias("score"))
+
+
 VOCAB = {"de": ("der", "die", "und", "das"), "en": ("the", "and", "of"), "es": ("los", "que", "del"), "fr": ("les", "des", "une")}
 
 
@@ -288,15 +293,43 @@ def slice_router(s, d):
     return ontology.route_slices(p, VOCAB)
 
 
-@q(None)
+_MIX = "list_transform(list_zip(c.vec, e.v), lambda z: z[1] * {a} + z[2] * (1 - {a}))"
+
+
+def _settings() -> dict[str, frozenset[str]]:
+    every = sorted(ontology.REFINEMENTS)
+    return {"none": frozenset(), "all": ontology.REFINEMENTS, **{f"{g} alone": frozenset({g}) for g in every}, **{f"without {g}": ontology.REFINEMENTS - {g} for g in every}}
+
+
+def _refined_sql() -> str:
+    cos = f"{DOT.format(a='q.vec', b='cls.vec')} / sqrt({DOT.format(a='q.vec', b='q.vec')} * {DOT.format(a='cls.vec', b='cls.vec')})"
+    more = f"""dw as (select floor(e.vec_id / 4) as doc_id, {UNIT.format(v=_MIX.format(a="([0.5, 0.55, 0.6, 0.7])[cast(floor(e.vec_id / 100) as bigint) % 4 + 1]"))} as vec from e join cls c on c.class_id = e.vec_id % 100 where e.vec_id >= 100),
+tw as (select floor(e.vec_id / 4) as doc_id, {UNIT.format(v=_MIX.format(a='0.65'))} as vec from e join cls c on c.class_id = e.vec_id * 7 % 100 where e.vec_id >= 100 and e.vec_id % 4 = 0),
+hit as materialized (select src, cast(doc_id as bigint) as doc_id, class_id, max(cos) as score from (select q.src, q.doc_id, class_id, {cos} as cos from (select 'q' as src, doc_id, vec from qw union all select 'd', doc_id, vec from dw union all select 't', doc_id, vec from tw) q, cls) where cos >= 0.72 group by all),
+term as (select distinct doc_id, 'p' || ((gold_class + 1) % 100) as pred_id from qw where win_no = 0), pred as (select 'p' || class_id as pred_id, class_id as domain, coalesce(parent, class_id) as range from cls), up as (select class_id as child, class_id as ancestor from cls union select class_id, parent from cls where parent is not null)"""
+    rows = []
+    for name, on in _settings().items():
+        srcs = ("d" if "G4" in on else "q", *(["t"] if "G1" in on else []))
+        found = "select distinct doc_id, class_id from b" + (" union select b.doc_id, c.class_id from b join cls c on c.parent = b.class_id where b.score >= 0.80" if "G2" in on else "")
+        ends = "select distinct doc_id, pred_id from f join up on child = class_id join pred on ancestor in (domain, range)" if "G5" in on else "select distinct doc_id, pred_id from f join pred on class_id in (domain, range)"
+        ends += " union select doc_id, pred_id from term" if "G3" in on else ""
+        rows.append(f"select * from (with b as (select doc_id, class_id, max(score) as score from hit where src in {srcs if len(srcs) > 1 else f'({srcs[0]!r})'} group by all), f as ({found}), p as ({ends}) select '{name}' as setting, (select count(*) from f) as class_hits, (select count(*) from p) as predicates)")
+    return f"with {V1}, {more} " + " union all ".join(rows)
+
+
+@q(_refined_sql())
 def refinement_ablation(s, d):
-    """Class hits and predicates with all refinements, none, and each left out."""
-    classes, windows, _, _ = _hits(s, d)
+    """Class hits and predicates with no refinement, all five, each alone and each left out; denser windows and term strings are planted vectors, terms the number of a neighbouring class."""
+    classes = written(views.ontology_classes(s, d), "classes")
+    windows = written(views.query_windows(s, d, classes), "windows")
+    dense = written(views.query_windows(s, d, classes, lean=(0.5, 0.55, 0.6, 0.7)), "windows")
+    lines = written(views.query_windows(s, d, classes, lean=(0.65,) * 4, turn=7).where("vec_id % 4 = 0").withColumn("win_no", F.lit(100)), "windows")
+    terms = windows.where("win_no = 0").select("doc_id", ((F.col("gold_class") + 1) % 100).cast("string").alias("term"))
     sub = views.subclass_edges(classes)
     preds = classes.select(F.concat(F.lit("p"), F.col("class_id").cast("string")).alias("pred_id"), F.col("label"), F.col("definition"), F.col("class_id").alias("domain"), F.coalesce("parent", F.col("class_id")).alias("range"))
-    out = None
-    for name, on in {"none": frozenset(), "all": ontology.REFINEMENTS, **{f"without {g}": ontology.REFINEMENTS - {g} for g in ("G2", "G5")}}.items():
-        hits, found = ontology.retrieve(windows, classes, sub, preds, on)
+    reach, out = ontology.closure(sub), None
+    for name, on in _settings().items():
+        hits, found = ontology.retrieve(windows, classes, sub, preds, on, term_windows=lines, terms=terms, dense_windows=dense, reach=reach)
         row = hits.agg(F.count("*").alias("class_hits")).crossJoin(found.agg(F.count("*").alias("predicates"))).withColumn("setting", F.lit(name))
         out = row if out is None else out.unionByName(row)
     return out
@@ -431,13 +464,36 @@ def quality_before(s, d):
     return clean.quality_table(views.dirty_entities(s, d), views.dirty_relations(s, d)).withColumn("stage", F.lit("before"))
 
 
-@q(None)
+def _quality_sql(name: str, fixes: tuple[str, ...]) -> str:
+    """Defect counts of the planted files after the given fixes."""
+    kind = "case when k % 7 = 0 then 'ORGANIZATION' else 'PERSON' end" if "types" in fixes else "'PERSON'"
+    label = "replace(upper(regexp_replace(trim(rel_type), '[ -]+', '_', 'g')), 'SURVEILED', 'SURVEILLED')" if "labels" in fixes else "rel_type"
+    loop = "src <> dst" if "loops" in fixes else "true"
+    merged = "min(ent_id) over (partition by doc_id, type, lower(cname))" if "titles" in fixes else "ent_id"
+    new = "(case type when 'PERSON' then 'p_' else 'o_' end) || lpad(cast(dense_rank() over (partition by doc_id, type order by mid) as varchar), 3, '0')" if "ids" in fixes else "mid"
+    lost = "exists (select 1 from ids i where i.doc_id = r.doc_id and i.fid = r.src) and exists (select 1 from ids i where i.doc_id = r.doc_id and i.fid = r.dst)" if "dangling" in fixes else "true"
+    return f"""(with a as (select doc_id, ent_id, {kind} as type, cname from core), b as (select *, {merged} as mid from a), c as (select *, {new} as fid from b),
+ids as (select distinct doc_id, fid, type from c), {'ents as (select * from ids)' if 'titles' in fixes else 'ents as (select doc_id, fid, type from c)'},
+r0 as (select doc_id, src, dst, {label} as rel_type from rel where {loop}), r1 as (select r0.doc_id, coalesce(s.mid, src) as src, coalesce(t.mid, dst) as dst, rel_type, s.fid as sf, t.fid as tf from r0 left join c s on s.doc_id = r0.doc_id and s.ent_id = src left join c t on t.doc_id = r0.doc_id and t.ent_id = dst),
+r2 as (select doc_id, coalesce(sf, src) as src, coalesce(tf, dst) as dst, rel_type from r1 where {loop}), r as (select * from r2 r where {lost}),
+ends as (select doc_id, src as i from r union all select doc_id, dst from r where dst <> src)
+select '{name}' as stage, (select count(*) from ents) as entities, (select count(*) from ents where type = 'PERSON') as persons, (select count(*) from r) as relations, (select count(*) from r where src = dst) as self_loops,
+ (select count(distinct rel_type) from r) as type_variants, (select count(distinct regexp_replace(fid, '[0-9]+', '9', 'g')) from ents) as id_shapes,
+ (select count(*) from ends x where not exists (select 1 from ids where ids.doc_id = x.doc_id and ids.fid = x.i)) as dangling_ends)"""
+
+
+_STAGES = {"before": (), "after": clean.FIXES, **{f"without {x}": tuple(y for y in clean.FIXES if y != x) for x in clean.FIXES}}
+
+
+@q(f"with {V6} " + " union all ".join(f"select * from {_quality_sql(name, fixes)}" for name, fixes in _STAGES.items()))
 def quality_before_after(s, d):
-    """Defect counts before, after all fixes, and with each fix left out."""
-    e, r = views.dirty_entities(s, d), views.dirty_relations(s, d)
-    out = clean.quality_table(e, r).withColumn("stage", F.lit("before"))
-    for name, fixes in {"after": clean.FIXES, **{f"without {x}": tuple(y for y in clean.FIXES if y != x) for x in clean.FIXES}}.items():
-        out = out.unionByName(clean.quality_table(*clean.finalize(e, r, fixes)).withColumn("stage", F.lit(name)))
+    """Defect counts before, after all fixes, and with each fix left out; the files are made once and each chain's result is written, so that no count walks a chain again."""
+    e, r = written(views.dirty_entities(s, d), "entities"), written(views.dirty_relations(s, d), "relations")
+    out = None
+    for name, fixes in _STAGES.items():
+        ents, rels = (written(df, "cleaned") for df in clean.finalize(e, r, fixes)) if fixes else (e, r)
+        row = clean.quality_table(ents, rels).withColumn("stage", F.lit(name))
+        out = row if out is None else out.unionByName(row)
     return out
 
 
@@ -545,7 +601,7 @@ def first_letter_false_positives(s, d):
     return p.agg(F.count("*").alias("pairs"), F.count_if(one("first_letter")).alias("first_letter"), F.count_if(one("fixed")).alias("fixed"))
 
 
-@q("""with e as (select p_partkey % 50 as doc_id, p_partkey as id, p_name, p_brand, p_type, cast(cast(floor(p_size / 10) as bigint) as varchar) as loc from part),
+@q("""with e as (select p_partkey // 40 as doc_id, p_partkey as id, p_name, p_brand, p_type, cast(cast(floor(p_size / 10) as bigint) as varchar) as loc from part),
 p as (select a.doc_id, a.id as left_id, b.id as right_id, jaro_winkler_similarity(a.p_name, b.p_name) as score, case when a.p_brand = b.p_brand and a.p_type = b.p_type and a.loc = b.loc then 1 else 0 end as delta from e a join e b on a.doc_id = b.doc_id and a.id < b.id)
 select doc_id, left_id, right_id, delta, case when delta = 1 and score > 0.95 then 'auto_merge' when delta = 1 and score > 0.90 then 'manual_review' else 'different_contexts' end as action from p where score >= 0.75""")
 def context_dedup(s, d):
