@@ -11,7 +11,7 @@ from kgrefine.operators import chunks, clean, conform, extract, gates, names, on
 from kgrefine.sources import records, views
 from kgrefine.sources.views import table as t
 
-from .methods import TREE, V6, _hits, _tree
+from .methods import _T, ALIASES, CHUNKS, EXPANDED, TREE, V1, V3, V6, V8, DOT, _hits, _tree
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -178,14 +178,34 @@ def release_inversions(s, d):
     return inversions(e).select("seq", "parked")
 
 
-@q(f"with {V6} select count(*) as merged, cast(sum(mentions) as bigint) as mentions from (select doc_id, type, lower(cname), count(*) as mentions from core group by all)")
+_ATTESTED = """toks as (select distinct string_split(trim(name), ' ') as t, lower(trim(name)) as whole from ent), found as (select lower(replace(t[1], '.', '')) as token, lower(t[2] || ' ' || t[3]) as core from toks where len(t) = 3),
+titles as (select token from found where core in (select whole from toks) group by token having count(distinct core) >= 3)"""
+
+
+@q(f"with {V6}, {_ATTESTED} select token from titles")
+def attested_titles(s, d):
+    """Tokens that stand before at least three names which also occur on their own."""
+    return clean.attested_titles(views.dirty_entities(s, d))
+
+
+@q(f"""with {V6}, {_ATTESTED}, cut as (select doc_id, type, case when len(t) > 2 and lower(replace(t[1], '.', '')) in (select token from titles) then array_to_string(t[2:], ' ') else name end as aname, cname from (select *, string_split(name, ' ') as t from core))
+select 'structural' as rule, count(*) as merged, cast(sum(n) as bigint) as mentions from (select count(*) as n from cut group by doc_id, type, lower(cname)) union all select 'attested', count(*), cast(sum(n) as bigint) from (select count(*) as n from cut group by doc_id, type, lower(aname))""")
 def attested_vs_structural(s, d):
-    """Groups of the structural title rule; the attested rule strips only tokens that stand before many known names."""
+    """Groups of the structural title rule and of the attested one, which strips only tokens that stand before many known names."""
     e = clean.fix_entity_type(views.dirty_entities(s, d)).drop("retyped")
-    return clean.merge_entities(e)[0].agg(F.count("*").alias("merged"), F.sum("mentions").alias("mentions"))
+    tokens = clean.attested_titles(e).agg(F.array_sort(F.collect_set("token")).alias("known"))  # titles, a few words
+    ruled = e.crossJoin(F.broadcast(tokens))
+    out = None
+    for rule, core in {"structural": None, "attested": clean.core_name(F.col("name"), attested=F.col("known"))}.items():
+        row = clean.merge_entities(ruled, core=core)[0].agg(F.count("*").alias("merged"), F.sum("mentions").alias("mentions")).withColumn("rule", F.lit(rule))
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
-@q(None)
+_WRONG = """select '{r}' as rule, count(*) as clusters, count(*) filter (golds > 1) as false_clusters, cast(sum((n * n - sq) / 2) as bigint) as false_pairs from (select c, sum(n) as n, sum(n * n) as sq, count(*) as golds from (select {k} as c, p_brand, p_type, floor(p_size / 10) as loc, p_name, count(*) as n from part group by all) group by c)"""
+
+
+@q(_WRONG.format(r="name only", k="p_name") + " union all " + _WRONG.format(r="name and context", k="p_name || '|' || p_brand || '|' || p_type || '|' || floor(p_size / 10)"))
 def false_merges(s, d):
     """Wrong pairs joined by merging equal names across contexts, with and without the context check."""
     p = views.homonyms(s, d).select("ent_id", "name", "role", "org", "loc")
@@ -224,7 +244,8 @@ def stage_overhead(s, d):
     return s.createDataFrame([("extraction", n, middle - began), ("aliases", n, end - middle)], "stage string, chunks long, seconds double")
 
 
-@q(None)
+@q(f"""with {V1}, line as (select doc_id, length('class ' || class_id || ' : things of kind ' || class_id || ' and ' || repeat('x', cast(class_id * 37 % 400 as integer))) as n from best)
+select doc_id, cast(sum(n) + count(*) - 1 as integer) as n, cast(floor((sum(n) + count(*) - 1) / 4) as bigint) as tokens from line group by doc_id""")
 def catalogue_text(s, d):
     """Rendered catalogues of the live retrieval."""
     classes, _, _, best = _hits(s, d)
@@ -278,7 +299,7 @@ def provider_comparison(s, d):
     return out
 
 
-@q(None)
+@q(CHUNKS.format(o=1000, p=7000) + """ select '1' as outcome, count(*) filter (doc_id % 3 <> 0) as n from c union all select '2', 0 from c where false union all select 'failed', count(*) filter (doc_id % 3 = 0) from c""")
 def retry_budget(s, d):
     """Chunks answered and left by number of tries, when the provider fails on every third document."""
     import pandas as pd
@@ -292,10 +313,226 @@ def retry_budget(s, d):
     return good.groupBy(F.col("attempt").cast("string").alias("outcome")).agg(F.count("*").alias("n")).unionByName(left.agg(F.count("*").alias("n")).select(F.lit("failed").alias("outcome"), "n"))
 
 
-@q(None)
+_PLANTED = f"""pn as (select p_partkey - 1 as n, p_name, {_T}[1] as t1, {_T}[2] as t2 from part), pl as (select doc_id, p_name, t1, t2, case when doc_id % 2 = 0 then t1[1] || substring(t1, 3) else t1 || t1[-1] end as wrong, text as body
+  from documents join pn on n = doc_id % (select count(*) from part)), documents as (select doc_id, p_name, body || chr(10) || 'seen: ' || p_name || ' then ' || t1[1] || '. ' || t2 || ' then ' || wrong || ' ' || t2 || ' end' as text from pl)"""
+
+
+@q(f"with {_PLANTED}, " + CHUNKS.format(o=1000, p=7000).removeprefix("with ") + """, j as (select c.doc_id, count(*) as edges from c join pl using (doc_id) where contains(lower(substring(c.text, i * 7000 + 1, 8000)), lower(p_name)) and c.doc_id % 2 = 1 group by 1) select * from j""")
 def second_pass_edges(s, d):
-    """Co-occurring names of a document's catalogue in its chunks, for documents that the gate sends to a second pass."""
+    """Co-occurring names of a document's catalogue in its chunks, for the documents that the gate sends to a second pass: those with few relations."""
     docs, ents = views.planted_text(s, d)
     two = ents.unionByName(ents.select("doc_id", F.concat("ent_id", F.lit("x")).alias("ent_id"), "type", F.split("name", " ")[1].alias("name")))
-    found = extract.second_pass(two, chunks.chunk_chars(docs, annotate=False))
+    many = F.explode(F.sequence(F.lit(1), F.when(F.col("doc_id") % 2 == 0, 60).otherwise(6)))
+    rels = ents.select("doc_id", F.col("ent_id").alias("src"), F.col("ent_id").alias("dst"), many.alias("i")).withColumn("rel_type", F.concat(F.lit("R"), (F.col("i") % 6).cast("string")))
+    sent = gates.quality_gate(two, rels).where("second_pass").select("doc_id")
+    found = extract.second_pass(two.join(sent, "doc_id", "left_semi"), chunks.chunk_chars(docs.join(sent, "doc_id", "left_semi"), annotate=False))
     return found.groupBy("doc_id").agg(F.count("*").alias("edges"))
+
+
+# intake and options without a workload elsewhere
+
+@q("select event_id, case when event_type = 'signup' then 'base/' || 'application_pdf' || '/a/' || event_id || '.pdf' end as location from events")
+def file_locations(s, d):
+    e = t(s, d, "events")
+    rows = e.select("event_id", F.when(F.col("event_type") == "signup", "file").otherwise("inline").alias("kind"), F.lit("application/pdf").alias("mime"), F.concat(F.lit("a/"), F.col("event_id").cast("string"), F.lit(".pdf")).alias("path"))
+    return records.resolve_location(rows, "base/").select("event_id", "location")
+
+
+@q("select 'turns' as handler, count(*) as n, count(distinct conv_id) as docs, 0::bigint as sheets from conversations union all select 'rows', count(*), count(distinct o_custkey), count(distinct o_orderpriority) from orders")
+def unify_handlers(s, d):
+    """Rows of two handlers as one table; a column that one lacks is null."""
+    a = t(s, d, "conversations").select(F.col("conv_id").alias("doc_id"), "text", F.lit("turns").alias("handler"))
+    b = t(s, d, "orders").select(F.col("o_custkey").cast("long").alias("doc_id"), F.col("o_orderpriority").alias("sheet"), F.lit("rows").alias("handler"))
+    return records.unify(a, b).groupBy("handler").agg(F.count("*").alias("n"), F.count_distinct("doc_id").alias("docs"), F.count_distinct("sheet").alias("sheets"))
+
+
+@q("select doc_id, case when doc_id % 3 = 0 then 0 else 1 end as entities from documents")
+def empty_results(s, d):
+    """A result for every document; those without one have empty arrays."""
+    docs = t(s, d, "documents").select("doc_id")
+    some = docs.where("doc_id % 3 <> 0").withColumn("entities", F.array(F.lit("e")))
+    return extract.empty_results(docs, some).select("doc_id", F.size("entities").alias("entities"))
+
+
+@q("select n_regionkey as doc_id, cast(count(*) as integer) as entities, 0 as relationships from nation group by 1")
+def result_store(s, d):
+    """Envelopes written as JSON lines and read again."""
+    from kgrefine.plans.scratch import scratch_dir
+
+    n = t(s, d, "nation").select(F.col("n_regionkey").alias("doc_id"), F.col("n_name").alias("name"))
+    none = n.where("false").select("doc_id", F.lit("").alias("src"))
+    import uuid
+
+    path = f"{scratch_dir(s)}/results-{uuid.uuid4().hex}"
+    records.write_results(records.result_envelopes(n, none, none, n), path)
+    back = records.read_any(s, path, "text").select(F.from_json("value", "struct<doc_id:int,entities:array<struct<name:string>>,relationships:array<struct<src:string>>>").alias("r"))
+    return back.select("r.doc_id", F.size("r.entities").alias("entities"), F.size("r.relationships").alias("relationships"))
+
+
+@q(CHUNKS.format(o=1000, p=7000) + """ select doc_id, cast(i as integer) as chunk_no, 'characters ' || (i * 7000) || ' to ' || least(i * 7000 + 8000, n) || ', own part ' || (i * 7000) || ' to ' || (case when i = last then n else i * 7000 + 7000 end) as header from c""")
+def chunk_headers(s, d):
+    return chunks.chunk_chars(t(s, d, "documents")).select("doc_id", "chunk_no", "header")
+
+
+@q("select doc_id, md5(substring(text, 1, 8000)) as text_md5 from documents")
+def window_single(s, d):
+    """The single-vector variant: one long window for each document."""
+    return chunks.windows_fixed(t(s, d, "documents"), 8000, 0, 1).select("doc_id", F.md5("text").alias("text_md5"))
+
+
+@q("select cast(sum(length(text)) as bigint) as unlimited, cast(sum(least(length(text), 1)) as bigint) as sentinel_raised, cast(sum(least(length(text), 500)) as bigint) as limited from documents")
+def limit_sentinel(s, d):
+    """Characters kept with no limit, with the sentinel 0 raised to 1, and with a limit of 500."""
+    size = lambda c: F.sum(F.length(c)).cast("long")
+    c = F.col("text")
+    return t(s, d, "documents").agg(size(chunks.limit_text(c, 0)).alias("unlimited"), size(chunks.limit_text_buggy(c, 0)).alias("sentinel_raised"), size(chunks.limit_text(c, 500)).alias("limited"))
+
+
+@q("select conv_id as doc_id, turn as page_no, md5(coalesce(role || chr(10), '') || coalesce(text || chr(10), '') || 'turn ' || turn) as text_md5 from conversations where role <> '' and text <> ''")
+def slide_pages(s, d):
+    """Turns as slides: title, body and notes as one page each."""
+    c = t(s, d, "conversations").where("role <> '' and text <> ''")
+    slides = c.select(F.col("conv_id").alias("doc_id"), F.col("turn").alias("slide_no"), F.col("role").alias("title"), F.array("text").alias("body"), F.array().cast("array<string>").alias("tables"), F.concat(F.lit("turn "), F.col("turn").cast("string")).alias("notes"))
+    return pages.slide_pages(slides).select("doc_id", "page_no", F.md5("text").alias("text_md5"))
+
+
+@q("""with p as (select page_id, regexp_replace(regexp_replace(html, '(?i)</(li|p|h1|tr|div|footer)>', chr(10), 'g'), '(?i)</t[dh]>\\s*<t[dh]>', ' | ', 'g') as html from pages),
+b as (select page_id, trim(unnest(string_split_regex(regexp_replace(html, '<[^>]*>', '', 'g'), chr(10) || '+'))) as b from p)
+select page_id, cast(sum(length(b)) as bigint) as chars from b where b <> '' group by page_id""")
+def virtual_page_totals(s, d):
+    """Characters of a page's virtual pages without the line feeds between blocks: cutting loses nothing."""
+    v = pages.virtual_pages(t(s, d, "pages"))
+    return v.groupBy("page_id").agg(F.sum(F.length(F.replace("text", F.lit("\n"), F.lit("")))).cast("long").alias("chars"))
+
+
+# ontology, conformance, names, resolution
+
+@q(f"""with {EXPANDED}, ct as (select *, 200 + class_id * 37 % 400 as tokens from ex where score >= 0.72), cu as (select doc_id, class_id, sum(tokens) over (partition by doc_id order by round(score, 9) desc, class_id rows unbounded preceding) as used from ct),
+ck as (select * from cu where used <= 840), pt as (select e.doc_id, 'p' || e.class_id as pred_id, e.score, 30 + e.class_id % 50 as tokens from ex e join ck using (doc_id, class_id)),
+pu as (select doc_id, pred_id, sum(tokens) over (partition by doc_id order by round(score, 9) desc, pred_id rows unbounded preceding) as used from pt), pk as (select * from pu where used <= 360)
+select doc_id, (select cast(max(used) as bigint) from ck where ck.doc_id = d.doc_id) as class_tokens, (select cast(max(used) as bigint) from pk where pk.doc_id = d.doc_id) as predicate_tokens from (select distinct doc_id from ck) d""")
+def catalogue_budget_split(s, d):
+    """A budget of 1,200 tokens: seven tenths for classes, the rest for the predicates of those kept."""
+    classes, _, _, best = _hits(s, d)
+    hits = ontology.expand_children(best, views.subclass_edges(classes)).withColumn("score", F.round("score", 9))
+    kept = ontology.cutoff(hits.withColumn("tokens", F.lit(200) + F.col("class_id") * 37 % 400), budget=1200, share=0.7)
+    preds = kept.select("doc_id", F.concat(F.lit("p"), F.col("class_id").cast("string")).alias("pred_id"), "score", (F.lit(30) + F.col("class_id") % 50).alias("tokens"))
+    held = ontology.cutoff(preds, budget=1200, share=0.3, id_col="pred_id")
+    most = lambda df, name: df.groupBy("doc_id").agg(F.max("used").alias(name))
+    return most(kept, "class_tokens").join(most(held, "predicate_tokens"), "doc_id", "left")
+
+
+@q("""with r as (select event_id, user_id % 20 as u, event_type, floor(epoch_us(ts) / 600000000.0) as slot, event_id % 3 = 0 as late, ts from events)
+select event_id as req_id, row_number() over (partition by u, event_type, slot, late order by ts, event_id) > 1 as hit from r""")
+def cache_versioned(s, d):
+    """Every third request sees the vocabulary with a promoted label: its version hash differs, so the other requests' slices miss."""
+    vocab = s.createDataFrame([("click",), ("purchase",)], "label string")
+    grown = conform.promote(vocab, s.createDataFrame([("signup",)], "label string"))
+    old, new = (v.agg(ontology.version_hash(v).alias("h")).first()["h"] for v in (vocab, grown))
+    e = t(s, d, "events").select(F.col("event_id").alias("req_id"), "ts", F.concat_ws("/", (F.col("user_id") % 20).cast("string"), "event_type").alias("text"))
+    return ontology.with_cache(e, version=F.when(F.col("req_id") % 3 == 0, new).otherwise(old)).select("req_id", "hit")
+
+
+@q("select 'before' as stage, count(*) filter (event_type not in ('click', 'purchase')) as novel from events union all select 'after', count(*) filter (event_type not in ('click', 'purchase', 'signup')) from events")
+def promotion(s, d):
+    """Novel types before and after the most frequent proposal is promoted into the vocabulary."""
+    e, vocab = t(s, d, "events"), s.createDataFrame([("clicks",), ("purchase",)], "label string")
+    flagged = conform.flag_novel(e, vocab, "event_type")
+    best = conform.proposed_extensions(flagged, "event_type").where("label = 'signup'")
+    after = conform.flag_novel(e, conform.promote(vocab, best), "event_type")
+    count = lambda df, name: df.agg(F.count_if(F.col("novel")).alias("novel")).withColumn("stage", F.lit(name))
+    return count(flagged, "before").unionByName(count(after, "after"))
+
+
+@q(f"""with {V3}, s as (select rel_type, lower(regexp_replace(trim(rel_type), '[ -]+', '_', 'g')) as k from edge) select rel_type, case when k = 'flag_a_to_f' then k when k = 'flag_n_to_o' then 'moved' else rel_type end as canon,
+case when k = 'flag_a_to_f' then 'exact' when k = 'flag_n_to_o' then 'vector' else 'novel' end as tier, count(*) as n from s group by all""")
+def snap_by_vector(s, d):
+    """The vector tier: a label whose vector lies within a cosine of 0.80 of a vocabulary label's takes that label, one at 0.70 stays novel."""
+    e = views.edges(s, d)
+    low = F.lower(clean.canon_rel_type(F.col("label")))
+    cos = F.when(low == "flag_n_to_o", 0.9).when(low == "flag_n_to_f", 0.7).otherwise(0.0)
+    labels = e.select(F.col("rel_type").alias("label")).distinct().select("label", F.array(cos, F.sqrt(1 - cos * cos)).alias("vec"))
+    vocab = s.createDataFrame([("flag_a_to_f",), ("moved",)], "label string")
+    vecs = s.createDataFrame([("moved", [1.0, 0.0])], "label string, vec array<double>")
+    return conform.snap_predicates(e, vocab, labels, vecs).groupBy("rel_type", "canon", "tier").agg(F.count("*").alias("n"))
+
+
+@q("""with e as (select l_orderkey, l_linenumber, l_suppkey as a, l_partkey as b, (['commands', 'has_subordinate', 'subordinate_to', 'supplies'])[l_orderkey % 4 + 1] as r from lineitem),
+f as (select *, case when r in ('commands', 'has_subordinate') then b else a end as src, case when r in ('commands', 'has_subordinate') then a else b end as dst, case when r = 'supplies' then r else 'subordinate_to' end as rel_type from e)
+select rel_type, count(*) as n, cast(sum(case when rel_type = 'subordinate_to' and src % 4 < dst % 4 then dst else src end) as bigint) as src_sum from f group by 1""")
+def conform_chain(s, d):
+    """Snap, fold and orient in one chain on labels in upper case."""
+    li = t(s, d, "lineitem")
+    label = F.element_at(F.array(*[F.lit(x) for x in ("Commands", "HAS SUBORDINATE", "Subordinate-To", "SUPPLIES")]), (F.col("l_orderkey") % 4 + 1).cast("int"))
+    rels = li.select(F.lit(0).alias("doc_id"), F.col("l_suppkey").alias("src"), F.col("l_partkey").alias("dst"), label.alias("rel_type"))
+    unit = F.element_at(F.array(*[F.lit(x) for x in ("7 Corps", "2nd Division", "Iron Brigade", "3 battalion")]), (F.col("ent_id") % 4 + 1).cast("int"))
+    ids = t(s, d, "part").select(F.col("p_partkey").alias("ent_id")).union(t(s, d, "supplier").select("s_suppkey")).distinct()
+    ents = ids.select(F.lit(0).alias("doc_id"), "ent_id", F.lit("ORGANIZATION").alias("type"), unit.alias("name"))
+    vocab = s.createDataFrame([(x,) for x in ("commands", "has_subordinate", "subordinate_to", "supplies")], "label string")
+    return conform.conform(rels, ents, vocab).groupBy("rel_type").agg(F.count("*").alias("n"), F.sum("src").cast("long").alias("src_sum"))
+
+
+@q(f"select count(*) as entities, round(avg(len(list_distinct({ALIASES}))), 6) as aliases_per_entity from part")
+def aliases_per_entity(s, d):
+    return M.alias_counts(names.expand_aliases(views.homonyms(s, d)))
+
+
+@q("select p_name is not null and not contains(p_name, 'red') as embedded, count(*) as n from part group by 1")
+def embedding_backfill(s, d):
+    """Texts whose call fails take their batch with them; alone, only they stay without a vector."""
+    def call(texts):
+        if any("red" in x for x in texts):
+            raise ValueError("refused")
+        return [[float(len(x)), 1.0] for x in texts]
+
+    rows = resolve.embed_batches(t(s, d, "part").select("p_partkey", F.col("p_name").alias("text")), call)
+    return rows.groupBy(F.col("vec").isNotNull().alias("embedded")).agg(F.count("*").alias("n"))
+
+
+@q("select cast(sum(n * (n - 1) // 2) as bigint) as pairs, count(*) as documents from (select p_partkey // 40 as doc_id, count(*) as n from part group by 1)")
+def all_pairs_baseline(s, d):
+    """The pairs that blocking is measured against: all of each document."""
+    e = views.homonyms(s, d).select("doc_id", "ent_id")
+    return resolve.block_all(e).agg(F.count("*").alias("pairs")).crossJoin(e.agg(F.count_distinct("doc_id").alias("documents")))
+
+
+_TOP = f"""c as (select a.vec_id as a, b.vec_id as b, {DOT.format(a='a.v', b='b.v')} / sqrt({DOT.format(a='a.v', b='a.v')} * {DOT.format(a='b.v', b='b.v')}) as cos from al a join al b on a.vec_id <> b.vec_id),
+r as (select *, row_number() over (partition by a order by cos desc, b) as rn from c), top as (select distinct least(a, b) as left_id, greatest(a, b) as right_id from r where rn <= 20), gold as (select vec_id - 1000000 as left_id, vec_id as right_id from al where vec_id >= 1000000)"""
+
+
+@q(f"""with {V8}, {_TOP}, u as (select left_id, right_id, 'copies' as src from gold union all select left_id, right_id, 'vector' from top) select left_id, right_id, string_agg(src, '+' order by src) as sources from u group by all""")
+def block_union(s, d):
+    """Pairs of two blocks with the names of those that hold them."""
+    v = views.near_duplicate_vectors(s, d)
+    gold = v.where("vec_id <> gold_id").select(F.col("gold_id").alias("left_id"), F.col("vec_id").alias("right_id"))
+    return resolve.block_union(vector=resolve.block_vector(v), copies=gold).select("left_id", "right_id", F.array_join("sources", "+").alias("sources"))
+
+
+@q(f"""with {V8}, {_TOP} select count(*) as candidates, (select count(*) from gold) as gold, (select count(*) from top join gold using (left_id, right_id)) as kept, round((select count(*) from top join gold using (left_id, right_id)) / (select count(*) from gold), 6) as completeness,
+round(1 - count(*) / ((select count(*) from al) * ((select count(*) from al) - 1) / 2), 6) as reduction from top""")
+def blocking_exact(s, d):
+    """Completeness and reduction of the exact nearest-neighbour block against planted copies."""
+    v = views.near_duplicate_vectors(s, d)
+    gold = v.where("vec_id <> gold_id").select(F.col("gold_id").alias("left_id"), F.col("vec_id").alias("right_id"))
+    return M.blocking_quality(resolve.block_vector(v), gold, v.count())
+
+
+@q(f"""with recursive {V8}, lk as (select a.vec_id as a, b.vec_id as b from al a join al b on b.vec_id = a.vec_id + 1000000), every as (select vec_id, case when vec_id >= 1000000 then vec_id - 1000000 else vec_id end as canonical_id from al)
+select canonical_id, array_to_string(list_sort(list('v' || vec_id)), ',') as names, count(*) as members from every group by canonical_id""")
+def resolution_collect(s, d):
+    """Merged entities with their names and number of members, those without a partner included."""
+    v = views.near_duplicate_vectors(s, d)
+    pairs = resolve.block_vector(v).where("cos >= 0.95").withColumnRenamed("cos", "score")
+    ents = v.select(F.col("vec_id").alias("ent_id"), F.concat(F.lit("v"), F.col("vec_id").cast("string")).alias("name"), F.create_map(F.lit("dob"), F.col("gold_id").cast("string")).alias("props"))
+    decided = pairs.withColumn("action", F.lit("auto_merge")).withColumn("conflict", F.lit(False))
+    merged, _, _, _ = resolve.collect_resolution(ents, resolve.clusters(pairs, ents), decided)
+    return merged.select("canonical_id", F.array_join("names", ",").alias("names"), "members")
+
+
+@q(None)
+def phase_three_with_text(s, d):
+    """The composed rule layer on planted documents: expansion, mining in the text, detection."""
+    docs, ents = views.planted_text(s, d)
+    with_aliases, mined, decided = names.enhance(ents, docs)
+    known = mined.groupBy("rule").agg(F.count_distinct("ent_id").alias("n")).select(F.concat(F.lit("mined "), F.col("rule")).alias("step"), "n")
+    return with_aliases.agg(F.sum(F.size("aliases")).alias("n")).select(F.lit("aliases").alias("step"), "n").unionByName(known).unionByName(decided.agg(F.count("*").alias("n")).select(F.lit("pairs").alias("step"), "n"))
