@@ -202,3 +202,24 @@ def accuracy_dimensions(s, d):
     for c in checks[1:]:
         out = out.unionByName(c)
     return M.accuracy_dimensions(out)
+
+
+#: Lines that the answers of the providers compared may hold; 0: all.
+PROVIDERS = {"all lines": 0, "twelve lines": 12, "three lines": 3}
+
+
+@q(f"""with {STATEMENTS}, p as (select * from (values ('all lines', 1000), ('twelve lines', 12), ('three lines', 3)) v(provider, most)), l as (select doc_id, k, src, dst, rn from rd where pipeline = 'full, 5 pages'),
+f as (select provider, doc_id, src as name from l, p where rn <= most union select provider, doc_id, dst from l, p where rn <= most), c as (select provider, count(*) as tp from f group by 1), g as (select count(*) as n from g_all)
+select provider, tp, 0::bigint as fp, n - tp as fn, 1.0::double as precision, round(tp / n, 6) as recall, round(2 * tp / (tp + n), 6) as f1 from c, g""")
+def provider_comparison(s, d):
+    """Providers whose answers end after different numbers of lines, on the same chunks, against the names that the planted statements hold."""
+    rows = views.planted_pages(s, d).select("doc_id", "page_no", F.col("vision_text").alias("text"))
+    c = written(_chunks(rows, 5), "chunks")
+    st = views.planted_statements(s, d)
+    gold = st.select("doc_id", F.explode(F.array("src", "dst")).alias("name"))
+    out = None
+    for name, limit in PROVIDERS.items():
+        found = extract.parse_entities(extract.recover_json(extract.run_provider(c, extract.get_provider("statement", limit=limit))))
+        row = M.set_f1(found, gold, ["doc_id", "name"]).withColumn("provider", F.lit(name))
+        out = row if out is None else out.unionByName(row)
+    return out

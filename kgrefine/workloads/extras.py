@@ -286,19 +286,6 @@ def search_recall(s, d):
     return out
 
 
-@q(None)
-def provider_comparison(s, d):
-    """Two providers on the same chunks, one held to three names an answer, against the names that stand in the text."""
-    c = chunks.chunk_chars(t(s, d, "documents").where("length(text) > 0"), annotate=False)
-    gold = c.select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all("text", F.lit("[A-Z][a-z]+ [A-Z][a-z]+"), F.lit(0)))).alias("name"))
-    out = None
-    for name, opts in {"unlimited": {}, "three an answer": {"limit": 3}}.items():
-        found = extract.parse_entities(extract.recover_json(extract.run_provider(c, extract.get_provider("rule", **opts))))
-        row = M.set_f1(found, gold, ["doc_id", "name"]).withColumn("provider", F.lit(name))
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
 @q(CHUNKS.format(o=1000, p=7000) + """ select '1' as outcome, count(*) filter (doc_id % 3 <> 0) as n from c union all select '2', 0 from c where false union all select 'failed', count(*) filter (doc_id % 3 = 0) from c""")
 def retry_budget(s, d):
     """Chunks answered and left by number of tries, when the provider fails on every third document."""
@@ -536,3 +523,11 @@ def phase_three_with_text(s, d):
     with_aliases, mined, decided = names.enhance(ents, docs)
     known = mined.groupBy("rule").agg(F.count_distinct("ent_id").alias("n")).select(F.concat(F.lit("mined "), F.col("rule")).alias("step"), "n")
     return with_aliases.agg(F.sum(F.size("aliases")).alias("n")).select(F.lit("aliases").alias("step"), "n").unionByName(known).unionByName(decided.agg(F.count("*").alias("n")).select(F.lit("pairs").alias("step"), "n"))
+
+
+@q(None)
+def blocked_pairs_recall(s, d):
+    """Pairs of a document alike at 0.75 among all pairs, and how many of them the blocks meet."""
+    ents = views.homonyms(s, d)
+    alike = lambda strategy: names.name_similarity(names.candidate_pairs(ents, strategy)).where("score >= 0.75").agg(F.count("*").alias("n")).withColumn("pairs", F.lit(strategy))
+    return alike("all").unionByName(alike("blocked"))
