@@ -55,7 +55,7 @@ def allocate(ends: np.ndarray, low: np.ndarray, high: np.ndarray, rule: str) ->
 
 
 def attribute_tokens(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", spans_col: str | None = None, rule: str = "start",
-                     tokenizer_path: str | None = None, batch_chars: int = 4_000_000) -> DataFrame:
+                     tokenizer_path: str | None = None) -> DataFrame:
     """(doc_id, section, char_start, char_end, tokens): each document is encoded once, its tokens joined to spans by place.
 
     ``spans_col`` names an array of (start, end) character spans, sorted and disjoint; without it the

@@ -99,6 +99,21 @@ def test_preferences(spark):
     assert preference.format_preferences(c.where("false"), r.where("false")).count() == 0
 
 
+def test_long_and_repeated_conversations(spark):
+    """A conversation of 3,000 turns, one whose rows stand twice, and one without an answer."""
+    rows = [(1, i, "user" if i % 2 == 0 else "assistant", f"turn {i}") for i in range(3000)]
+    rows += [(2, 0, "user", "q"), (2, 0, "user", "q"), (2, 1, "assistant", "a"), (2, 1, "assistant", "a"), (3, 0, "user", "alone"), (None, 0, "user", "no id"), (4, 0, "assistant", None)]
+    c, r = preference.regenerated_pairs(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string"))
+    got = {}
+    for x in preference.format_preferences(c, r).collect():
+        got.setdefault((x["pair_id"], x["part"]), []).append((x["seq"], x["rendered"], x["char_start"], x["char_end"], x["loss"]))
+    assert {k: len(v) for k, v in got.items()} == {(1, "prompt"): 2999, (1, "chosen"): 1, (1, "rejected"): 1, (2, "prompt"): 4, (4, "prompt"): 1}
+    for part in got.values():
+        part.sort()
+        assert part[0][2] == 0 and all(a[3] == b[2] for a, b in zip(part, part[1:], strict=False))
+    assert got[1, "chosen"][0][1] == "<|assistant|>\nturn 2999\n" and got[1, "rejected"][0][1] == "<|assistant|>\nturn 2997\n"
+
+
 # 3
 
 
