@@ -69,7 +69,7 @@ class WordBpe:
         split = [None if _SAFE.search(t) or any(x in low for x in self.special) else _PIECE.findall(low) for t, low in zip(texts, map(str.lower, texts), strict=True)]
         if len(self.known) > self.keep:
             self.known.clear()
-        self.learn([p for p in set().union(*(p for p in split if p)) if p not in self.known])
+        self.learn(list(set().union(*filter(None, split)).difference(self.known)))
         get = self.known.__getitem__
         return [self.whole(t) if p is None else b"".join(map(get, p)) for t, p in zip(texts, split, strict=True)]
 
