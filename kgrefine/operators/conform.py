@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from kgrefine.config import DEFAULT
 
 from .clean import canon_rel_type
-from .ontology import dot
 
 
 def singular(label: Column) -> Column:
@@ -17,11 +18,14 @@ def singular(label: Column) -> Column:
     return F.when(bare.rlike("(?i)ies$"), F.regexp_replace(bare, "(?i)ies$", "y")).when(bare.rlike("(?i)ss$"), bare).otherwise(F.regexp_replace(bare, "(?i)s$", ""))
 
 
-def snap_predicates(rels: DataFrame, vocab: DataFrame, label_vecs: DataFrame | None = None, vocab_vecs: DataFrame | None = None, floor: float = DEFAULT.snap_floor) -> DataFrame:
+def snap_predicates(rels: DataFrame, vocab: DataFrame, label_vecs: DataFrame | None = None, vocab_vecs: DataFrame | None = None, floor: float = DEFAULT.snap_floor,
+                    most_bytes: int = 64 << 20) -> DataFrame:
     """Adds ``canon`` and ``tier`` (exact, singular, vector, novel). ``vocab`` has (label).
 
     Only distinct labels are looked at; the vector tier, for the residue, takes the best vocabulary
-    label at or over ``floor`` from unit vectors (label, vec). The map is joined back.
+    label at or over ``floor`` by cosine of (label, vec), the last in order of equal ones. The vocabulary's
+    vectors go out as one matrix of at most ``most_bytes``; a larger vocabulary is met part by part. The
+    map is joined back.
     """
     labels = rels.select(F.col("rel_type").alias("raw")).where("raw is not null").distinct().withColumn("canon0", F.lower(canon_rel_type(F.col("raw"))))
     words = vocab.select(F.col("label").alias("v")).distinct()
@@ -30,7 +34,7 @@ def snap_predicates(rels: DataFrame, vocab: DataFrame, label_vecs: DataFrame | N
     rows = labels.join(exact, "canon0", "left").withColumn("s", singular(F.col("canon0"))).join(single, "s", "left").withColumn("v_vec", F.lit(None).cast("string"))
     if label_vecs is not None and vocab_vecs is not None:
         rest = rows.where("v_exact is null and v_single is null").select("raw").join(label_vecs.select(F.col("label").alias("raw"), "vec"), "raw")
-        near = rest.crossJoin(F.broadcast(vocab_vecs.select(F.col("label").alias("v"), F.col("vec").alias("w")))).withColumn("cos", dot(F.col("vec"), F.col("w"))).where(F.col("cos") >= floor)
+        near = _nearest(rest, vocab_vecs, floor, most_bytes)
         best = near.groupBy("raw").agg(F.max(F.struct("cos", "v")).alias("m")).select("raw", F.col("m.v").alias("v_vec"))
         rows = rows.drop("v_vec").join(best, "raw", "left")
     tier = F.when(F.col("v_exact").isNotNull(), "exact").when(F.col("v_single").isNotNull(), "singular").when(F.col("v_vec").isNotNull(), "vector").otherwise("novel")
@@ -38,6 +42,33 @@ def snap_predicates(rels: DataFrame, vocab: DataFrame, label_vecs: DataFrame | N
     return rels.join(names, "rel_type", "left")
 
 
+def _nearest(rest: DataFrame, vocab_vecs: DataFrame, floor: float, most_bytes: int) -> DataFrame:
+    """(raw, v, cos): for each (raw, vec) the best vocabulary label at or over ``floor`` of every part of the vocabulary."""
+    words = vocab_vecs.select("label", F.col("vec").cast("array<double>").alias("vec")).where("label is not null and vec is not null")
+    size, width = words.agg(F.count("*"), F.max(F.size("vec"))).first()
+    parts = max(1, -(-size * (width or 1) * 8 // most_bytes))
+    spark, out = rest.sparkSession, None
+    for part in range(parts):
+        rows = words.where(F.pmod(F.xxhash64("label"), F.lit(parts)) == part).orderBy("label").collect()  # at most about most_bytes
+        shared = spark.sparkContext.broadcast(([r[0] for r in rows], np.array([r[1] for r in rows], dtype=np.float64).reshape(len(rows), -1)))
+
+        def go(batches, shared=shared):
+            names, mat = shared.value
+            for b in batches:
+                if not b.num_rows or not names:
+                    continue
+                x = np.array(b.column(1).to_pylist(), dtype=np.float64)
+                cos = (x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)) @ (mat / np.maximum(np.linalg.norm(mat, axis=1, keepdims=True), 1e-300)).T
+                at = cos.shape[1] - 1 - np.argmax(cos[:, ::-1], axis=1)
+                best = cos[np.arange(len(at)), at]
+                ok = np.flatnonzero(best >= floor - 1e-12)
+                yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(ok)), pa.array([names[i] for i in at[ok]], pa.string()), pa.array(best[ok])], ["raw", "v", "cos"])
+
+        near = rest.select("raw", F.col("vec").cast("array<double>").alias("vec")).mapInArrow(go, "raw string, v string, cos double")
+        out = near if out is None else out.unionByName(near)
+    return out
+
+
 def unknown_predicates(snapped: DataFrame) -> DataFrame:
     """(rel_type, n) of novel labels, for review."""
     return snapped.where("tier = 'novel'").groupBy("rel_type").agg(F.count("*").alias("n"))

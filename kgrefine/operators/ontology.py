@@ -75,16 +75,22 @@ def cosine(a: Column, b: Column) -> Column:
 def retrieve_classes(windows: DataFrame, classes: DataFrame, floor: float = 0.0, method: str = "matrix", most_bytes: int = 256 << 20) -> DataFrame:
     """(doc_id, win_no, class_id, cos): classes at or over ``floor`` for each window's vector ``vec``.
 
-    ``matrix`` broadcasts the class vectors as one packed matrix, after checking its size against
-    ``most_bytes``, and multiplies Arrow batches with it, so only hits come back. ``join`` is the same
-    in column expressions, with no size bound on the classes.
+    ``matrix`` broadcasts the class vectors as one packed matrix and multiplies Arrow batches with it, so
+    only hits come back; classes over ``most_bytes`` are met part by part. ``join`` is the same in column
+    expressions: the windows meet the classes in blocks, one key for each part of the classes.
     """
+    size, dim = classes.agg(F.count("*"), F.max(F.size("vec"))).first()
+    parts = max(1, -(-size * (dim or 0) * 8 // most_bytes))
     if method == "join":
-        pairs = windows.select("doc_id", "win_no", "vec").crossJoin(classes.select("class_id", F.col("vec").alias("cvec")))
-        return pairs.select("doc_id", "win_no", "class_id", cosine(F.col("vec"), F.col("cvec")).alias("cos")).where(F.col("cos") >= floor)
-    dim = classes.select(F.max(F.size("vec"))).first()[0] or 0
-    if classes.count() * dim * 8 > most_bytes:
-        raise ValueError("the class matrix is over most_bytes; use method='join' or block the classes first")
+        dealt = classes.select("class_id", F.col("vec").alias("cvec"), F.pmod(F.xxhash64("class_id"), F.lit(max(parts, 8))).alias("part"))
+        every = windows.select("doc_id", "win_no", "vec", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(max(parts, 8) - 1).cast("long"))).alias("part"))
+        return every.join(dealt, "part").select("doc_id", "win_no", "class_id", cosine(F.col("vec"), F.col("cvec")).alias("cos")).where(F.col("cos") >= floor)
+    if parts > 1:
+        out = None
+        for part in range(parts):
+            some = retrieve_classes(windows, classes.where(F.pmod(F.xxhash64("class_id"), F.lit(parts)) == part), floor, most_bytes=2 * most_bytes)
+            out = some if out is None else out.unionByName(some)
+        return out
     rows = classes.select("class_id", "vec").orderBy("class_id").collect()
     ids = np.array([r[0] for r in rows], dtype=np.int64)
     mat = np.array([r[1] for r in rows], dtype=np.float64)

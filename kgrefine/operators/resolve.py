@@ -79,14 +79,17 @@ def embed_batches(df: DataFrame, call, text_col: str = "text", out: str = "vec",
     return df.mapInArrow(go, T.StructType([*df.schema.fields, T.StructField(out, T.ArrayType(T.DoubleType()))]))
 
 
-def block_vector(vecs: DataFrame, k: int = DEFAULT.neighbours, method: str = "exact", slab: int = 8192, tables: int = 8, bits: int = 12, seed: int = 5) -> DataFrame:
+def block_vector(vecs: DataFrame, k: int = DEFAULT.neighbours, method: str = "exact", slab: int = 8192, tables: int = 8, bits: int | None = None, seed: int = 5, bucket_rows: int = 16) -> DataFrame:
     """(left_id, right_id, cos): pairs of a row with one of its k nearest by cosine, left_id < right_id.
 
     ``exact`` meets packed slabs of rows with each other, keeps k of each tile and merges by a window
-    limit. ``lsh`` compares rows that share a bucket of signed random projections in one of ``tables``.
+    limit. ``lsh`` compares rows that share a bucket of signed random projections in one of ``tables``;
+    ``bits`` defaults to as many (at least 12) as leave about ``bucket_rows`` rows to a bucket, so pairs
+    grow with the rows and not with their square.
     """
     rows = vecs.select(F.col("vec_id").cast("long").alias("id"), F.col("vec").cast("array<double>").alias("vec")).where("vec is not null")
     if method == "lsh":
+        bits = bits or max(12, math.ceil(math.log2(max(1, rows.count() / bucket_rows))))
         planes = np.random.default_rng(seed).normal(size=(tables * bits, vecs.select(F.max(F.size("vec"))).first()[0] or 1))
 
         def keys(batches):
@@ -127,8 +130,9 @@ def block_vector(vecs: DataFrame, k: int = DEFAULT.neighbours, method: str = "ex
 
 
 def block_phonetic(ents: DataFrame) -> DataFrame:
-    """(left_id, right_id): entities (ent_id, name) whose sorted phonetic token codes are equal."""
-    keyed = ents.select("ent_id", F.array_join(F.array_sort(S.phonetic(F.col("name"))), "-").alias("code"))
+    """(left_id, right_id): entities (ent_id, name) whose sorted phonetic token codes are equal; codes are worked out once for each distinct name."""
+    codes = ents.select("name").distinct().select("name", F.array_join(F.array_sort(S.phonetic(F.col("name"))), "-").alias("code"))
+    keyed = ents.select("ent_id", "name").join(codes, "name").select("ent_id", "code")
     return keyed.withColumnRenamed("ent_id", "left_id").join(keyed.withColumnRenamed("ent_id", "right_id"), "code").where("left_id < right_id").select("left_id", "right_id")
 
 
