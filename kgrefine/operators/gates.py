@@ -49,6 +49,13 @@ def fallback_catalog(ents: DataFrame, top: int = DEFAULT.fallback_entities, scor
     return ents.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= top)
 
 
+def evidence_window(docs: DataFrame, most: int = DEFAULT.fallback_chars, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, text): what of a text stands beside the fallback catalogue in a prompt; 0 means no limit."""
+    from .chunks import limit_text
+
+    return docs.select(F.col(id_col).alias("doc_id"), limit_text(F.col(text_col), most).alias("text"))
+
+
 def batch_catalog(ents: DataFrame, size: int = DEFAULT.batch_entities, batches: int = DEFAULT.batch_count) -> DataFrame:
     """Adds ``batch_no``; entities past the last batch have null, so that they can be counted."""
     n = F.floor((F.row_number().over(Window.partitionBy("doc_id").orderBy("ent_id")) - 1) / size).cast("int")

@@ -167,6 +167,20 @@ def cutoff(hits: DataFrame, min_score: float = DEFAULT.class_floor, budget: int
     return hits.where(F.col("score") >= min_score).withColumn("used", used).where(F.col("used") <= F.floor(F.lit(share * budget)))
 
 
+def cutoff_split(classes: DataFrame, predicates: DataFrame, budget: int = DEFAULT.catalogue_tokens, share: float = DEFAULT.class_share, rollover: bool = False,
+                 min_score: float = DEFAULT.class_floor) -> tuple[DataFrame, DataFrame]:
+    """(classes, predicates) kept in their shares of one budget; with ``rollover`` predicates may also use what a document's classes leave of theirs.
+
+    Both need ``tokens`` and ``score``; predicates have pred_id.
+    """
+    kept = cutoff(classes, min_score, budget, share)
+    own = int(budget * (1 - share) + 1e-9)
+    spent = kept.groupBy(F.col("doc_id").alias("of_doc")).agg(F.max("used").alias("spent"))
+    left = F.floor(F.lit(share * budget)) - F.coalesce("spent", F.lit(0)) if rollover else F.lit(0)
+    held = cutoff(predicates, min_score, budget, 1.0, id_col="pred_id").join(spent, F.col("doc_id") == F.col("of_doc"), "left")
+    return kept, held.where(F.col("used") <= own + left).drop("of_doc", "spent")
+
+
 def cutoff_topk(hits: DataFrame, k: int) -> DataFrame:
     """The fixed top-k alternative."""
     w = Window.partitionBy("doc_id").orderBy(F.desc("score"), "class_id")

@@ -79,13 +79,14 @@ def embed_batches(df: DataFrame, call, text_col: str = "text", out: str = "vec",
     return df.mapInArrow(go, T.StructType([*df.schema.fields, T.StructField(out, T.ArrayType(T.DoubleType()))]))
 
 
-def block_vector(vecs: DataFrame, k: int = DEFAULT.neighbours, method: str = "exact", slab: int = 8192, tables: int = 8, bits: int | None = None, seed: int = 5, bucket_rows: int = 16) -> DataFrame:
+def block_vector(vecs: DataFrame, k: int = DEFAULT.neighbours, method: str = "exact", slab: int = 8192, tables: int = 8, bits: int | None = None, seed: int = 5, bucket_rows: int = 16, probes: int = 4) -> DataFrame:
     """(left_id, right_id, cos): pairs of a row with one of its k nearest by cosine, left_id < right_id.
 
     ``exact`` meets packed slabs of rows with each other, keeps k of each tile and merges by a window
     limit. ``lsh`` compares rows that share a bucket of signed random projections in one of ``tables``;
     ``bits`` defaults to as many (at least 12) as leave about ``bucket_rows`` rows to a bucket, so pairs
-    grow with the rows and not with their square.
+    grow with the rows and not with their square. ``ivf`` puts each row into the nearest of the cells that
+    k-means finds on a sample of about 20,000 rows, and compares it with the rows of its ``probes`` nearest.
     """
     rows = vecs.select(F.col("vec_id").cast("long").alias("id"), F.col("vec").cast("array<double>").alias("vec")).where("vec is not null")
     if method == "lsh":
@@ -101,7 +102,11 @@ def block_vector(vecs: DataFrame, k: int = DEFAULT.neighbours, method: str = "ex
                 yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(n)), pa.array(key.ravel().astype(np.int64))], ["id", "key"])
 
         put = rows.mapInArrow(keys, "id long, key long")
-        met = put.withColumnRenamed("id", "a").join(put.withColumnRenamed("id", "b"), "key").where("a <> b").select("a", "b").distinct()
+        asks = put
+    elif method == "ivf":
+        put, asks = _cells(rows, seed, probes)
+    if method in ("lsh", "ivf"):
+        met = asks.withColumnRenamed("id", "a").join(put.withColumnRenamed("id", "b"), "key").where("a <> b").select("a", "b").distinct()
         cos = met.join(rows.select(F.col("id").alias("a"), F.col("vec").alias("x")), "a").join(rows.select(F.col("id").alias("b"), F.col("vec").alias("y")), "b")
         near = cos.select("a", "b", (dot(F.col("x"), F.col("y")) / F.sqrt(dot(F.col("x"), F.col("x")) * dot(F.col("y"), F.col("y")))).alias("cos"))
     else:
@@ -129,6 +134,34 @@ def block_vector(vecs: DataFrame, k: int = DEFAULT.neighbours, method: str = "ex
     return top.groupBy(F.least("a", "b").alias("left_id"), F.greatest("a", "b").alias("right_id")).agg(F.max("cos").alias("cos"))
 
 
+def _cells(rows: DataFrame, seed: int, probes: int, sample_rows: int = 20_000, cell_rows: int = 64, most_cells: int = 65_536) -> tuple[DataFrame, DataFrame]:
+    """((id, key) of each row's cell, (id, key) of its ``probes`` nearest cells), by k-means on unit vectors of a bounded sample."""
+    n = rows.count()
+    chance = F.shiftrightunsigned(F.xxhash64("id", F.lit(seed)), 11) / float(2**53)
+    sample = np.array([r["vec"] for r in rows.where(chance < sample_rows / max(n, 1)).orderBy("id").limit(2 * sample_rows).collect()], dtype=np.float64)
+    unit = lambda m: m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
+    count = int(min(max(1, math.ceil(n / cell_rows)), most_cells, max(1, len(sample))))
+    centres = unit(sample[np.random.default_rng(seed).permutation(len(sample))[:count]]) if len(sample) else np.zeros((0, 1))
+    for _ in range(8):
+        at = (unit(sample) @ centres.T).argmax(axis=1) if len(sample) else np.zeros(0, dtype=int)
+        total = np.zeros_like(centres)
+        np.add.at(total, at, unit(sample) if len(sample) else sample)
+        centres = np.where(np.linalg.norm(total, axis=1, keepdims=True) > 0, unit(total), centres)
+    shared = rows.sparkSession.sparkContext.broadcast(centres)
+
+    def nearest(k):
+        def go(batches):
+            for b in batches:
+                if b.num_rows:
+                    order = np.argsort(-(np.array(b.column(1).to_pylist(), dtype=np.float64) @ shared.value.T), axis=1, kind="stable")[:, :k]
+                    who = np.repeat(np.arange(len(order)), order.shape[1])
+                    yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(who)), pa.array(order.ravel().astype(np.int64))], ["id", "key"])
+
+        return rows.mapInArrow(go, "id long, key long")
+
+    return nearest(1), nearest(probes)
+
+
 def block_phonetic(ents: DataFrame) -> DataFrame:
     """(left_id, right_id): entities (ent_id, name) whose sorted phonetic token codes are equal; codes are worked out once for each distinct name."""
     codes = ents.select("name").distinct().select("name", F.array_join(F.array_sort(S.phonetic(F.col("name"))), "-").alias("code"))

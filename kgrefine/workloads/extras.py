@@ -394,19 +394,79 @@ def virtual_page_totals(s, d):
 
 # ontology, conformance, names, resolution
 
-@q(f"""with {EXPANDED}, ct as (select *, 200 + class_id * 37 % 400 as tokens from ex where score >= 0.72), cu as (select doc_id, class_id, sum(tokens) over (partition by doc_id order by round(score, 9) desc, class_id rows unbounded preceding) as used from ct),
-ck as (select * from cu where used <= 840), pt as (select e.doc_id, 'p' || e.class_id as pred_id, e.score, 30 + e.class_id % 50 as tokens from ex e join ck using (doc_id, class_id)),
-pu as (select doc_id, pred_id, sum(tokens) over (partition by doc_id order by round(score, 9) desc, pred_id rows unbounded preceding) as used from pt), pk as (select * from pu where used <= 360)
-select doc_id, (select cast(max(used) as bigint) from ck where ck.doc_id = d.doc_id) as class_tokens, (select cast(max(used) as bigint) from pk where pk.doc_id = d.doc_id) as predicate_tokens from (select distinct doc_id from ck) d""")
+_BUDGET = f"""with {EXPANDED}, ct as (select *, 200 + class_id * 37 % 400 as tokens from ex where score >= 0.72), cu as (select doc_id, class_id, sum(tokens) over (partition by doc_id order by round(score, 9) desc, class_id rows unbounded preceding) as used from ct),
+ck as (select * from cu where used <= 840), pt as (select doc_id, 'p' || class_id as pred_id, score, 130 + class_id % 50 as tokens from ex where score >= 0.72),
+pu as (select doc_id, pred_id, sum(tokens) over (partition by doc_id order by round(score, 9) desc, pred_id rows unbounded preceding) as used from pt), sp as (select doc_id, max(used) as spent from ck group by 1),
+pk as (select pu.*, spent from pu left join sp using (doc_id) where used <= 1200), f as (select doc_id, cast(max(used) filter (used <= 360) as bigint) as fixed, cast(max(used) filter (used <= 360 + 840 - coalesce(spent, 0)) as bigint) as rolled from pk group by 1)
+select d.doc_id, cast(spent as bigint) as class_tokens, fixed, rolled from (select distinct doc_id from ct) d left join sp using (doc_id) left join f using (doc_id)"""
+
+
+@q(_BUDGET)
 def catalogue_budget_split(s, d):
-    """A budget of 1,200 tokens: seven tenths for classes, the rest for the predicates of those kept."""
+    """A budget of 1,200 tokens: seven tenths for classes, the rest for predicates, without and with what the classes leave."""
     classes, _, _, best = _hits(s, d)
     hits = ontology.expand_children(best, views.subclass_edges(classes)).withColumn("score", F.round("score", 9))
-    kept = ontology.cutoff(hits.withColumn("tokens", F.lit(200) + F.col("class_id") * 37 % 400), budget=1200, share=0.7)
-    preds = kept.select("doc_id", F.concat(F.lit("p"), F.col("class_id").cast("string")).alias("pred_id"), "score", (F.lit(30) + F.col("class_id") % 50).alias("tokens"))
-    held = ontology.cutoff(preds, budget=1200, share=0.3, id_col="pred_id")
+    sized = hits.withColumn("tokens", F.lit(200) + F.col("class_id") * 37 % 400)
+    preds = hits.select("doc_id", F.concat(F.lit("p"), F.col("class_id").cast("string")).alias("pred_id"), "score", (F.lit(130) + F.col("class_id") % 50).alias("tokens"))
     most = lambda df, name: df.groupBy("doc_id").agg(F.max("used").alias(name))
-    return most(kept, "class_tokens").join(most(held, "predicate_tokens"), "doc_id", "left")
+    kept, fixed = ontology.cutoff_split(sized, preds, 1200, 0.7)
+    _, rolled = ontology.cutoff_split(sized, preds, 1200, 0.7, rollover=True)
+    rows = hits.where("score >= 0.72").select("doc_id").distinct()
+    for df, name in ((kept, "class_tokens"), (fixed, "fixed"), (rolled, "rolled")):
+        rows = rows.join(most(df, name), "doc_id", "left")
+    return rows
+
+
+@q("select doc_id, md5(substring(text, 1, 30000)) as text_md5 from documents")
+def fallback_evidence(s, d):
+    return gates.evidence_window(t(s, d, "documents")).select("doc_id", F.md5("text").alias("text_md5"))
+
+
+@q("""select doc_id, array_to_string(list_sort(list_distinct(list_concat(list_concat(regexp_extract_all(text, '[A-Z][a-zà-ÿ]+(?: [A-Z][a-zà-ÿ]+)+'), regexp_extract_all(text, '[A-Z]{2,}')), list_filter(['the', 'und'], lambda w: contains(lower(text), w))))), '|') as terms from documents""")
+def term_strings(s, d):
+    """The term string of each document, whose vector the first refinement adds; terms in order of their letters."""
+    terms = F.split(ontology.extract_terms(F.col("text"), ("the", "und")), r"\|")
+    return t(s, d, "documents").select("doc_id", F.array_join(F.array_sort(terms), "|").alias("terms"))
+
+
+@q(f"""with {V3}, s as (select rel_type, lower(regexp_replace(trim(rel_type), '[ -]+', '_', 'g')) as k from edge) select 'raw' as stage, count(*) as n, count(*) filter (rel_type in ('flag_a_to_f', 'flag_n_to_o')) as conform from s
+union all select 'snapped', count(*), count(*) filter (k in ('flag_a_to_f', 'flag_n_to_o')) from s""")
+def conformance_snapping(s, d):
+    """Labels that stand in the vocabulary as they come and after snapping."""
+    words = ("flag_a_to_f", "flag_n_to_o")
+    e = conform.snap_predicates(views.edges(s, d), s.createDataFrame([(w,) for w in words], "label string"))
+    row = lambda c, stage: e.agg(F.count("*").alias("n"), F.count_if(F.col(c).isin(*words)).alias("conform")).withColumn("stage", F.lit(stage))
+    return row("rel_type", "raw").unionByName(row("canon", "snapped"))
+
+
+@q(f"""with {TREE}, ex as (select distinct doc_id, pred_id from hit join pred on class_id in (domain, range)), an as (select distinct doc_id, pred_id from hit join up on child = class_id join pred on ancestor in (domain, range))
+select 'exact' as method, count(*) as predicates, count(distinct pred_id) filter (starts_with(pred_id, 'at_r')) as family, (select count(*) from region) as family_size from ex union all select 'ancestor', count(*), count(distinct pred_id) filter (starts_with(pred_id, 'at_r')), (select count(*) from region) from an""")
+def predicate_families(s, d):
+    """Predicates retrieved, and how many of the family that hangs on the upper classes."""
+    edge, pred, hit = _tree(s, d)
+    upper = pred.where("pred_id like 'at_r%'").agg(F.count("*").alias("family_size"))
+    out = None
+    for name, found in {"exact": ontology.predicates_exact(hit, pred), "ancestor": ontology.predicates_ancestor(hit, ontology.closure(edge), pred)}.items():
+        row = found.agg(F.count("*").alias("predicates"), F.count_distinct(F.when(F.col("pred_id").startswith("at_r"), F.col("pred_id"))).alias("family")).crossJoin(upper).withColumn("method", F.lit(name))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@q("""with n as (select n_regionkey, n_nationkey, n_name, 'R' || n_regionkey as region from nation) select n_nationkey as row_no, region, trim(unnest([n_name, 'also ' || n_name])) as member from n""")
+def plan_merged_cells(s, d):
+    """A sheet whose region stands in the first row of a merged range and whose member cell holds two values."""
+    from pyspark.sql import Window as W
+
+    n = t(s, d, "nation")
+    first = F.row_number().over(W.partitionBy("n_regionkey").orderBy("n_nationkey")) == 1
+    sheet = n.select(F.col("n_nationkey").alias("row_no"), F.when(first, F.concat(F.lit("R"), F.col("n_regionkey").cast("string"))).alias("region"), F.concat("n_name", F.lit(" ; also "), "n_name").alias("member"), "n_regionkey")
+    plan = {"columns": {"row_no": "int", "region": "string", "member": "string"}, "fill": ["region"], "split": {"member": ";"}, "drop_where": None}
+    return tabular.execute_plan(sheet, plan, "row_no", "n_regionkey").select("row_no", "region", "member")
+
+
+@q(None)
+def vector_ivf(s, d):
+    return resolve.block_vector(views.near_duplicate_vectors(s, d), method="ivf").select("left_id", "right_id", F.round("cos", 4).alias("cos"))
 
 
 @q("""with r as (select event_id, user_id % 20 as u, event_type, floor(epoch_us(ts) / 600000000.0) as slot, event_id % 3 = 0 as late, ts from events)

@@ -306,6 +306,14 @@ def test_phonetic_blocks_and_resolution(spark, small, rows):
     assert set(layers) <= {"rule", "embedding"} and layers["embedding"] >= counts["manual_review", False]
 
 
+def test_cell_blocks(spark, small, rows):
+    got = {(r["left_id"], r["right_id"]): r["cos"] for r in rows("vector_ivf")}
+    exact = {(r["left_id"], r["right_id"]): r["cos"] for r in rows("vector_topk")}
+    copies = {p for p, c in exact.items() if c >= 0.9}
+    assert len(copies) >= 40 and len(copies & set(got)) >= 0.9 * len(copies)
+    assert all(got[p] == pytest.approx(exact[p], abs=1e-4) for p in set(got) & set(exact))
+
+
 def test_hashed_blocks(spark, small, rows):
     vecs = {r["vec_id"]: r["vec"] for r in views.near_duplicate_vectors(spark, small).collect()}
     cos = lambda a, b: sum(x * y for x, y in zip(a, b, strict=True)) / math.sqrt(sum(x * x for x in a) * sum(y * y for y in b))
