@@ -452,7 +452,7 @@ def predicate_families(s, d):
     return out
 
 
-@q("""with n as (select n_regionkey, n_nationkey, n_name, 'R' || n_regionkey as region from nation) select n_nationkey as row_no, region, trim(unnest([n_name, 'also ' || n_name])) as member from n""")
+@q("""with n as (select n_regionkey, n_nationkey, n_name, 'R' || n_regionkey as region from nation) select cast(n_nationkey as bigint) as row_no, region, trim(unnest([n_name, 'also ' || n_name])) as member from n""")
 def plan_merged_cells(s, d):
     """A sheet whose region stands in the first row of a merged range and whose member cell holds two values."""
     from pyspark.sql import Window as W
