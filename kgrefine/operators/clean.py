@@ -116,8 +116,11 @@ def drop_dangling(rels: DataFrame, ents: DataFrame) -> DataFrame:
 FIXES = ("labels", "loops", "types", "titles", "ids", "dangling")
 
 
-def finalize(ents: DataFrame, rels: DataFrame, fixes: tuple[str, ...] = FIXES) -> tuple[DataFrame, DataFrame]:
-    """Entities and relations after the named steps, always in the order of ``FIXES``; loops go before and after the merge."""
+def finalize(ents: DataFrame, rels: DataFrame, fixes: tuple[str, ...] = FIXES, cut=lambda df: df) -> tuple[DataFrame, DataFrame]:
+    """Entities and relations after the named steps, always in the order of ``FIXES``; loops go before and after the merge.
+
+    ``cut`` may store what several later steps read (merged entities and the maps of ids), so that the merge runs once.
+    """
     if "labels" in fixes:
         rels = rels.withColumn("rel_type", canon_rel_type(F.col("rel_type")))
     if "loops" in fixes:
@@ -125,11 +128,11 @@ def finalize(ents: DataFrame, rels: DataFrame, fixes: tuple[str, ...] = FIXES) -
     if "types" in fixes:
         ents = fix_entity_type(ents).drop("retyped")
     if "titles" in fixes:
-        ents, ids = merge_entities(ents)
+        ents, ids = map(cut, merge_entities(ents))
         rels = remap(rels, ids)
         rels = drop_self_loops(rels) if "loops" in fixes else rels
     if "ids" in fixes:
-        ents, ids = renumber(ents)
+        ents, ids = map(cut, renumber(ents))
         rels = remap(rels, ids)
     if "dangling" in fixes:
         rels = drop_dangling(rels, ents)
