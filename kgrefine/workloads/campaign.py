@@ -37,9 +37,12 @@ def _chunks(rows, size):
     return rows.join(place, ["doc_id", "page_no"]).groupBy("doc_id", "chunk_no").agg(F.array_join(F.transform(F.array_sort(F.collect_list(line)), lambda x: x["text"]), "\n").alias("text"))
 
 
-def _answers(s, d, name):
-    """Recovered answers of one run: legacy reads the text layer of documents that the old guess sends to text; full routes each page."""
-    rows = views.planted_pages(s, d)
+def _pages(s, d):
+    return written(views.planted_pages(s, d), "pages")
+
+
+def _answers(s, rows, name):
+    """Recovered answers of one run over pages: legacy reads the text layer of documents that the old guess sends to text; full routes each page."""
     if name == "legacy":
         rows = rows.join(pages.legacy_route(rows).where("legacy = 'text'"), "doc_id", "left_semi").select("doc_id", "page_no", "text")
     else:
@@ -52,16 +55,17 @@ def _answers(s, d, name):
     return extract.recover_json(extract.run_provider(_chunks(rows, RUNS[name]), provider))
 
 
-def _graph(s, d, name):
+def _graph(s, rows, name):
     """(entities doc_id, name, type, surfaces; relations doc_id, src, dst, rel_type, quals by name) of one run."""
-    got = written(_answers(s, d, name), "answers")  # the model is called once
+    got = written(_answers(s, rows, name), "answers")  # the model is called once
     ents, rels = extract.parse_entities(got).select("doc_id", "name", "type").distinct(), extract.parse_relations(got)
     if name == "legacy":
         return ents.withColumn("surfaces", F.array("name")), written(relations.dedup_relations(rels, "first"), "relations")
     snapped = conform.snap_predicates(rels, s.createDataFrame([(v,) for v in VOCABULARY], "label string")).withColumn("rel_type", F.col("canon")).drop("canon", "tier")
-    ents, rels = (written(df, "graph") for df in clean.finalize(written(ents.withColumn("ent_id", F.col("name")), "entities"), written(snapped, "relations")))
+    ents, rels = clean.finalize(ents.withColumn("ent_id", F.col("name")), snapped, cut=lambda df: written(df, "graph"))
     ids = lambda end: ents.select("doc_id", F.col("ent_id").alias(end), F.col("name").alias(f"{end}_name"))
     rels = rels.join(ids("src"), ["doc_id", "src"]).join(ids("dst"), ["doc_id", "dst"]).withColumn("src", F.col("src_name")).withColumn("dst", F.col("dst_name"))
+    ents, rels = written(ents, "graph"), written(rels, "graph")  # both are read more than once from here
     return ents.select("doc_id", "name", "type", F.array_union(F.array("name"), "aliases").alias("surfaces")), written(relations.dedup_relations(rels), "relations")
 
 
@@ -107,9 +111,10 @@ def legacy_vs_full(s, d):
     """The unguided chain (old routing, raw labels, no cleaning) against the full one with five and two pages to a chunk, on the same planted files and provider."""
     gold, _ = _gold(s, d)
     known = gold.select("doc_id", F.explode(F.array("name", F.lower("surface"))).alias("low")).distinct()
-    names, out = gold.select("doc_id", "name").distinct(), None
+    names, out, rows = written(gold.select("doc_id", "name").distinct(), "gold"), None, _pages(s, d)
+    known = written(known, "gold")
     for name in RUNS:
-        ents, rels = _graph(s, d, name)
+        ents, rels = _graph(s, rows, name)
         ents = ents.select("doc_id", "type", F.lower("name").alias("low"))
         e = ents.agg(F.count("*").alias("entities"), F.count_distinct("type").alias("entity_types"))
         r = rels.agg(F.count("*").alias("relations"), F.count_distinct("rel_type").alias("relation_types"), F.count_if(F.col("src") == F.col("dst")).alias("self_loops"))
@@ -151,8 +156,10 @@ def entity_span_f1(s, d):
         ends = F.array(F.struct(F.col("at").alias("start"), (F.col("k") * 2).alias("place")), F.struct((F.col("at") + F.length("src") + F.length("label") + 8).alias("start"), (F.col("k") * 2 + 1).alias("place")))
         return rows.select("doc_id", "chunk_no", F.inline(ends))
 
+    rows = _pages(s, d)
+
     def found(name):
-        return extract.parse_spans(_answers(s, d, name)).join(lines(name), ["doc_id", "chunk_no", "start"])
+        return extract.parse_spans(_answers(s, rows, name)).join(lines(name), ["doc_id", "chunk_no", "start"])
 
     gold = st.select("doc_id", F.inline(F.array(F.struct((F.col("k") * 2).alias("place"), F.col("src").alias("name")), F.struct((F.col("k") * 2 + 1).alias("place"), F.col("dst").alias("name")))))
     return _each_run(s, d, found, gold, ["doc_id", "place", "name"])
@@ -162,14 +169,16 @@ def entity_span_f1(s, d):
 def relation_pair_f1(s, d):
     """Ordered pairs of related names, whatever the label."""
     low = lambda r: r.select("doc_id", F.lower("src").alias("src"), F.lower("dst").alias("dst"))
-    return _each_run(s, d, lambda name: low(_graph(s, d, name)[1]), low(_gold(s, d)[1]), ["doc_id", "src", "dst"])
+    rows = _pages(s, d)
+    return _each_run(s, d, lambda name: low(_graph(s, rows, name)[1]), low(_gold(s, d)[1]), ["doc_id", "src", "dst"])
 
 
 @q(_f1_sql("select distinct pipeline, doc_id, lower(src) as src, lower(dst) as dst, rel_type from rel", "select distinct doc_id, src, dst, rel_type, 1 as one from g_rel", "doc_id, src, dst, rel_type"))
 def triple_f1(s, d):
     """Names and label together."""
     low = lambda r: r.select("doc_id", F.lower("src").alias("src"), F.lower("dst").alias("dst"), "rel_type")
-    return _each_run(s, d, lambda name: low(_graph(s, d, name)[1]), low(_gold(s, d)[1]), ["doc_id", "src", "dst", "rel_type"])
+    rows = _pages(s, d)
+    return _each_run(s, d, lambda name: low(_graph(s, rows, name)[1]), low(_gold(s, d)[1]), ["doc_id", "src", "dst", "rel_type"])
 
 
 @q(f"""with {STATEMENTS}, e as (select distinct doc_id, name, type from ent where pipeline = 'full, 5 pages'), f as (select * from ent where pipeline = 'full, 5 pages'), r as (select * from rel where pipeline = 'full, 5 pages'), ge as (select distinct doc_id, name, type from g_ent),
@@ -182,8 +191,8 @@ x as (select 'entity completeness' as dimension, exists (select 1 from e where e
 m as (select dimension, round(100 * avg(case when ok then 1.0 else 0.0 end), 4) as pct from x group by dimension) select dimension, pct from m union all select 'mean', round(avg(pct), 4) from m""")
 def accuracy_dimensions(s, d):
     """The six dimensions of the full run with five pages to a chunk against the planted statements: what is there, its other forms and type; relations found, right, and with the right year."""
-    ents, rels = _graph(s, d, "full, 5 pages")
-    gold, gold_rels = _gold(s, d)
+    ents, rels = _graph(s, _pages(s, d), "full, 5 pages")
+    gold, gold_rels = (written(df, "gold") for df in _gold(s, d))
     ents = ents.withColumn("name", F.lower("name"))
     rels = rels.select("doc_id", F.lower("src").alias("src"), F.lower("dst").alias("dst"), "rel_type", F.col("quals")["year"].alias("found_year"))
     key = ["doc_id", "src", "dst", "rel_type"]
