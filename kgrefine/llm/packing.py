@@ -153,7 +153,7 @@ def pack_documents(docs: DataFrame, tokenizer_path: str | None = None, id_col: s
             return pa.RecordBatch.from_arrays([pa.array(cols[0], type_), *(pa.array(c, pa.int64()) for c in cols[1:])],
                                               ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"])
 
-        for part in slices(batches, 1024):
+        for part in slices(batches, 384):
             type_ = part.schema.field(0).type
             fronts = bpe.ids(part.column(1).to_pylist()) if prompt_col else [b""] * part.num_rows
             for doc, front, ids in zip(part.column(0).to_pylist(), fronts, bpe.ids(part.column(2).to_pylist()), strict=True):

@@ -44,7 +44,7 @@ class WordBpe:
     a special token, which is not split, go to the library whole. The table is emptied at ``keep`` pieces.
     """
 
-    def __init__(self, path: str, keep: int = 400_000):
+    def __init__(self, path: str, keep: int = 250_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
