@@ -116,24 +116,41 @@ def drop_dangling(rels: DataFrame, ents: DataFrame) -> DataFrame:
 FIXES = ("labels", "loops", "types", "titles", "ids", "dangling")
 
 
-def finalize(ents: DataFrame, rels: DataFrame, fixes: tuple[str, ...] = FIXES, cut=lambda df: df) -> tuple[DataFrame, DataFrame]:
+def clean_entities(ents: DataFrame, fixes: tuple[str, ...] = FIXES, cut=lambda df: df, known: dict | None = None) -> tuple[DataFrame, dict[str, DataFrame]]:
+    """Entities after those of the named steps that act on them, and the maps of ids by step.
+
+    Relations have no part in these steps, so chains that begin alike may share a ``known`` table of what
+    each beginning gave; it must be used with one table of entities only.
+    """
+    known, done, maps = {} if known is None else known, (), {}
+    for name in ("types", "titles", "ids"):
+        if name not in fixes:
+            continue
+        done = (*done, name)
+        if done not in known:
+            known[done] = (fix_entity_type(ents).drop("retyped"), None) if name == "types" else tuple(map(cut, merge_entities(ents) if name == "titles" else renumber(ents)))
+        ents, ids = known[done]
+        if ids is not None:
+            maps[name] = ids
+    return ents, maps
+
+
+def finalize(ents: DataFrame, rels: DataFrame, fixes: tuple[str, ...] = FIXES, cut=lambda df: df, known: dict | None = None) -> tuple[DataFrame, DataFrame]:
     """Entities and relations after the named steps, always in the order of ``FIXES``; loops go before and after the merge.
 
-    ``cut`` may store what several later steps read (merged entities and the maps of ids), so that the merge runs once.
+    ``cut`` may store what several later steps read (merged entities and the maps of ids), so that the merge runs once;
+    ``known`` is as in ``clean_entities``.
     """
     if "labels" in fixes:
         rels = rels.withColumn("rel_type", canon_rel_type(F.col("rel_type")))
     if "loops" in fixes:
         rels = drop_self_loops(rels)
-    if "types" in fixes:
-        ents = fix_entity_type(ents).drop("retyped")
-    if "titles" in fixes:
-        ents, ids = map(cut, merge_entities(ents))
-        rels = remap(rels, ids)
+    ents, maps = clean_entities(ents, fixes, cut, known)
+    if "titles" in maps:
+        rels = remap(rels, maps["titles"])
         rels = drop_self_loops(rels) if "loops" in fixes else rels
-    if "ids" in fixes:
-        ents, ids = map(cut, renumber(ents))
-        rels = remap(rels, ids)
+    if "ids" in maps:
+        rels = remap(rels, maps["ids"])
     if "dangling" in fixes:
         rels = drop_dangling(rels, ents)
     return ents, rels

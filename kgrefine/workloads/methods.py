@@ -487,11 +487,11 @@ _STAGES = {"before": (), "after": clean.FIXES, **{f"without {x}": tuple(y for y
 
 @q(f"with {V6} " + " union all ".join(f"select * from {_quality_sql(name, fixes)}" for name, fixes in _STAGES.items()))
 def quality_before_after(s, d):
-    """Defect counts before, after all fixes, and with each fix left out; the files are made once and what a chain reads twice is written."""
+    """Defect counts before, after all fixes, and with each fix left out; the files are made once, what a chain reads twice is written, and chains share equal beginnings."""
     e, r = written(views.dirty_entities(s, d), "entities"), written(views.dirty_relations(s, d), "relations")
-    out = None
+    out, known = None, {}
     for name, fixes in _STAGES.items():
-        ents, rels = clean.finalize(e, r, fixes, cut=lambda df: written(df, "cleaned"))
+        ents, rels = clean.finalize(e, r, fixes, cut=lambda df: written(df, "cleaned"), known=known)
         row = clean.quality_table(ents, rels).withColumn("stage", F.lit(name))
         out = row if out is None else out.unionByName(row)
     return out
