@@ -245,7 +245,8 @@ def clusters(merged: DataFrame, ents: DataFrame, keys: tuple[str, ...] = DISCRIM
     """(ent_id, canonical_id) of auto-merged pairs (left_id, right_id, score), no cluster with two values of a discriminator.
 
     Components first; only those with a conflict are taken apart: their edges are admitted again in
-    falling score, skipping any that would join two values. A group is one conflicting component.
+    falling score, skipping any that would join two values. A group is one conflicting component. An
+    entity whose edges are all skipped is its own cluster; ``with_partner`` leaves it out.
     """
     comp = connected_components(merged, "left_id", "right_id").withColumnRenamed("node", "ent_id")
     props = ents.select(F.col("ent_id").cast("long").alias("ent_id"), "props")
@@ -282,6 +283,12 @@ def clusters(merged: DataFrame, ents: DataFrame, keys: tuple[str, ...] = DISCRIM
     return fine.unionByName(split)
 
 
+def with_partner(canon: DataFrame) -> DataFrame:
+    """Rows of (ent_id, canonical_id) whose cluster has two members or more: an entity whose merges were all refused has none."""
+    several = canon.where("ent_id <> canonical_id").select("canonical_id").distinct()
+    return canon.join(several, "canonical_id", "left_semi").select("ent_id", "canonical_id")
+
+
 def collect_resolution(ents: DataFrame, canon: DataFrame, decided: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
     """(merged entities, id map of all entities, decisions, review queue)."""
     ids = ents.select(F.col("ent_id").cast("long").alias("ent_id"), "name").join(canon, "ent_id", "left").select("ent_id", "name", F.coalesce("canonical_id", "ent_id").alias("canonical_id"))

@@ -254,3 +254,9 @@ def test_library_does_not_import_the_text_subpackage():
     for f in root.rglob("*.py"):
         if "llm" not in f.relative_to(root).parts:
             assert "kgrefine.llm" not in f.read_text() and "from .llm" not in f.read_text()
+
+
+def test_an_entity_whose_pairs_are_all_refused_is_in_no_cluster(spark):
+    pairs = spark.createDataFrame([(1, 2, 0.99), (2, 3, 0.97), (7, 8, 0.96)], "left_id long, right_id long, score double")
+    ents = spark.createDataFrame([(1, {"dob": "a"}), (2, {"dob": "a"}), (3, {"dob": "b"}), (7, {"dob": "c"}), (8, {"dob": "d"})], "ent_id long, props map<string,string>")
+    assert sorted(tuple(r) for r in resolve.with_partner(resolve.clusters(pairs, ents)).collect()) == [(1, 1), (2, 1)]
