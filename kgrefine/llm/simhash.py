@@ -189,32 +189,117 @@ def simhash_groups(docs: DataFrame, words: int = 3, distance: int = 3, id_col: s
     return each.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
-#: Lists a text stands in, and min-wise hashes that make up a list's key.
-BANDS, BAND = 40, 6
-_MULTIPLY = np.random.default_rng(11).integers(0, 2**32, BANDS * BAND, dtype=np.uint32) | np.uint32(1)
-_ADD = np.random.default_rng(12).integers(0, 2**32, BANDS * BAND, dtype=np.uint32)
+#: Lists a text stands in, each keyed by two byte places of its wide fingerprint; further words by which rows of a list are compared.
+LISTS, CHECK_WORDS = 160, 2
+PLACES = 2 * LISTS
+#: Bits of the check words in which rows of a list may differ, and byte places of all that a pair must share before its texts are compared.
+CHECK_BITS, SHARED_PLACES = 40, 20
+_TURN = np.random.default_rng(11).integers(0, 2**63, PLACES // 8 + CHECK_WORDS, dtype=np.uint64)
+_ODD = np.random.default_rng(12).integers(0, 2**63, PLACES // 8 + CHECK_WORDS, dtype=np.uint64) | np.uint64(1)
 
 
-def search_keys(hashed: np.ndarray, chunk: int = 256) -> np.ndarray:
-    """Keys of the lists a shingle set stands in; sets that share none are never compared. None for an empty set.
+def wide_fingerprint(hashed: np.ndarray, chunk: int = 2_048) -> np.ndarray:
+    """A SimHash of 42 words of a shingle set's hashes: each bit is 1 where more than half of the shingles have it.
 
-    Two sets share a key with a chance of 1 - (1 - j**BAND)**BANDS at a Jaccard of j: all but 6 in a
-    million at 0.8, whatever way the texts differ.
+    Two sets of one size and a Jaccard of j differ in arccos(2j / (1 + j)) / pi of the bits: 15 % at 0.8.
     """
-    if not len(hashed):
-        return np.zeros(0, dtype=np.int64)
-    x, low = (hashed >> np.uint64(32)).astype(np.uint32), np.full(BANDS * BAND, 2**32 - 1, dtype=np.uint32)
-    for at in range(0, len(x), chunk):
-        h = x[at : at + chunk, None] ^ _ADD
-        h *= _MULTIPLY
-        h ^= h >> np.uint32(15)
-        h *= np.uint32(0x2C1B3C6D)
-        np.minimum(low, h.min(axis=0), out=low)
-    key = np.arange(1, BANDS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
-    for column in low.reshape(BANDS, BAND).T.astype(np.uint64):
-        key = (key ^ column) * np.uint64(0xBF58476D1CE4E5B9)
-        key ^= key >> np.uint64(29)
-    return key.view(np.int64)
+    tally = np.zeros(64 * len(_ODD), dtype=np.int64)
+    for at in range(0, len(hashed), chunk):
+        h = (hashed[at : at + chunk, None].astype(np.uint64) ^ _TURN) * _ODD
+        h ^= h >> np.uint64(32)
+        h *= np.uint64(0xBF58476D1CE4E5B9)
+        h ^= h >> np.uint64(29)
+        tally += bit_counts(h)
+    return np.packbits(2 * tally > len(hashed), bitorder="little").view("<u8")
+
+
+def place_lists(fps: np.ndarray) -> np.ndarray:
+    """(rows, LISTS): the lists of wide fingerprints, a number of 24 bits from the pair of places and their two bytes."""
+    return np.ascontiguousarray(fps[:, : PLACES // 8]).view("<u2").astype(np.int64) + (np.arange(LISTS, dtype=np.int64) << 16)
+
+
+def close_in_lists(lists: np.ndarray, node: np.ndarray, a: np.ndarray, b: np.ndarray, short: int = 64) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Edges that connect the rows of each list (whole lists, in order) that differ in at most ``CHECK_BITS`` bits.
+
+    ``lists`` holds the list, the two chunks that meet in it and, lowest, the side of the row.
+    """
+    group, side, out = lists >> 1, lists & 1, []
+    cross = ((group >> 19) & 0x7FFFF) != (group & 0x7FFFF)
+    starts = np.concatenate([[0], np.flatnonzero(group[1:] != group[:-1]) + 1])
+    sizes = np.diff(np.concatenate([starts, [len(group)]]))
+    left = np.repeat(starts + sizes, sizes) - np.arange(len(group))  # rows of the list from this one on
+    at = np.flatnonzero(np.repeat(sizes <= short, sizes))
+    for d in range(1, short):
+        at = at[left[at] > d]
+        if not len(at):
+            break
+        hit = within(a[at] ^ a[at + d], b[at] ^ b[at + d], CHECK_BITS, False) & (~cross[at] | (side[at] != side[at + d]))
+        out.append((node[at[hit]], node[at[hit] + d]))
+    for s, n in zip(starts[sizes > short], sizes[sizes > short], strict=True):
+        rows = np.arange(s, s + n)
+        if n <= 2_048:  # most rows of a chance list have no partner
+            hit = within(a[rows][:, None] ^ a[rows][None, :], b[rows][:, None] ^ b[rows][None, :], CHECK_BITS, False)
+            rows = rows[hit.sum(axis=1) > 1]
+        if len(rows) > 1:
+            out += forest(a[rows], b[rows], node[rows], side[rows] if cross[s] else None, CHECK_BITS, False)
+    return out
+
+
+def wide_edges(nodes: DataFrame, list_rows: int = 20_000) -> DataFrame:
+    """(u, v): edges that connect the (node, fp binary) rows whose wide fingerprints meet in a list of the inverted index and are close.
+
+    A pair at a Jaccard of exactly 0.8 has two given bytes in common with a chance of 0.072, so 6 in a
+    million such pairs meet in none of the 160 lists. Every pair of a list is compared; lists that a
+    sample of the nodes shows to be over ``list_rows`` are dealt out in chunks whose pairs are tasks apart.
+    """
+    def read(batch):
+        return np.frombuffer(b"".join(batch.column(1).to_pylist()), dtype="<u8").reshape(batch.num_rows, -1)
+
+    def sampled(batches):
+        for batch in slices(batches):
+            yield pa.RecordBatch.from_arrays([pa.array(place_lists(read(batch)).ravel())], ["list"])
+
+    long, share = {}, 64
+    if nodes.count() > list_rows:
+        some = nodes.where(F.pmod(F.xxhash64("node", F.lit(7)), F.lit(share)) == 0).select("node", "fp").mapInArrow(sampled, "list long")
+        found = some.groupBy("list").agg((F.count("*") * share).alias("n")).where(F.col("n") > list_rows)
+        long = {r["list"]: -(-r["n"] // list_rows) for r in found.collect()}
+
+    def put(batches):
+        known = np.array(sorted(long), dtype=np.int64)
+        for batch in slices(batches, 256):
+            fps, node = read(batch), batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
+            lists, row = place_lists(fps).ravel(), np.repeat(np.arange(len(fps)), LISTS)
+            dealt = np.isin(lists, known)
+            cols = [(lists[~dealt] << 39, row[~dealt])]
+            for k, r in zip(lists[dealt].tolist(), row[dealt].tolist(), strict=True):
+                c, o = (int(node[r]) * 0x9E3779B97F4A7C15 >> 20) % long[k], np.arange(long[k], dtype=np.int64)
+                cols.append((k << 39 | np.minimum(o, c) << 20 | np.maximum(o, c) << 1 | (c > o), np.full(len(o), r)))
+            lists, row = (np.concatenate([c[x] for c in cols]) for x in (0, 1))
+            check = fps[:, PLACES // 8 :].view("<i8")
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (lists, node[row], check[row, 0], check[row, 1])], ["list", "node", "a", "b"])
+
+    def search(batches):
+        """Whole lists at a time; one that a batch cuts waits for its rest."""
+        held: list[list[np.ndarray]] = []
+        for batch in batches:
+            if batch.num_rows:
+                held.append([batch.column(c).to_numpy(zero_copy_only=False) for c in range(4)])
+                if held[0][0][0] >> 1 != held[-1][0][-1] >> 1:
+                    cols = [np.concatenate([h[c] for h in held]) for c in range(4)]
+                    cut = int(np.searchsorted(cols[0] >> 1, cols[0][-1] >> 1))
+                    held = [[c[cut:] for c in cols]]
+                    yield edges([c[:cut] for c in cols])
+        if held:
+            yield edges([np.concatenate([h[c] for h in held]) for c in range(4)])
+
+    def edges(cols):
+        lists, node, a, b = cols
+        found = close_in_lists(lists, node, a.view(np.uint64), b.view(np.uint64))
+        return pa.RecordBatch.from_arrays([pa.array(np.concatenate([node[:0], *(e[k] for e in found)]), pa.int64()) for k in (0, 1)], ["u", "v"])
+
+    index = nodes.select("node", "fp").mapInArrow(put, "list long, node long, a long, b long")
+    return index.repartition(F.shiftright("list", 1)).sortWithinPartitions("list").mapInArrow(search, "u long, v long").distinct()
 
 
 def shingle_set(parts: list[bytes]) -> np.ndarray:
@@ -234,12 +319,14 @@ def alike(x: np.ndarray, y: np.ndarray, similarity: float) -> bool:
 
 
 def exact_forest(rows: list[tuple], similarity: float, two_sides: bool) -> list[tuple[int, int]]:
-    """Edges that span the groups of alike sets among (node, side, keys, set) rows.
+    """Edges that span the groups of alike sets among (node, side, keys, set, fp) rows.
 
-    A pair is tested, on its whole sets, if it shares a key; it is left untested only where both rows are
-    already joined by alike pairs. ``two_sides`` limits tests to rows of different sides.
+    A pair is tested, on its whole sets, if it shares a key and, where rows have fingerprints, enough
+    of their byte places; it is left untested only where both rows are already joined by alike pairs.
+    ``two_sides`` limits tests to rows of different sides.
     """
     keys, sides = np.stack([r[2] for r in rows]), np.array([r[1] for r in rows])
+    places = np.stack([np.frombuffer(r[4], dtype=np.uint8)[:PLACES] for r in rows]) if rows[0][4] is not None else None
     out, left = [], np.ones(len(rows), dtype=bool)
     for seed in range(len(rows)):
         if not left[seed]:
@@ -249,7 +336,10 @@ def exact_forest(rows: list[tuple], similarity: float, two_sides: bool) -> list[
         while queue:
             now = queue.pop()
             rest = np.flatnonzero(left & (sides != sides[now])) if two_sides else np.flatnonzero(left)
-            for k in rest[(keys[rest] == keys[now]).any(axis=1)].tolist():
+            rest = rest[(keys[rest] == keys[now]).any(axis=1)]
+            if places is not None:
+                rest = rest[(places[rest] == places[now]).sum(axis=1) >= SHARED_PLACES]
+            for k in rest.tolist():
                 if alike(rows[now][3], rows[k][3], similarity):
                     out.append((rows[now][0], rows[k][0]))
                     left[k] = False
@@ -258,13 +348,14 @@ def exact_forest(rows: list[tuple], similarity: float, two_sides: bool) -> list[
 
 
 def verified_edges(nodes: DataFrame, texts: DataFrame, words: int, similarity: float, group_words: int = 4_000_000, group_rows: int = 5_000) -> DataFrame:
-    """(u, v): edges that span the groups of nodes whose shingle sets are alike, of (node, size, keys) and (node, text).
+    """(u, v): edges that span the groups of nodes whose shingle sets are alike, of (node, size, keys and, for the count filter, fp) and (node, text).
 
     Lists of one key only say which nodes may be alike: every node of a list is tied to its smallest,
     and the components of these ties hold all pairs to test. Each text goes to its component once, where
     pairs are decided by exact Jaccard before anything is thinned out. A component over ``group_words``
     words or ``group_rows`` rows is dealt out in chunks, and every pair of chunks is tested apart.
     """
+    nodes = nodes if "fp" in nodes.columns else nodes.withColumn("fp", F.lit(None).cast("binary"))
     index = nodes.select("node", F.explode("keys").alias("key"))
     heads = index.groupBy("key").agg(F.min("node").alias("head"), F.count("*").alias("n")).where("n > 1").drop("n")
     ties = connected_components(index.join(heads, "key").where("node <> head").select(F.col("node").alias("u"), F.col("head").alias("v")))
@@ -273,19 +364,19 @@ def verified_edges(nodes: DataFrame, texts: DataFrame, words: int, similarity: f
     member = member.join(member.groupBy("component").agg(F.ceil(share).cast("int").alias("chunks")), "component")
     member = member.withColumn("c", F.pmod(F.xxhash64("node", F.lit(5)), F.greatest("chunks", F.lit(1))).cast("int"))
     member = member.withColumn("o", F.explode(F.sequence(F.lit(0), F.greatest("chunks", F.lit(1)) - 1)))
-    dealt = (member.select("component", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), (F.col("c") > F.col("o")).cast("int").alias("side"), "node", "keys")
-             .join(texts, "node").select("component", "i", "j", "side", "node", "keys", "text")
+    dealt = (member.select("component", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), (F.col("c") > F.col("o")).cast("int").alias("side"), "node", "keys", "fp")
+             .join(texts, "node").select("component", "i", "j", "side", "node", "keys", "fp", "text")
              .repartition("component", "i", "j").sortWithinPartitions("component", "i", "j", "node"))
 
     def go(batches):
         at, held = None, []
         for batch in slices(batches):
             edges = []
-            for *group, side, node, keys, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            for *group, side, node, keys, fp, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if group != at:
                     edges += exact_forest(held, similarity, at[1] != at[2]) if len(held) > 1 else []
                     at, held = group, []
-                held.append((node, side, np.array(keys, dtype=np.int64), shingle_set(shingles(text, words))))
+                held.append((node, side, np.array(keys, dtype=np.int64), shingle_set(shingles(text, words)), fp))
             yield pairs(edges)
         if len(held) > 1:
             yield pairs(exact_forest(held, similarity, at[1] != at[2]))
@@ -310,17 +401,20 @@ def near_duplicate_nodes(rows: DataFrame, row_col: str, words: int, similarity:
                 hashed = shingle_set(shingles(t, words))
                 cols[0].append(xxhash.xxh3_128_digest(b" ".join(found)))
                 cols[1].append(len(found))
-                cols[2].append(search_keys(hashed).tolist())
-            kinds = (pa.binary(), pa.int64(), pa.list_(pa.int64()))
+                cols[2].append(wide_fingerprint(hashed).tobytes())
+            kinds = (pa.binary(), pa.int64(), pa.binary())
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))],
-                                             ["row", "doc_id", "same", "size", "keys"])
+                                             ["row", "doc_id", "same", "size", "fp"])
 
     each = written(rows.select(row_col, F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(
-        go, "row long, doc_id long, same binary, size long, keys array<long>"), "near")
+        go, "row long, doc_id long, same binary, size long, fp binary"), "near")
     named = F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "row"))
-    nodes = written(each.groupBy("same").agg(F.min("row").alias("node"), F.min(named).alias("first"), F.first("size").alias("size"), F.first("keys").alias("keys")), "near")
+    nodes = written(each.groupBy("same").agg(F.min("row").alias("node"), F.min(named).alias("first"), F.first("size").alias("size"), F.first("fp").alias("fp")), "near")
     texts = rows.select(F.col(row_col).alias("node"), F.col(text_col).alias("text"))
-    groups = connected_components(verified_edges(nodes.where("first is not null").select("node", "size", "keys"), texts, words, similarity))
+    sought = nodes.where("first is not null and size > 0").select("node", "size", "fp")
+    # groups of close fingerprints only say which texts are compared, so chains of loosely alike texts part again
+    close = sought.join(connected_components(wide_edges(sought)), "node").select("node", "size", F.array("component").alias("keys"), "fp")
+    groups = connected_components(verified_edges(close, texts, words, similarity))
     found = nodes.join(groups, "node", "left").select("same", "first", F.col("first.doc_id").alias("least"), F.coalesce("component", "node").alias("root"))
     return each.select("row", "doc_id", "same"), written(found, "near")
 
@@ -334,9 +428,9 @@ def near_duplicate_groups(docs: DataFrame, words: int = 5, similarity: float = 0
     """(doc_id, component_id): groups of documents linked by shingle sets of at least this Jaccard, each named by its smallest doc_id.
 
     64-bit fingerprints of five-word shingles differ in ten bits on average at a similarity of 0.8, so
-    bytes of them find few such pairs. The search therefore takes bands of min-wise hashes of the
-    shingles (``search_keys``), and pairs that share a band are decided by the exact Jaccard of their
-    shingle sets. Equal word sequences (A-Z lowered) are one node before the search. Null or blank texts
+    bytes of them find few such pairs. The search therefore takes SimHash fingerprints of 2,688 bits,
+    lists of an inverted index keyed by their byte places and a count of shared places (``wide_edges``),
+    and the pairs found are decided by the exact Jaccard of their shingle sets. Equal word sequences (A-Z lowered) are one node before the search. Null or blank texts
     are alike. Rows with a null doc_id have a null group unless others share the text. Repeated rows
     repeat; an empty table gives none.
     """

@@ -388,6 +388,20 @@ def test_copies_with_an_inserted_block_meet(spark):
     assert {r["doc_id"]: r["component_id"] for r in simhash.near_duplicate_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()} == want
 
 
+@pytest.mark.parametrize("list_rows", [20_000, 2])
+def test_the_pipeline_search_meets_close_texts_in_byte_lists_only(spark, list_rows):
+    rng, rows = np.random.default_rng(5), []
+    for i in range(0, 400, 2):
+        a = [f"w{x}" for x in rng.integers(0, 10**9, int(rng.integers(60, 400)))]
+        rows += [(i, a), (i + 1, a + [f"y{x}" for x in rng.integers(0, 10**9, len(a) // 5)])]  # 0.8 to 0.85 alike
+    rows += [(1000 + i, rows[0][1][:-1] + [f"z{i}"]) for i in range(80)]  # a list longer than those compared by offsets
+    nodes = [(i, bytearray(simhash.wide_fingerprint(simhash.shingle_set(simhash.shingles(" ".join(w), 5))).tobytes())) for i, w in rows]
+    from kgrefine.plans.components import connected_components
+
+    found = connected_components(simhash.wide_edges(spark.createDataFrame(nodes, "node long, fp binary"), list_rows))
+    assert {r["node"]: r["component"] for r in found.collect()} == {i: i - i % 2 for i in range(400)} | dict.fromkeys(range(1000, 1080), 0)
+
+
 def test_near_duplicates_are_dropped_by_row_not_by_id(spark):
     rows = [(None, "one text without an id", "a"), (None, "quite another text without an id", "b"), (None, "one text without an id", "c"),
             (1, "first text that stands twice here", "d"), (1, "first text that stands twice here", "d"), (2, "first text that stands twice here", "e"),
