@@ -22,9 +22,10 @@ def event_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def drain(stream: DataFrame, tag: str, mode: str = "append") -> DataFrame:
-    """Runs a stream over what is there and returns its result as a table in the shared folder; a restart would go on from its checkpoint."""
-    spark, base = stream.sparkSession, f"{scratch_dir(stream.sparkSession)}/{tag}-{uuid.uuid4().hex}"
+def drain(stream: DataFrame, tag: str, mode: str = "append", base: str | None = None) -> DataFrame:
+    """Runs a stream over what is there and returns its result as a table in the shared folder; a run with the ``base`` of an earlier one goes on from its checkpoint."""
+    spark = stream.sparkSession
+    base = base or f"{scratch_dir(spark)}/{tag}-{uuid.uuid4().hex}"
     if mode == "append":
         q = stream.writeStream.format("parquet").option("path", f"{base}/out").option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
         q.awaitTermination()
