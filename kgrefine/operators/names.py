@@ -124,17 +124,21 @@ def candidate_pairs(ents: DataFrame, strategy: str = "blocked", scope: tuple[str
     """(left_id, right_id, scope, key_a, key_b): pairs of one scope with left_id < right_id.
 
     ``all`` joins a scope with itself (a document's entities). ``blocked`` asks for a shared key as well,
-    the first three letters of the last token or the phonetic code of the whole name.
+    the first three letters of the last token or the phonetic code of the whole name. Both sides are whole
+    tables that look small in compressed statistics, so they are sorted and merged, never broadcast.
     """
-    a = ents.select(*scope, F.col("ent_id").alias("left_id"), *[F.col(k).alias(f"{k}_a") for k in keep])
-    b = ents.select(*scope, F.col("ent_id").alias("right_id"), *[F.col(k).alias(f"{k}_b") for k in keep])
+    def side(rows, i, end, *more):
+        return rows.select(*scope, F.col("ent_id").alias(i), *[F.col(k).alias(f"{k}_{end}") for k in keep], *more)
+
     if strategy == "all":
-        return a.join(b, list(scope)).where("left_id < right_id")
+        return side(ents, "left_id", "a").hint("merge").join(side(ents, "right_id", "b"), list(scope)).where("left_id < right_id")
     t = F.split(S.norm_name(F.col("name")), " ")
-    keys = ents.select(*scope, "ent_id", F.explode(F.array(F.concat(F.lit("l:"), F.substring(F.element_at(t, -1), 1, 3)), F.concat(F.lit("p:"), F.array_join(F.array_sort(S.phonetic(F.col("name"))), "-")))).alias("block"))
-    met = keys.select(*scope, "block", F.col("ent_id").alias("left_id")).join(keys.select(*scope, "block", F.col("ent_id").alias("right_id")), [*scope, "block"])
-    met = met.where("left_id < right_id").select(*scope, "left_id", "right_id").distinct()
-    return met.join(a, [*scope, "left_id"]).join(b, [*scope, "right_id"])
+    blocks = F.array(F.concat(F.lit("l:"), F.substring(F.element_at(t, -1), 1, 3)), F.concat(F.lit("p:"), F.array_join(F.array_sort(S.phonetic(F.col("name"))), "-")))
+    keyed = ents.withColumn("__blocks", blocks).withColumn("__block", F.explode("__blocks"))
+    met = side(keyed, "left_id", "a", "__block", F.col("__blocks").alias("__l")).hint("merge").join(side(keyed, "right_id", "b", "__block", F.col("__blocks").alias("__r")), [*scope, "__block"])
+    # a pair of several shared blocks counts in the first of them only, so that no distinct is needed
+    once = F.col("__block") == F.array_min(F.array_intersect("__l", "__r"))
+    return met.where("left_id < right_id").where(once).drop("__block", "__l", "__r")
 
 
 #: Property names that tell a role, an organisation or a place.

@@ -260,3 +260,12 @@ def test_an_entity_whose_pairs_are_all_refused_is_in_no_cluster(spark):
     pairs = spark.createDataFrame([(1, 2, 0.99), (2, 3, 0.97), (7, 8, 0.96)], "left_id long, right_id long, score double")
     ents = spark.createDataFrame([(1, {"dob": "a"}), (2, {"dob": "a"}), (3, {"dob": "b"}), (7, {"dob": "c"}), (8, {"dob": "d"})], "ent_id long, props map<string,string>")
     assert sorted(tuple(r) for r in resolve.with_partner(resolve.clusters(pairs, ents)).collect()) == [(1, 1), (2, 1)]
+
+
+def test_aliases_and_pairs_are_never_broadcast(spark, small):
+    from kgrefine import workloads
+
+    pairs = [names.candidate_pairs(views.homonyms(spark, small), s) for s in ("all", "blocked")]
+    for df in [workloads.queries()["alias_search_recall"](spark, small), *pairs]:
+        assert "BroadcastExchange" not in df._jdf.queryExecution().executedPlan().toString()
+    assert pairs[1].count() == pairs[1].select("left_id", "right_id").distinct().count() > 0
