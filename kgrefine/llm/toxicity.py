@@ -123,17 +123,19 @@ def summary(margins: np.ndarray) -> np.ndarray:
     return np.array([*best, np.log1p((margins > 0).sum()), np.log1p(len(margins))])
 
 
-def _copy(words: list[str], seen: set) -> bool:
-    """Whether a text shares one of its four smallest shingle hashes with one before, which ``seen`` holds: copies teach the same words again."""
+def _marks(words: list[str]) -> list[int]:
+    """A text's smallest shingle hash under each of four seeds; texts that share one are copies, which teach the same words again."""
     parts = {" ".join(words[j : j + 5]) for j in range(max(1, len(words) - 4))}
-    marks = {(s, min(xxhash.xxh3_64_intdigest(p, s) for p in parts)) for s in range(4)}
-    hit = bool(marks & seen)
-    seen |= marks
-    return hit
+    return [min(xxhash.xxh3_64_intdigest(p, s) for p in parts) for s in range(4)]
 
 
-def train(texts: list[str], toxic: list[int], landmarks: int = 384, rounds: int = 3, most: int = 20_000, seed: int = 3) -> ToxicityModel | None:
-    """A model from labelled texts; None without both kinds among the texts that are no copies.
+def train(texts: list[str], toxic: list[int], **how) -> ToxicityModel | None:
+    """A model from labelled texts, see ``train_bags``."""
+    return train_bags(((_marks(words_of(t)), bag(t), y) for t, y in zip(texts, toxic, strict=True)), **how)
+
+
+def train_bags(examples, landmarks: int = 384, rounds: int = 3, most: int = 20_000, seed: int = 3) -> ToxicityModel | None:
+    """A model from (``_marks``, ``bag``, label) of texts in order; None without both kinds among those that are no copies.
 
     The labelled texts are the examples: a toxic one is a bag of words of which some are to blame, all
     words of a clean one are not (multiple-instance learning). At first a toxic text shares its label
@@ -146,10 +148,12 @@ def train(texts: list[str], toxic: list[int], landmarks: int = 384, rounds: int
     """
     one: dict[str, int] = {}
     bags, labels, seen = [], [], set()
-    for text, label in zip(texts, toxic, strict=True):
-        if not _copy(words_of(text), seen):
-            bags.append(np.array([one.setdefault(w, len(one)) for w in bag(text)], dtype=np.int64))
+    for mark, held, label in examples:
+        marks = set(enumerate(mark))
+        if not marks & seen:
+            bags.append(np.array([one.setdefault(w, len(one)) for w in held], dtype=np.int64))
             labels.append(int(label == 1))
+        seen |= marks
     y, words = np.array(labels, dtype=np.int64), list(one)
     apart = np.arange(len(y)) % 4 == 0
     taught = [(b, t) for b, t, out in zip(bags, y, apart, strict=True) if len(b) and not out]
@@ -228,10 +232,10 @@ def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.1, rounds: int = 10
     return w[:-1] / dev, float(w[-1] - (w[:-1] * mean / dev).sum())
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, toxic_rows: int, clean_rows: int, most_chars: int = 200_000, id_col: str = "doc_id", text_col: str = "text") -> list:
-    """About ``toxic_rows`` and ``clean_rows`` labelled (text, toxic) rows whose crc32(id) mod 5 is not 0: those whose id's hash is under a threshold set by the counts.
+def training_texts(docs: DataFrame, labels: DataFrame, toxic_rows: int, clean_rows: int, most_chars: int = 200_000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """About ``toxic_rows`` and ``clean_rows`` labelled (doc_id, text, y) rows whose crc32(id) mod 5 is not 0: those whose id's hash is under a threshold set by the counts.
 
-    At most twice as many can come back, and no text over ``most_chars`` characters, so what the driver holds is bounded.
+    At most twice as many can come back, and no text over ``most_chars`` characters, so what the task that trains holds is bounded.
     """
     known = (labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("y")).where("doc_id is not null and y is not null")
              .where(F.crc32(F.col("doc_id").cast("string")) % 5 != 0).groupBy("doc_id").agg(F.max(F.when(F.col("y") == 1, 1).otherwise(0)).alias("y")))
@@ -240,13 +244,36 @@ def training_rows(docs: DataFrame, labels: DataFrame, toxic_rows: int, clean_row
     side = lambda y, most, n: known.where((F.col("y") == y) & (chance < most / max(n, 1))).limit(2 * most)
     pick = side(1, toxic_rows, count["bad"]).unionByName(side(0, clean_rows, count["good"]))
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(text_col, F.lit("")).alias("text")).where(F.length("text") <= most_chars)
-    return texts.join(F.broadcast(pick), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y")).orderBy("doc_id").collect()
+    return texts.join(F.broadcast(pick), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y"))
+
+
+def training_rows(docs: DataFrame, labels: DataFrame, toxic_rows: int, clean_rows: int, most_chars: int = 200_000, id_col: str = "doc_id", text_col: str = "text") -> list:
+    """The rows of ``training_texts`` by doc_id, to look at a small sample; ``fit`` leaves them where they are."""
+    return training_texts(docs, labels, toxic_rows, clean_rows, most_chars, id_col, text_col).orderBy("doc_id").collect()
 
 
 def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", toxic_rows: int = 2000, clean_rows: int = 2500, most_chars: int = 200_000) -> ToxicityModel | None:
-    """The model of a bounded labelled sample, trained on the driver; None without labels of both kinds."""
-    rows = training_rows(docs, labels, toxic_rows, clean_rows, most_chars, id_col, text_col)
-    return train([r["text"] for r in rows], [r["y"] for r in rows])
+    """The model of a bounded labelled sample; None without labels of both kinds.
+
+    Tasks turn the texts into bags and one task trains on all bags, so neither texts nor the machine's
+    matrices are ever in the driver, which gets the model alone (about 90 kB).
+    """
+    def bags(batches):
+        for b in slices(batches):
+            texts = b.column(1).to_pylist()
+            marks = np.array([_marks(words_of(t)) for t in texts], dtype=np.uint64).view(np.int64).tolist()
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(marks, pa.list_(pa.int64())), pa.array(map(bag, texts), pa.list_(pa.string())), b.column(2)], ["doc_id", "marks", "bag", "y"])
+
+    def teach(batches):
+        model = train_bags(row for b in slices(batches) for row in zip(*(b.column(c).to_pylist() for c in (1, 2, 3)), strict=True))
+        if model is not None:
+            cols = ([model.table.tobytes()], pa.binary()), ([model.bias], pa.float64()), ([model.weights.tolist()], pa.list_(pa.float64())), ([model.shift], pa.float64())
+            yield pa.RecordBatch.from_arrays([pa.array(*c) for c in cols], ["table", "bias", "weights", "shift"])
+
+    texts = training_texts(docs, labels, toxic_rows, clean_rows, most_chars, id_col, text_col)
+    held = texts.mapInArrow(bags, "doc_id long, marks array<long>, bag array<string>, y int").repartition(1).sortWithinPartitions("doc_id")
+    got = held.mapInArrow(teach, "table binary, bias double, weights array<double>, shift double").collect()
+    return ToxicityModel(np.frombuffer(got[0]["table"], dtype=np.float32), got[0]["bias"], np.array(got[0]["weights"]), got[0]["shift"]) if got else None
 
 
 def with_scores(docs: DataFrame, model: ToxicityModel | None, text_col: str = "text", out_col: str = "toxicity_score", keep_words: int = 200_000) -> DataFrame:

@@ -769,6 +769,21 @@ def test_training_sample_is_bounded(spark, docs, labels):
     assert 0 < len(got) <= 30 and all(len(r["text"]) <= 1000 and zlib.crc32(str(r["doc_id"]).encode()) % 5 for r in got)
 
 
+def test_toxicity_trains_in_a_task(spark, docs, labels, monkeypatch):
+    """The driver gets the model alone: it neither collects the texts nor holds the machine's matrices, and the model is that of the same texts in order."""
+    rows = toxicity.training_rows(docs, labels, 2000, 2500)
+    want = toxicity.train([r["text"] for r in rows], [r["y"] for r in rows])
+
+    def here(*_, **__):
+        raise AssertionError("trained on the driver")
+
+    for name in ("_fit", "training_rows"):
+        monkeypatch.setattr(toxicity, name, here)
+    got = toxicity.fit(docs, labels)
+    assert np.allclose(got.table, want.table, atol=1e-3) and np.allclose(got.weights, want.weights, atol=1e-3) and got.shift == pytest.approx(want.shift, abs=1e-3)  # threads add up in another order
+    assert toxicity.fit(docs, labels.where("toxic = 0")) is None
+
+
 def test_toxicity_scores(spark, docs, labels, odd, none):
     rows = toxicity.toxicity_scores(docs, labels).collect()
     assert len(rows) == docs.count() and all(r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 5 == 0) and 0 <= r["score"] <= 1 for r in rows)
