@@ -221,9 +221,11 @@ def place_lists(fps: np.ndarray) -> np.ndarray:
 def close_in_lists(lists: np.ndarray, node: np.ndarray, a: np.ndarray, b: np.ndarray, short: int = 64) -> list[tuple[np.ndarray, np.ndarray]]:
     """Edges that connect the rows of each list (whole lists, in order) that differ in at most ``CHECK_BITS`` bits.
 
-    ``lists`` holds the list, the two chunks that meet in it and, lowest, the side of the row.
+    ``lists`` holds the list, the two chunks that meet in it and, lowest, the side of the row. Each group
+    of a list is tied to its smallest node, which large groups have in common over many lists, so that
+    their edges are mostly the same ones.
     """
-    group, side, out = lists >> 1, lists & 1, []
+    group, side, least, pairs = lists >> 1, lists & 1, node.copy(), [(np.zeros(0, dtype=np.int64),) * 2]
     cross = ((group >> 19) & 0x7FFFF) != (group & 0x7FFFF)
     starts = np.concatenate([[0], np.flatnonzero(group[1:] != group[:-1]) + 1])
     sizes = np.diff(np.concatenate([starts, [len(group)]]))
@@ -234,15 +236,26 @@ def close_in_lists(lists: np.ndarray, node: np.ndarray, a: np.ndarray, b: np.nda
         if not len(at):
             break
         hit = within(a[at] ^ a[at + d], b[at] ^ b[at + d], CHECK_BITS, False) & (~cross[at] | (side[at] != side[at + d]))
-        out.append((node[at[hit]], node[at[hit] + d]))
+        pairs.append((at[hit], at[hit] + d))
+    p, q = (np.concatenate([x[k] for x in pairs]) for k in (0, 1))
+    while (apart := least[p] != least[q]).any():  # as many rounds as a short list has rows at most
+        low = np.minimum(least[p[apart]], least[q[apart]])
+        np.minimum.at(least, p[apart], low)
+        np.minimum.at(least, q[apart], low)
     for s, n in zip(starts[sizes > short], sizes[sizes > short], strict=True):
         rows = np.arange(s, s + n)
         if n <= 2_048:  # most rows of a chance list have no partner
             hit = within(a[rows][:, None] ^ a[rows][None, :], b[rows][:, None] ^ b[rows][None, :], CHECK_BITS, False)
             rows = rows[hit.sum(axis=1) > 1]
         if len(rows) > 1:
-            out += forest(a[rows], b[rows], node[rows], side[rows] if cross[s] else None, CHECK_BITS, False)
-    return out
+            root = np.arange(len(rows))
+            for u, v in forest(a[rows], b[rows], np.arange(len(rows)), side[rows] if cross[s] else None, CHECK_BITS, False):
+                root[v] = root[u]  # u was reached before
+            low = node[rows].copy()
+            np.minimum.at(low, root, node[rows])
+            least[rows] = low[root]
+    tied = least != node
+    return [(least[tied], node[tied])]
 
 
 def wide_edges(nodes: DataFrame, list_rows: int = 20_000) -> DataFrame:
@@ -299,7 +312,10 @@ def wide_edges(nodes: DataFrame, list_rows: int = 20_000) -> DataFrame:
         return pa.RecordBatch.from_arrays([pa.array(np.concatenate([node[:0], *(e[k] for e in found)]), pa.int64()) for k in (0, 1)], ["u", "v"])
 
     index = nodes.select("node", "fp").mapInArrow(put, "list long, node long, a long, b long")
-    return index.repartition(F.shiftright("list", 1)).sortWithinPartitions("list").mapInArrow(search, "u long, v long").distinct()
+    found = index.repartition(F.shiftright("list", 1)).sortWithinPartitions("list").mapInArrow(search, "u long, v long")
+    # a node has one smallest node a list at most; it keeps the least of them, and that one is tied to the others
+    ties = found.groupBy("v").agg(F.min("u").alias("low"), F.array_append(F.collect_set("u"), F.col("v")).alias("all"))
+    return ties.select(F.col("low").alias("u"), F.explode("all").alias("v")).where("u <> v").distinct()
 
 
 def shingle_set(parts: list[bytes]) -> np.ndarray:

@@ -402,6 +402,25 @@ def test_the_pipeline_search_meets_close_texts_in_byte_lists_only(spark, list_ro
     assert {r["node"]: r["component"] for r in found.collect()} == {i: i - i % 2 for i in range(400)} | dict.fromkeys(range(1000, 1080), 0)
 
 
+
+@pytest.mark.parametrize("rows", [40, 300])
+def test_lists_tie_a_group_to_its_smallest_node(rows):
+    """A group that meets in many lists, its rows in another order each time, gives few edges, and chains and strangers stay as they are."""
+    rng = np.random.default_rng(rows)
+    a, b = rng.integers(0, 2**63, (2, rows), dtype=np.uint64)
+    a[: rows // 2], b[: rows // 2] = a[0] ^ (np.uint64(1) << np.arange(rows // 2, dtype=np.uint64) % np.uint64(64)), b[0]
+    for i in range(rows - 9, rows - 1):  # each is close to the one before only
+        a[i + 1], b[i + 1] = a[i], b[i] ^ np.uint64(0x3FFFFFFF << (30 * (i % 2)))
+    near = np.bitwise_count(a[:, None] ^ a).astype(int) + np.bitwise_count(b[:, None] ^ b) <= simhash.CHECK_BITS
+    want = np.arange(rows)
+    for _ in range(rows):
+        want = np.where(near, want[None, :], rows).min(axis=1)
+    order = np.concatenate([rng.permutation(rows) for _ in range(30)])
+    lists = np.repeat(np.arange(30, dtype=np.int64) << 39, rows)
+    edges = {e for u, v in simhash.close_in_lists(lists, order.astype(np.int64), a[order], b[order]) for e in zip(u.tolist(), v.tolist(), strict=True)}
+    assert edges == {(int(w), i) for i, w in enumerate(want) if w != i}
+
+
 def test_near_duplicates_are_dropped_by_row_not_by_id(spark):
     rows = [(None, "one text without an id", "a"), (None, "quite another text without an id", "b"), (None, "one text without an id", "c"),
             (1, "first text that stands twice here", "d"), (1, "first text that stands twice here", "d"), (2, "first text that stands twice here", "e"),
